@@ -8,8 +8,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 MODULES = (
-    "decontaminate",
+    "langid",
+    "secrets",
     "chat",
+    "quality",
+    "decontaminate",
+    "pieces",
 )
 
 

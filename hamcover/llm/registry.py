@@ -8,12 +8,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 MODULES = (
+    "ann",
     "langid",
+    "warc",
     "secrets",
     "chat",
     "quality",
     "decontaminate",
     "pieces",
+    "setjoin",
 )
 
 

@@ -17,6 +17,7 @@ MODULES = (
     "decontaminate",
     "pieces",
     "setjoin",
+    "substrings",
 )
 
 

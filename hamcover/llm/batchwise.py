@@ -10,8 +10,8 @@ from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
 
-def with_struct(df: DataFrame, column: str, output: str, ddl: str, make: Callable[[], Callable[[list], list[tuple]]], rows: int = 256) -> DataFrame:
-    """`make` runs once in each task and gives the function from values of `column` to one tuple each.
+def with_struct(df: DataFrame, column: str, output: str, ddl: str, make: Callable[[], Callable[[list], list]], rows: int = 256) -> DataFrame:
+    """`make` runs once in each task and gives the function from values of `column` to one tuple each, or to one Arrow array for each field.
 
     A column that is named like the output is replaced. At most `rows` rows are held as Python objects at a time.
     """
@@ -28,7 +28,7 @@ def with_struct(df: DataFrame, column: str, output: str, ddl: str, make: Callabl
             for i in range(0, whole.num_rows, rows):
                 batch = whole.slice(i, rows)
                 made = work(batch.column(at).to_pylist())
-                fields = [pa.array(list(x), f.type) for x, f in zip(zip(*made, strict=True), kind, strict=True)]
+                fields = made if isinstance(made[0], pa.Array) else [pa.array(list(x), f.type) for x, f in zip(zip(*made, strict=True), kind, strict=True)]
                 yield pa.RecordBatch.from_arrays([*batch.columns, pa.StructArray.from_arrays(fields, names=names)], schema=schema)
 
     return df.mapInArrow(run, out)

@@ -8,7 +8,8 @@ Where no piece holds the marker behind another character, no piece crosses the b
 can be encoded apart: a task encodes the words it hasn't met in one batch (which the library spreads over threads)
 and remembers them, up to a bound. Other models are encoded text by text, in batches.
 
-Parity with the sentencepiece library and the round trip are checked for every text.
+The round trip is checked for every text, parity with the sentencepiece library for one text in `PARITY_EVERY`, drawn by a
+checksum of its bytes (the library is slower than all else here; tests compare every text).
 
 Defined results: a null or empty text has no pieces and decodes to itself; a text that holds the marker character or
 lone surrogates doesn't come back as it was, which `round_trip` tells; a column with the name of the output is replaced.
@@ -16,8 +17,14 @@ lone surrogates doesn't come back as it was, which `round_trip` tells; a column
 
 from __future__ import annotations
 
+import hashlib
 import itertools
+import os
+import zlib
+from array import array
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,7 +34,11 @@ from hamcover.llm.batchwise import with_struct
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 #: Words whose pieces a task remembers before it forgets all of them.
-REMEMBERED = 300_000
+REMEMBERED = 600_000
+#: Threads of a task that the tokenizers library may use.
+THREADS = "2"
+#: One text in so many, by a checksum of its bytes, is also encoded by the sentencepiece library. 1: every text; 0: none.
+PARITY_EVERY = 16
 
 #: Piece types and model types of the file format: fixed values.
 NORMAL, UNKNOWN, CONTROL, USER, BYTE = 1, 2, 3, 4, 6
@@ -72,7 +83,12 @@ class Backend:
             decode.append(decoders.Strip(" ", 1, 0))
         self.tokenizer.decoder = decoders.Sequence(decode)
         self.by_word = not crossing and not user and not steps[:-2] and norm.add_dummy_prefix and norm.escape_whitespaces
-        self.known: dict[str, tuple[int, ...]] = {}
+        self.piece_bytes = None
+        if self.by_word and pieces[unk][2] == UNKNOWN and proto.trainer_spec.byte_fallback:
+            raw = [bytes([int(p[3:5], 16)]) if t == BYTE else p.replace(MARK, " ").encode() for p, _, t in pieces]
+            sizes = np.array([len(x) for x in raw], np.int32)
+            self.piece_bytes = np.frombuffer(b"".join(raw), np.uint8), (np.cumsum(sizes) - sizes).astype(np.int32), sizes
+        self.known: dict[str, bytes] = {}
 
     @staticmethod
     def _merges(pieces: list[tuple[str, float, int]]) -> list[tuple[str, str]]:
@@ -84,25 +100,54 @@ class Backend:
                 found += [(-score, ids[p[:k]], ids[p[k:]]) for k in range(1, len(p)) if p[:k] in ids and p[k:] in ids]
         return [(pieces[a][0], pieces[b][0]) for _, a, b in sorted(found)]
 
-    def encode(self, texts: list[str]) -> list[list[int]]:
-        """Piece ids of each text. Words are what a space begins; the empty word is a marker alone."""
+    def encode(self, texts: list[str]) -> list[bytes]:
+        """Piece ids of each text, as 32-bit integers. Words are what a space begins; the empty word is a marker alone."""
         if not self.by_word:
-            return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
-        split = [t.split(" ") if t else [] for t in texts]
+            return [_packed(e.ids) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
         # A run of markers belongs to the word behind it, so such texts go to the tokenizer whole.
         whole = [bool(t) and (t[0] == " " or t[-1] == " " or "  " in t or MARK in t) for t in texts]
-        new = list({w for words, as_one in zip(split, whole, strict=True) if not as_one for w in words if w not in self.known})
-        if len(self.known) + len(new) > REMEMBERED:
+        split = [[] if as_one or not t else t.split(" ") for t, as_one in zip(texts, whole, strict=True)]
+        if len(self.known) > REMEMBERED:
             self.known.clear()
-            new = list({w for words, as_one in zip(split, whole, strict=True) if not as_one for w in words})
+        new = list({w for words in split for w in words if w not in self.known})
         for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            self.known[w] = tuple(e.ids)
-        rest = iter(self.tokenizer.encode_batch_fast([t for t, as_one in zip(texts, whole, strict=True) if as_one], add_special_tokens=False))
+            self.known[w] = _packed(e.ids)
+        rest = iter(self.tokenizer.encode_batch_fast(list(itertools.compress(texts, whole)), add_special_tokens=False))
         get = self.known.__getitem__
-        return [next(rest).ids if as_one else list(itertools.chain.from_iterable(map(get, words))) for words, as_one in zip(split, whole, strict=True)]
+        return [_packed(next(rest).ids) if as_one else b"".join(map(get, words)) for words, as_one in zip(split, whole, strict=True)]
 
-    def decode(self, ids: list[list[int]]) -> list[str]:
-        return self.tokenizer.decode_batch(ids, skip_special_tokens=False)
+    def decode(self, flat: np.ndarray, offsets: np.ndarray) -> list[str]:
+        """Texts of piece ids: those of one text are flat[offsets[k]:offsets[k + 1]].
+
+        Each piece is some bytes (a byte piece just one), so texts are their bytes behind each other. Models whose pieces aren't
+        so plain go through the library's decoder."""
+        if self.piece_bytes is None:
+            rows = [flat[a:b].tolist() for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
+            return self.tokenizer.decode_batch(rows, skip_special_tokens=False)
+        data, starts, sizes = self.piece_bytes
+        size = sizes[flat]
+        ends = np.cumsum(size)
+        at = np.repeat(starts[flat] - (ends - size), size)
+        at += np.arange(len(at), dtype=at.dtype)
+        out = data[at].tobytes()
+        cuts = np.concatenate([[0], ends])[offsets].tolist()
+        return [out[a + 1 : b].decode("utf-8", "replace") for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+
+
+def _packed(ids: list[int]) -> bytes:
+    return array("i", ids).tobytes()
+
+
+#: Backends of this process by the checksum of their model: a worker that runs several tasks keeps the words it has met.
+_BACKENDS: dict[str, Backend] = {}
+
+
+def backend_of(model: bytes) -> Backend:
+    key = hashlib.sha256(model).hexdigest()
+    if key not in _BACKENDS:
+        _BACKENDS.clear()
+        _BACKENDS[key] = Backend(model)
+    return _BACKENDS[key]
 
 
 def read_model(path: str = MODEL) -> bytes:
@@ -110,23 +155,31 @@ def read_model(path: str = MODEL) -> bytes:
         return f.read()
 
 
-def encode_pieces(docs: DataFrame, model: bytes, text: str = "text", output: str = "pieces", parity: bool = True) -> DataFrame:
-    """All columns of docs and a struct: ids, round_trip, parity (null if it isn't asked for)."""
+def encode_pieces(docs: DataFrame, model: bytes, text: str = "text", output: str = "pieces", parity_every: int = PARITY_EVERY) -> DataFrame:
+    """All columns of docs and a struct: ids, round_trip, parity (null for texts that aren't compared)."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def make():
-        backend = Backend(shared.value)
-        if parity:
+        os.environ.setdefault("RAYON_NUM_THREADS", THREADS)  # before the library starts its threads
+        backend, other = backend_of(shared.value), None
+        if parity_every:
             from sentencepiece import SentencePieceProcessor
 
             other = SentencePieceProcessor(model_proto=shared.value)
 
-        def work(texts: list[str | None]) -> list[tuple]:
+        def work(texts: list[str | None]) -> tuple[pa.Array, ...]:
             texts = [t or "" for t in texts]
-            ids = backend.encode(texts)
-            back = backend.decode(ids)
-            same = [a == b for a, b in zip(other.encode(texts, num_threads=1), ids, strict=True)] if parity else [None] * len(texts)
-            return [(i, b == t, s) for i, b, t, s in zip(ids, back, texts, same, strict=True)]
+            packed = backend.encode(texts)
+            sizes = np.fromiter(map(len, packed), np.int64, len(packed)) // 4
+            flat = np.frombuffer(b"".join(packed), np.int32)
+            offsets = np.concatenate([[0], np.cumsum(sizes)])
+            back = [a == b for a, b in zip(backend.decode(flat, offsets), texts, strict=True)]
+            same: list[bool | None] = [None] * len(texts)
+            if other:
+                picked = [k for k, t in enumerate(texts) if zlib.crc32(t.encode("utf-8", "surrogatepass")) % parity_every == 0]
+                for k, x in zip(picked, other.encode([texts[k] for k in picked], num_threads=1), strict=True):
+                    same[k] = np.array_equal(x, flat[offsets[k] : offsets[k + 1]])
+            return pa.ListArray.from_arrays(offsets.astype(np.int32), flat), pa.array(back), pa.array(same, pa.bool_())
 
         return work
 
@@ -138,8 +191,15 @@ def decode_pieces(rows: DataFrame, model: bytes, ids: str = "ids", output: str =
     shared = rows.sparkSession.sparkContext.broadcast(model)
 
     def make():
-        backend = Backend(shared.value)
-        return lambda values: [(None if v is None else t,) for v, t in zip(values, backend.decode([v or [] for v in values]), strict=True)]
+        backend = backend_of(shared.value)
+
+        def work(values: list[list[int] | None]) -> list[tuple]:
+            rows = [v or [] for v in values]
+            offsets = np.concatenate([[0], np.cumsum([len(v) for v in rows])]).astype(np.int64)
+            flat = np.fromiter(itertools.chain.from_iterable(rows), np.int32, int(offsets[-1]))
+            return [(None if v is None else t,) for v, t in zip(values, backend.decode(flat, offsets), strict=True)]
+
+        return work
 
     return with_struct(rows, ids, output, "struct<text:string>", make)
 

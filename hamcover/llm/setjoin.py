@@ -5,13 +5,13 @@ same set are joined first; the rest works on one of each such class.
 
 A set becomes `COORDINATES` min-hash values, each a shingle drawn alike for all sets. A run begins with a
 bucket for each value of one coordinate and splits buckets further on sampled coordinates: a bucket of at most `LEAF`
-sets is compared in full; in a larger one all are compared with a leader drawn at random, those alike to it leave with that link, and the others go
-on to the buckets of one or two sampled coordinates (1/0.8 on average, so a pair at the threshold has one bucket in common
-per level on average). Runs have leaders and coordinates of their own. A pair at the threshold
+sets is compared in full; in a larger one all are compared with `LEADERS` leaders drawn at random, those alike to one leave with that link, and the
+others go on to buckets of `DEPTH` sampled coordinates (0.8 ** -DEPTH buckets on average, so a pair at the threshold has one bucket
+in common per level on average). Runs have leaders and coordinates of their own. A pair at the threshold
 misses all first buckets of `RUNS` runs with a chance of 0.2 ** RUNS, about 3e-6; more alike pairs less often.
 
 Comparisons in buckets use 64 bytes, one for each coordinate; pairs whose estimate is `SCREEN` or more are then verified with their whole texts.
-Links inside a large group of near copies are a star around each leader and all pairs of the leaves, not all pairs of
+Links inside a large group of near copies are stars around its leaders and all pairs of the leaves, not all pairs of
 the group: such a group keeps its class and every text a verified link, and the work stays linear.
 
 Bucket sizes come from partial aggregations; the rows of a bucket are never gathered beyond `LEAF`, and Spark can split a large bucket's join with its leader.
@@ -22,6 +22,7 @@ links; rows of one doc_id are one document; a row without doc_id has no class; r
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,8 +34,10 @@ from hamcover.llm.common import WordHash, folded_words, gram_hashes, mixed, writ
 from hamcover.llm.components import components
 
 WORDS, SIMILARITY = 5, 0.8
-COORDINATES, RUNS, LEAF = 64, 8, 32
+COORDINATES, RUNS, LEAF, LEADERS, DEPTH = 64, 8, 48, 24, 4
 SCREEN = 0.55
+#: A row leaves a large bucket when its estimate with a leader is so high that what it links to is near the leader, too.
+ABSORB = 0.87
 SEED = 7
 
 _RNG = np.random.default_rng(SEED)
@@ -126,54 +129,80 @@ def _leaves(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _descend(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of large buckets, each beside its leader: (rep, leader) for those that pass the screen, with no node; (rep, node) for each bucket that a row goes on to."""
+    """Rows of large buckets, each beside its bucket's leaders. Gives (rep, leader) of the two most alike leaders that pass the screen, with no node,
+    and (rep, node) of each bucket that a row goes on to."""
     for batch in it:
         if not batch.num_rows:
             continue
-        nodes, reps, leaders = (batch.column(k).to_numpy() for k in (0, 1, 3))
+        nodes, reps = batch.column(0).to_numpy(), batch.column(1).to_numpy()
         sigs = _bytes(batch.column(2))
-        alike = _alike(sigs, _bytes(batch.column(4)))
-        linked = (alike >= SCREEN) & (reps != leaders)
-        on = np.flatnonzero((alike < SIMILARITY) & (reps != leaders))
-        out_rep, out_leader, out_node = [reps[linked]], [leaders[linked]], [np.zeros(linked.sum(), np.int64)]
+        led = batch.column(3)
+        sizes = np.diff(led.offsets.to_numpy())
+        leader, leader_sig = (led.flatten().field(k) for k in ("rep", "sig"))
+        row = np.repeat(np.arange(len(reps)), sizes)
+        place = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        ids, alike = np.full((len(reps), LEADERS), -1, np.int64), np.full((len(reps), LEADERS), -1.0)
+        ids[row, place] = leader.to_numpy()
+        alike[row, place] = _alike(sigs[row], _bytes(leader_sig))
+        own = (ids == reps[:, None]).any(axis=1)
+        alike[ids == reps[:, None]] = -1
+        every = np.arange(len(reps))
+        kinds, out_rep, out_leader, out_node = [], [], [], []
+        on = None
+        for _ in range(2):
+            best = alike.argmax(axis=1)
+            how = alike[every, best]
+            if on is None:
+                on = np.flatnonzero((how < ABSORB) & ~own)
+            linked = np.flatnonzero(how >= SCREEN)
+            kinds.append(np.ones(len(linked), bool))
+            out_rep.append(reps[linked])
+            out_leader.append(ids[linked, best[linked]])
+            out_node.append(np.zeros(len(linked), np.int64))
+            alike[every, best] = -1
+        # Children are drawn by the bucket: `DEPTH` coordinates each, and on average as many children as keep one in common for a pair at the threshold.
         seed = mixed(nodes[on].view(np.uint64))
-        for j in range(2):
+        spread = SIMILARITY**-DEPTH
+        for j in range(math.ceil(spread)):
             draw = mixed(seed + np.uint64(j + 1))
-            take = np.arange(len(on)) if j == 0 else np.flatnonzero((seed & np.uint64(1023)) < np.uint64(round(1024 * (1 / SIMILARITY - 1))))
-            coordinate = (draw[take] >> np.uint64(20)) % np.uint64(COORDINATES)
-            value = sigs[on[take], coordinate.astype(np.int64)].astype(np.uint64)
-            child = mixed(draw[take] + (value + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15))
+            chance = min(1.0, spread - j)
+            take = np.flatnonzero((mixed(draw) >> np.uint64(44)) < np.uint64(round(chance * (1 << 20))))
+            child = draw[take]
+            for _ in range(DEPTH):
+                coordinate = (child >> np.uint64(20)) % np.uint64(COORDINATES)
+                value = sigs[on[take], coordinate.astype(np.int64)].astype(np.uint64)
+                child = mixed(child + (value + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15))
+            kinds.append(np.zeros(len(take), bool))
             out_rep.append(reps[on[take]])
             out_leader.append(np.full(len(take), -1, np.int64))
             out_node.append(child.view(np.int64))
-        is_link = np.concatenate([np.ones(linked.sum(), bool), *(np.zeros(len(x), bool) for x in out_rep[1:])])
-        yield pa.RecordBatch.from_arrays([pa.array(is_link), *(pa.array(np.concatenate(x)) for x in (out_node, out_rep, out_leader))], names=["is_link", "node", "rep", "leader"])
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (kinds, out_node, out_rep, out_leader)], names=["is_link", "node", "rep", "leader"])
 
 
 def candidate_pairs(sets: DataFrame) -> DataFrame:
     """sets: rep, sig, roots. Returns distinct a < b whose estimate passes the screen."""
     sigs = sets.select("rep", "sig")
-    rows, found = sets.select("rep", "roots").mapInArrow(_roots, "node bigint, rep bigint"), None
-    order = F.xxhash64("node", "rep")  # of leaders: another in each bucket
+    rows, parts = sets.select("rep", "roots").mapInArrow(_roots, "node bigint, rep bigint"), []
+    drawn = F.xxhash64("node", "rep")  # another order in each bucket
     while True:
-        sizes = rows.groupBy("node").agg(F.count("*").alias("n"), F.min(F.struct(order.alias("o"), F.col("rep"))).getField("rep").alias("leader")).where("n > 1")
+        sizes = rows.groupBy("node").agg(F.count("*").alias("n")).where("n > 1")
         live = rows.join(written(sizes, "bucket-sizes"), "node")
-        live = written(live.join(sigs, "rep").select("node", "rep", "sig", "n", "leader"), "buckets")
+        live = written(live.join(sigs, "rep").select("node", "rep", "sig", "n"), "buckets")
         small = live.where(F.col("n") <= LEAF).select("node", "rep", "sig").repartition("node").sortWithinPartitions("node", "rep")
-        pairs = small.mapInArrow(_leaves, "a bigint, b bigint")
-        large = live.where(F.col("n") > LEAF)
-        if large.limit(1).count():
-            leaders = large.where("rep = leader").select("node", "leader", F.col("sig").alias("leader_sig")).dropDuplicates(["node"])
-            beside = large.select("node", "rep", "sig").join(written(leaders, "leaders"), "node").select("node", "rep", "sig", "leader", "leader_sig")
-            went = written(beside.mapInArrow(_descend, "is_link boolean, node bigint, rep bigint, leader bigint"), "descent")
-            pairs = pairs.union(went.where("is_link").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")))
-            rows = went.where("not is_link").select("node", "rep").distinct()
-        else:
-            rows = None
-        pairs = written(pairs.distinct(), "pairs")
-        found = pairs if found is None else found.union(pairs)
-        if rows is None:
-            return found.distinct()
+        parts.append(small.mapInArrow(_leaves, "a bigint, b bigint"))
+        large = live.where(F.col("n") > LEAF).select("node", "rep", "sig")
+        # One leader of each of several slots: at most LEADERS rows of a bucket meet.
+        one = large.groupBy("node", F.pmod(drawn, F.lit(LEADERS)).alias("slot")).agg(F.min(F.struct(drawn.alias("o"), "rep", "sig")).alias("x"))
+        leaders = written(one.groupBy("node").agg(F.collect_list(F.struct("x.rep", "x.sig")).alias("leaders")), "leaders")
+        if not leaders.limit(1).count():
+            break
+        went = written(large.join(leaders, "node").select("node", "rep", "sig", "leaders").mapInArrow(_descend, "is_link boolean, node bigint, rep bigint, leader bigint"), "descent")
+        parts.append(went.where("is_link").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")))
+        rows = went.where("not is_link").select("node", "rep").distinct()
+    found = parts[0]
+    for part in parts[1:]:
+        found = found.union(part)
+    return written(found.distinct(), "pairs")
 
 
 def _verify(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -198,7 +227,7 @@ def _verify(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     """The pairs (a, b) of ids whose whole texts have the similarity."""
     ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    texts = written(docs.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
+    texts = written(docs.hint("merge").join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
     right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("two"))
     left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("one"))
     rows = pairs.join(right, "b").join(left.hint("merge"), "a").select("a", "b", "one", "two")

@@ -1 +1 @@
-
+"""Hashers, index, searches and measures."""

@@ -66,9 +66,9 @@ class FmIndex:
         base = self.less[symbols]
         return base + both[: len(lo)], base + both[len(lo) :]
 
-    def matching_statistics(self, stream: np.ndarray, ends: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def matching_statistics(self, stream: np.ndarray, ends: np.ndarray, most: int, least: int = 1) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """For each end place in the stream (exclusive): length, up to `most`, of the longest suffix of the stream
-        there that occurs in the text, and its range in the order. Codes of the stream that the text lacks are 0."""
+        there that occurs at `least` places of the text, and its range in the order. Codes of the stream that the text lacks are 0."""
         if most > self.depth:
             raise ValueError("the index isn't sorted so deep")
         length, low, high = np.zeros(len(ends), np.int64), np.zeros(len(ends), np.int64), np.full(len(ends), self.n, np.int64)
@@ -80,8 +80,11 @@ class FmIndex:
             live, symbols = live[some], symbols[some]
             if not len(live):
                 break
-            lo, hi = self.extend(symbols, low[live], high[live])
-            some = hi > lo
+            if step == 1:
+                lo, hi = self.less[symbols], self.less[symbols + 1]
+            else:
+                lo, hi = self.extend(symbols, low[live], high[live])
+            some = hi - lo >= least
             live = live[some]
             low[live], high[live], length[live] = lo[some], hi[some], step
         return length, low, high

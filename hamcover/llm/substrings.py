@@ -1,8 +1,8 @@
 """Removal of repeated passages with compressed full-text indexes.
 
-A window is `WINDOW` consecutive words of a document. Equal windows have the same anchor: the four words of least hash among
-the four-grams inside. Windows of one document that share an anchor make a segment (of at most 22 words), and segments go to the shard
-of their anchor's key. So all places of a window meet in one shard, however many shards there are, and each document is streamed
+A window is `WINDOW` consecutive words of a document. Equal windows have the same key: the least hash among the
+four-grams inside. Neighbouring windows of one document that share a key make a segment (of 17 words on average), and segments go to the
+shard of their key. So all places of a window meet in one shard, however many shards there are, and each document is streamed
 only through the shards that can hold a part of it.
 
 A shard is a Burrows-Wheeler index in a wavelet matrix over the distinct segments of its keys. Backward search gives matching statistics of
@@ -27,28 +27,72 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from numpy.lib.stride_tricks import sliding_window_view
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hamcover.llm.common import SHA256_OF_NOTHING, WordHash, gram_hashes, mixed, plain_words, written
+from hamcover.llm.common import SHA256_OF_NOTHING, gram_hashes, mixed, plain_words, written
 from hamcover.llm.fmindex import FmIndex
 
 WINDOW, ANCHOR = 13, 4
 #: A shard is closed at so many codes, at the end of a key.
-SHARD_CODES = 2_000_000
+SHARD_CODES = 500_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
-def segments(h: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of a document's word hashes: key, first word and number of windows of each segment, in order."""
-    if len(h) < WINDOW:
-        return np.empty(0, np.uint64), np.empty(0, np.int64), np.empty(0, np.int64)
-    grams = gram_hashes(h, ANCHOR)
+def word_hashes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words of all texts, one text behind the other, and where each text begins (and the last ends).
+
+    A word's hash is a polynomial of its bytes modulo 2 ** 64, taken from running sums over all bytes.
+    """
+    raw = [(t or "").encode("utf-8", "surrogatepass") for t in texts]
+    data = np.frombuffer(b" ".join(raw) + b" ", np.uint8)
+    inside = _INSIDE[data].view(np.int8)
+    edge = np.flatnonzero(np.diff(inside, prepend=0))
+    begins, ends = edge[::2], edge[1::2]
+    sums = np.zeros(len(data) + 1, np.uint64)
+    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * _powers(len(data), _STEP), out=sums[1:])
+    hashes = mixed((sums[ends] - sums[begins]) * _powers(len(data), _STEP_INVERSE)[begins] + (ends - begins).astype(np.uint64))
+    first = np.cumsum([0] + [len(x) + 1 for x in raw])
+    return hashes, np.searchsorted(begins, first)
+
+
+#: Bytes that are part of words.
+_INSIDE = np.array([not (i == 32 or 9 <= i <= 13) for i in range(256)])
+_STEP_INVERSE = np.uint64(pow(int(_STEP), -1, 1 << 64))
+_POWERS: dict[int, np.ndarray] = {}
+
+
+def _powers(n: int, base: np.uint64) -> np.ndarray:
+    """base ** i modulo 2 ** 64."""
+    have = _POWERS.get(int(base))
+    if have is None or len(have) < n:
+        have = np.full(max(n, 1 << 20) + 1, base, np.uint64)
+        have[0] = 1
+        _POWERS[int(base)] = have = np.cumprod(have)
+    return have[:n]
+
+
+def segments(h: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of texts' word hashes: text, key, first word (in h) and number of windows of each segment, in order."""
+    n = len(h) - WINDOW + 1
+    if n <= 0:
+        return tuple(np.empty(0, t) for t in (np.int64, np.uint64, np.int64, np.int64))
+    # Least four-gram hash of each window: of ten of them, by eights and what is left.
+    least, span = gram_hashes(h, ANCHOR), 1
     width = WINDOW - ANCHOR + 1
-    at = sliding_window_view(grams, width).argmin(axis=1) + np.arange(len(h) - WINDOW + 1)
-    start = np.flatnonzero(np.diff(at, prepend=-1))
-    return grams[at[start]], start, np.diff(np.append(start, len(at)))
+    while 2 * span <= width:
+        least, span = np.minimum(least[:-span], least[span:]), 2 * span
+    key = np.minimum(least[:n], least[width - span : width - span + n])
+    text = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
+    whole = text[:n] == text[WINDOW - 1 :]
+    new = whole.copy()
+    new[1:] &= (key[1:] != key[:-1]) | (text[1:n] != text[: n - 1])
+    start = np.flatnonzero(new)
+    # A segment ends where the next begins, or where its text has no more windows.
+    last = np.maximum(bounds[text[start] + 1] - WINDOW + 1, start)
+    stop = np.minimum(np.append(start[1:], n), last)
+    return text[start], key[start], start, stop - start
 
 
 def _emit_keys(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -56,33 +100,45 @@ def _emit_keys(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     A key that several documents of a slice have is told once, however many they are, and their own rows go
     anywhere (dest), so a common key makes no large partition."""
-    hashes = WordHash()
-    for whole in it:
-        for i in range(0, whole.num_rows, 2048):
-            batch = whole.slice(i, 2048)
-            keys, docs = [np.empty(0, np.uint64)], [np.empty(0, np.int64)]
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                key = np.unique(segments(hashes.of(plain_words(text)))[0])
-                keys.append(key)
-                docs.append(np.full(len(key), doc, np.int64))
-            key, doc = np.concatenate(keys), np.concatenate(docs)
-            if not len(key):
-                continue
-            order = np.argsort(key, kind="stable")
-            key, doc = key[order], doc[order]
-            first = np.concatenate([[True], key[1:] != key[:-1]])
-            group = np.cumsum(first) - 1
-            starts = np.flatnonzero(first)
-            varied = np.maximum.reduceat(doc, starts) != np.minimum.reduceat(doc, starts)
-            known = varied[group]
-            once = first & ~known  # the same id again asks once
-            tell = first & known
-            dest = np.where(known, mixed(doc.view(np.uint64)), key)
-            parts = [(dest[known], key[known], doc[known], 2), (key[tell], key[tell], doc[tell], 1), (key[once], key[once], doc[once], 0)]
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(np.concatenate([p[k] for p in parts]).view(np.int64)) for k in range(3)] + [pa.array(np.concatenate([np.full(len(p[0]), p[3], np.int8) for p in parts]))],
-                names=["dest", "key", "doc_id", "kind"],
-            )
+    for batch in _slices(it):
+        text, key, _, _ = segments(*word_hashes(batch.column(1).to_pylist()))
+        if not len(key):
+            continue
+        order = np.lexsort((text, key))
+        key, text = key[order], text[order]
+        once = np.concatenate([[True], (key[1:] != key[:-1]) | (text[1:] != text[:-1])])
+        key, doc = key[once], batch.column(0).to_numpy()[text[once]]
+        first = np.concatenate([[True], key[1:] != key[:-1]])
+        group, starts = np.cumsum(first) - 1, np.flatnonzero(first)
+        varied = np.maximum.reduceat(doc, starts) != np.minimum.reduceat(doc, starts)
+        known = varied[group]
+        asks, tell = first & ~known, first & known  # the same id again asks once
+        dest = np.where(known, mixed(doc.view(np.uint64)), key)
+        parts = [(dest[known], key[known], doc[known], 2), (key[tell], key[tell], doc[tell], 1), (key[asks], key[asks], doc[asks], 0)]
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(np.concatenate([p[k] for p in parts]).view(np.int64)) for k in range(3)] + [pa.array(np.concatenate([np.full(len(p[0]), p[3], np.int8) for p in parts]))],
+            names=["dest", "key", "doc_id", "kind"],
+        )
+
+
+#: Bytes of texts that a task works on at once, but for a single longer text.
+SLICE_BYTES = 4 << 20
+
+
+def _slices(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Slices of batches that hold about SLICE_BYTES of text."""
+    for batch in it:
+        sizes = np.cumsum(np.diff(_offsets(batch)))
+        at = 0
+        while at < batch.num_rows:
+            stop = max(at + 1, int(np.searchsorted(sizes, (sizes[at - 1] if at else 0) + SLICE_BYTES, "right")))
+            yield batch.slice(at, stop - at)
+            at = stop
+
+
+def _offsets(batch: pa.RecordBatch) -> np.ndarray:
+    text = batch.column(batch.schema.get_field_index("text"))
+    return np.concatenate([[0], np.cumsum(np.nan_to_num(pc.binary_length(text).to_numpy(zero_copy_only=False)))]).astype(np.int64)
 
 
 def _repeated(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -122,49 +178,36 @@ def _segment_rows(contents: bool):
     else places: (seg, doc_id, start)."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = WordHash()
-        for whole in it:
-            for i in range(0, whole.num_rows, 1024):
-                batch = whole.slice(i, 1024)
-                names = batch.schema.names
-                texts, ids = batch.column(names.index("text")).to_pylist(), batch.column(names.index("doc_id")).to_pylist()
-                lists = batch.column(names.index("keys"))
-                key_, seg_, doc_, start_, words_, size_ = [], [], [], [], [], []
-                for k, (doc, text) in enumerate(zip(ids, texts, strict=True)):
-                    h = hashes.of(plain_words(text))
-                    keys, start, windows = segments(h)
-                    wanted = np.isin(keys.view(np.int64), lists[k].values.to_numpy())
-                    keys, start, size = keys[wanted], start[wanted], windows[wanted] + WINDOW - 1
-                    if not len(keys):
-                        continue
-                    # Hash of each segment: of sums of words' hashes times powers, over ranges.
-                    at = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
-                    place = np.repeat(start, size) + at
-                    words = h[place]
-                    sums = np.add.reduceat(mixed(words + (at + 1).astype(np.uint64) * _STEP), np.cumsum(size) - size)
-                    key_.append(keys)
-                    seg_.append(mixed(sums + size.astype(np.uint64)))
-                    doc_.append(np.full(len(keys), doc, np.int64))
-                    start_.append(start)
-                    size_.append(size)
-                    words_.append((words & np.uint64(0xFFFFFFFF)).astype(np.uint32))
-                if not key_:
-                    continue
-                seg, doc = np.concatenate(seg_), np.concatenate(doc_)
-                if not contents:
-                    yield pa.RecordBatch.from_arrays([pa.array(seg.view(np.int64)), pa.array(doc), pa.array(np.concatenate(start_).astype(np.int32))], names=["seg", "doc_id", "start"])
-                    continue
-                key, size, words = np.concatenate(key_), np.concatenate(size_), np.concatenate(words_)
-                _, first, group = np.unique(seg, return_index=True, return_inverse=True)
-                low, high = np.full(len(first), np.iinfo(np.int64).max), np.full(len(first), np.iinfo(np.int64).min)
-                np.minimum.at(low, group, doc)
-                np.maximum.at(high, group, doc)
-                ends = np.cumsum(size)
-                data = words.tobytes()
-                blobs = [data[4 * (e - n) : 4 * e] for e, n in zip(ends[first].tolist(), size[first].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(key[first].view(np.int64)), pa.array(seg[first].view(np.int64)), pa.array(low), pa.array(high), pa.array(blobs, pa.binary())], names=["key", "seg", "low", "high", "words"]
-                )
+        for batch in _slices(it):
+            names = batch.schema.names
+            h, bounds = word_hashes(batch.column(names.index("text")).to_pylist())
+            text, key, start, windows = segments(h, bounds)
+            lists = batch.column(names.index("keys"))
+            asked = lists.flatten().to_numpy().view(np.uint64)
+            of = np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy()))
+            own = mixed(key + mixed(text.astype(np.uint64)))
+            wanted = np.isin(own, mixed(asked + mixed(of.astype(np.uint64))))
+            text, key, start, size = text[wanted], key[wanted], start[wanted], windows[wanted] + WINDOW - 1
+            if not len(key):
+                continue
+            doc = batch.column(names.index("doc_id")).to_numpy()[text]
+            first = np.cumsum(size) - size
+            at = np.arange(size.sum()) - np.repeat(first, size)
+            words = h[np.repeat(start, size) + at]
+            # Hash of each segment: of a sum over its words and their places.
+            seg = mixed(np.add.reduceat(mixed(words + (at + 1).astype(np.uint64) * _STEP), first) + size.astype(np.uint64)).view(np.int64)
+            if not contents:
+                yield pa.RecordBatch.from_arrays([pa.array(seg), pa.array(doc), pa.array((start - bounds[text]).astype(np.int32))], names=["seg", "doc_id", "start"])
+                continue
+            _, one, group = np.unique(seg, return_index=True, return_inverse=True)
+            low, high = np.full(len(one), np.iinfo(np.int64).max), np.full(len(one), np.iinfo(np.int64).min)
+            np.minimum.at(low, group, doc)
+            np.maximum.at(high, group, doc)
+            data = (words & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes()
+            blobs = [data[4 * a : 4 * (a + n)] for a, n in zip(first[one].tolist(), size[one].tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(key[one].view(np.int64)), pa.array(seg[one]), pa.array(low), pa.array(high), pa.array(blobs, pa.binary())], names=["key", "seg", "low", "high", "words"]
+            )
 
     return run
 
@@ -183,13 +226,16 @@ def shard_minima(words: np.ndarray, size: np.ndarray, low: np.ndarray) -> np.nda
     begins = ends - size + np.arange(n)
     windows = size - WINDOW + 1
     stop = np.repeat(begins + WINDOW, windows) + np.arange(windows.sum()) - np.repeat(np.cumsum(windows) - windows, windows)
-    length, lo, hi = index.matching_statistics(text, stop, WINDOW)
-    if (length < WINDOW).any():
-        raise AssertionError("a window of the shard isn't found in it")
-    ids = np.append(low[owner[index.order]], np.iinfo(np.int64).max)
-    lows, first, back = np.unique(lo, return_index=True, return_inverse=True)
-    bounds = np.stack([lows, hi[first]], axis=1).ravel()
-    return np.minimum.reduceat(ids, bounds)[::2][back]
+    # A window that is left with one place has only its own.
+    length, lo, hi = index.matching_statistics(text, stop, WINDOW, least=2)
+    found = np.repeat(low, windows)
+    shared = np.flatnonzero(length == WINDOW)
+    if len(shared):
+        ids = np.append(low[owner[index.order]], np.iinfo(np.int64).max)
+        lows, first, back = np.unique(lo[shared], return_index=True, return_inverse=True)
+        bounds = np.stack([lows, hi[shared][first]], axis=1).ravel()
+        found[shared] = np.minimum.reduceat(ids, bounds)[::2][back]
+    return found
 
 
 def _search_shards(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -71,6 +71,18 @@ def plant(queries: DataFrame, radii: list[int], copies: int, d: int, seed: int =
     return at.select(number.cast("bigint").alias("id"), F.array(*new).alias("code"), "qid", "distance")
 
 
+def plant_sets(queries: DataFrame, radii: list[int], copies: int, d: int, seed: int = draws.SEED, first_id: int = 10**9) -> DataFrame:
+    """As `plant`, for sparse points: as many positions as each radius, drawn by md5, are put in or taken out. Returns id, ones, qid, distance."""
+    at = queries.select("qid", "ones", F.explode(F.array(*map(F.lit, radii))).alias("distance")).withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
+    key = lambda i: F.concat_ws(":", F.lit(str(seed)), F.lit("p"), F.col("qid").cast("string"), F.col("copy").cast("string"), i.cast("string"))
+    drawn = F.array_distinct(F.transform(F.sequence(F.lit(0), 4 * F.col("distance") + 8), lambda i: (md5_number(key(i)) % d).cast("int")))
+    flips = F.slice(drawn, 1, F.greatest(F.col("distance"), F.lit(1)))
+    at = at.withColumn("flips", F.when(F.col("distance") > 0, flips).otherwise(F.array().cast("array<int>")))
+    ones = F.sort_array(F.concat(F.array_except("ones", "flips"), F.array_except("flips", "ones")))
+    number = F.row_number().over(Window.orderBy("qid", "distance", "copy")) - 1 + first_id
+    return at.select(number.cast("bigint").alias("id"), ones.alias("ones"), "qid", "distance")
+
+
 def sign_code(vector: Column | str, d: int) -> Column:
     """Bit i tells whether coordinate i is above zero."""
     v = F.col(vector) if isinstance(vector, str) else vector

@@ -26,10 +26,10 @@ from hamcover.llm.batchwise import with_struct
 from hamcover.llm.common import crc_bucket
 
 SAMPLE_DOCS = 20_000
-VOCABULARY = 150_000
+VOCABULARY = 120_000
 ORDERS = (5, 4, 3, 2, 1)
 #: Unknown words whose scores a task remembers before it forgets all of them.
-REMEMBERED = 200_000
+REMEMBERED = 60_000
 
 #: Latin letters and all non-ASCII characters make up words.
 _LETTERS = bytes(i if 97 <= i <= 122 or i >= 128 else 32 for i in range(256))

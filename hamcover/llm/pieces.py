@@ -34,7 +34,7 @@ from hamcover.llm.batchwise import with_struct
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 #: Words whose pieces a task remembers before it forgets all of them.
-REMEMBERED = 600_000
+REMEMBERED = 150_000
 #: Threads of a task that the tokenizers library may use.
 THREADS = "2"
 #: One text in so many, by a checksum of its bytes, is also encoded by the sentencepiece library. 1: every text; 0: none.

@@ -9,7 +9,8 @@ from hamcover.functions import encoders
 from hamcover.functions.bits import words_of
 from hamcover.plans import draws
 from hamcover.plans.params import CoverPlan, SamplePlan
-from hamcover.sources import load
+from hamcover.sources import load, spread
+from hamcover.sources.shared import written
 
 SEED = draws.SEED
 QUERIES = 50
@@ -25,12 +26,13 @@ def uniform(spark: SparkSession, sf_dir: str, d: int = 128, below: int | None =
 
 
 def docs(spark: SparkSession, sf_dir: str, bits: int) -> DataFrame:
-    return encoders.text_fingerprint(load(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), "text", bits)
+    """Codes of all documents, written once: a search reads codes several times and texts never again."""
+    return written(encoders.text_fingerprint(spread(load(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")), "text", bits), "codes")
 
 
 def pages(spark: SparkSession, sf_dir: str, bits: int) -> DataFrame:
-    rows = load(spark, sf_dir, "pages").select(F.col("page_id").alias("id"), encoders.strip_html("html").alias("text"))
-    return encoders.text_fingerprint(rows, "text", bits)
+    rows = spread(load(spark, sf_dir, "pages").select("page_id", "html")).select(F.col("page_id").alias("id"), encoders.strip_html("html").alias("text"))
+    return written(encoders.text_fingerprint(rows, "text", bits), "codes")
 
 
 def benchmark(spark: SparkSession, sf_dir: str, bits: int = 64) -> DataFrame:

@@ -185,7 +185,7 @@ def _text(name, timed):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         rows = []
         for bits, radii in ((256, (3, 6, 8)), (512, (10, 13, 15))):
-            points, asked = encoders.hold_out(written(fx.docs(spark, sf_dir, bits), "codes"), fx.QUERIES)
+            points, asked = encoders.hold_out(fx.docs(spark, sf_dir, bits), fx.QUERIES)
             points, asked = written(points, "points"), written(asked, "queries")
             truth = written(search.linear_scan(points, asked, max(radii), bits), "truth")
             n = points.count()
@@ -227,7 +227,7 @@ query("w_cpu_words")(_sets("words", fx.words, fx.vocabulary_size, (10, 20), "wor
 @query("w_step_costs")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds of hashing queries, finding candidates and verifying, over stored bucket rows."""
-    points, asked = encoders.hold_out(written(fx.docs(spark, sf_dir, 64), "codes"), fx.QUERIES)
+    points, asked = encoders.hold_out(fx.docs(spark, sf_dir, 64), fx.QUERIES)
     points, asked, rows = written(points, "points"), written(asked, "queries"), []
     for label, method, plan in methods(64, 1000, 6, {"mode": "none"}, {"T": 4}, random_masks=False):
         cost = measures.cost_breakdown(points, asked, method, plan, 6, 64)
@@ -279,7 +279,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Which method is advised for documents at 64 and 256 bits."""
     rows = []
     for bits in (64, 256):
-        points, asked = encoders.hold_out(written(fx.docs(spark, sf_dir, bits), "codes"), fx.QUERIES)
+        points, asked = encoders.hold_out(fx.docs(spark, sf_dir, bits), fx.QUERIES)
         for indexed in (False, True):
             advice, told = search.recommend(points, asked, 6, 2.0, bits, fraction=0.5, indexed=indexed)
             rows.append((bits, indexed, advice, round(float(told["near"]), 6), round(float(told["far"]), 6)))
@@ -289,7 +289,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("w_seed_means")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Collisions over five seeds, beside what the bound expects."""
-    points, asked = encoders.hold_out(written(fx.docs(spark, sf_dir, 64), "codes"), fx.QUERIES)
+    points, asked = encoders.hold_out(fx.docs(spark, sf_dir, 64), fx.QUERIES)
     points, asked = written(points, "points"), written(asked, "queries")
 
     def one(seed: int) -> DataFrame:

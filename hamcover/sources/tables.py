@@ -10,6 +10,14 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(rows: DataFrame) -> DataFrame:
+    """Rows for work that costs far more than reading: a table of fewer files than there are cores is dealt out evenly first.
+
+    A file of one row group is one task, however large. Tables of many files are left as they are."""
+    cores = rows.sparkSession.sparkContext.defaultParallelism
+    return rows.repartition(cores) if len(rows.inputFiles()) < cores else rows
+
+
 def read_any(spark: SparkSession, fmt: str, path: str, schema: str | None = None, **options) -> DataFrame:
     """Parquet, ORC, JSON, CSV or text. A schema spares the inference pass of JSON and CSV."""
     reader = spark.read.format(fmt).options(**options)

@@ -131,7 +131,7 @@ planted AS (
 
 
 def sql_distance(n_words: int, a: str = "p", b: str = "q") -> str:
-    return "CAST(" + " + ".join(f"bit_count(xor({a}.w{i}, {b}.w{i}))" for i in range(n_words)) + " AS INT)"
+    return "(" + " + ".join(f"CAST(bit_count(xor({a}.w{i}, {b}.w{i})) AS INT)" for i in range(n_words)) + ")"
 
 
 def sql_word_sets() -> str:

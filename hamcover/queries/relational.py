@@ -150,9 +150,10 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return joined.select(F.coalesce("c_custkey", "o_custkey").alias("custkey"), F.coalesce("n", F.lit(0)).alias("n"), F.col("c_custkey").isNull().alias("unknown"))
 
 
+# Revenue in ten-thousandths, summed as integers: sums of doubles depend on their order.
 @query(
     "j_star_revenue",
-    "SELECT r_name, p_brand, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey JOIN part ON l_partkey = p_partkey GROUP BY ALL",
+    "SELECT r_name, p_brand, CAST(sum(CAST(round(l_extendedprice * (1 - l_discount) * 10000) AS BIGINT)) AS BIGINT) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey JOIN part ON l_partkey = p_partkey GROUP BY ALL",
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     t = {n: load(spark, sf_dir, n) for n in ("lineitem", "orders", "customer", "nation", "region", "part")}
@@ -160,7 +161,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     who = t["customer"].join(F.broadcast(places), F.col("c_nationkey") == F.col("n_nationkey")).select("c_custkey", "r_name")  # a table of countries has a fixed size
     sold = t["lineitem"].join(t["orders"].select("o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey")).join(who, F.col("o_custkey") == F.col("c_custkey"))
     sold = sold.join(t["part"].select("p_partkey", "p_brand"), F.col("l_partkey") == F.col("p_partkey"))
-    return sold.groupBy("r_name", "p_brand").agg(F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue"))
+    return sold.groupBy("r_name", "p_brand").agg(F.sum(F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")) * 10000).cast("bigint")).alias("revenue"))
 
 
 @query("j_self_pairs", f"{CODES}\nSELECT p.id AS a, q.id AS b FROM points p JOIN points q ON p.id < q.id WHERE {fx.sql_distance(1)} <= 2")
@@ -171,9 +172,9 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 # Aggregates.
 
 
-@query("a_group_partial_final", "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(l_quantity) AS BIGINT) AS quantity, round(avg(l_discount), 6) AS discount FROM lineitem GROUP BY ALL")
+@query("a_group_partial_final", "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(l_quantity) AS BIGINT) AS quantity, round(sum(CAST(round(l_discount * 100) AS BIGINT)) / (100.0 * count(*)), 6) AS discount FROM lineitem GROUP BY ALL")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return load(spark, sf_dir, "lineitem").groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("bigint").alias("quantity"), F.round(F.avg("l_discount"), 6).alias("discount"))
+    return load(spark, sf_dir, "lineitem").groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("bigint").alias("quantity"), F.round(F.sum(F.round(F.col("l_discount") * 100).cast("bigint")) / (100.0 * F.count("*")), 6).alias("discount"))
 
 
 @query("a_distinct_counts", "SELECT event_type, count(DISTINCT user_id) AS users FROM events GROUP BY event_type")

@@ -569,18 +569,25 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near.where("qid = id and distance = 0").select("id")
 
 
-@query("activity_codes_report")
+ACTIVITY_RADIUS, ACTIVITY_PARTS = 36, 9
+
+
+@query(
+    "activity_codes_report",
+    f"""WITH kinds AS (SELECT event_type, row_number() OVER (ORDER BY event_type) - 1 AS place FROM (SELECT DISTINCT event_type FROM events)),
+points AS (SELECT user_id AS id, list_sort(list(DISTINCT CAST(hour(ts) * 5 + place AS INT))) AS ones FROM events JOIN kinds USING (event_type) GROUP BY user_id),{fx.sql_hold_out('points', fx.QUERIES)}
+SELECT q.qid, p.id, {fx.SQL_SET_DISTANCE} AS distance FROM pts p, queries q WHERE {fx.SQL_SET_DISTANCE} <= {ACTIVITY_RADIUS}""",
+)
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Codes of 120 bits: hours and types of a user's events."""
-    kinds = ["click", "purchase", "view", "signup", "logout"]
     events = load(spark, sf_dir, "events").select("user_id", F.hour("ts").alias("h"), "event_type")
-    types = [r[0] for r in events.select("event_type").distinct().orderBy("event_type").limit(5).collect()] or kinds
+    types = [r[0] for r in events.select("event_type").distinct().orderBy("event_type").limit(5).collect()]  # there are five
     place = F.array_position(F.array(*map(F.lit, types)), F.col("event_type")).cast("int") - 1
     ones = events.groupBy(F.col("user_id").alias("id")).agg(F.sort_array(F.collect_set(F.col("h") * 5 + place)).alias("ones"))
     from hamcover.functions.bits import ones_to_code
 
     points, asked = encoders.hold_out(ones.select("id", ones_to_code("ones", 120).alias("code")), fx.QUERIES)
-    return search.report_near(points, asked, 6, 120, n=1000, mode="none")
+    return search.report_near(points, asked, ACTIVITY_RADIUS, 120, n=1000, mode="partition", t=ACTIVITY_PARTS)
 
 
 @query(

@@ -569,7 +569,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near.where("qid = id and distance = 0").select("id")
 
 
-ACTIVITY_RADIUS, ACTIVITY_PARTS = 36, 9
+ACTIVITY_RADIUS, ACTIVITY_PARTS = 47, 12
 
 
 @query(

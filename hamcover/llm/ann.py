@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 SHARD_ROWS, QUERY_ROWS = 16_384, 4_096
 PROJECTIONS = 32
-WIDTH, SLACK, GROWTH, FIRST_RADIUS = 0.7, 0.5, 1.25, 0.05
+WIDTH, SLACK, GROWTH, FIRST_RADIUS = 0.7, 1.3, 1.25, 0.05
 #: Distances on the unit sphere are at most 2.
 LAST_RADIUS = 2.0 * GROWTH
 

@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import contextlib
 import os
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -38,20 +37,6 @@ def written(df: DataFrame, what: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-@contextlib.contextmanager
-def settings(spark: SparkSession, **values: str) -> Iterator[None]:
-    """Session settings for the actions inside; underscores in names stand for dots."""
-    names = {k.replace("__", "."): v for k, v in values.items()}
-    before = {k: spark.conf.get(k, None) for k in names}
-    for k, v in names.items():
-        spark.conf.set(k, v)
-    try:
-        yield
-    finally:
-        for k, v in before.items():
-            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
-
-
 #: Bytes of Latin letters and digits and of all non-ASCII characters stay, A-Z turn into a-z, all others separate words.
 _FOLD = bytes(i + 32 if 65 <= i <= 90 else i if 48 <= i <= 57 or 97 <= i <= 122 or i >= 128 else 32 for i in range(256))
 
@@ -66,23 +51,6 @@ def plain_words(text: str | None) -> list[bytes]:
     return text.encode("utf-8", "surrogatepass").split() if text else []
 
 
-class WordHash(dict):
-    """64-bit hashes of words, remembered; forgets all of them when it has grown to `most`."""
-
-    def __init__(self, most: int = 400_000):
-        super().__init__()
-        self.most = most
-
-    def __missing__(self, word: bytes) -> int:
-        self[word] = h = xxhash.xxh3_64_intdigest(word)
-        return h
-
-    def of(self, words: list[bytes]) -> np.ndarray:
-        if len(self) > self.most:
-            self.clear()
-        return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
-
-
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -109,17 +77,73 @@ def gram_hashes(h: np.ndarray, k: int) -> np.ndarray:
     return mixed(out)
 
 
-def batches(function: Callable[[pa.RecordBatch], pa.RecordBatch | None], rows: int = 1024) -> Callable:
-    """A mapInArrow function that hands slices of at most `rows` rows to `function`, so that memory holds one slice's work."""
+_ODD_INVERSE = np.uint64(pow(int(_ODD), -1, 1 << 64))
+_SPACED = np.array([not (i == 32 or 9 <= i <= 13) for i in range(256)])
+_POWERS: dict[int, np.ndarray] = {}
+#: Bytes that are hashed at a time; a longer word is hashed whole.
+HASH_BYTES = 1 << 20
 
-    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in it:
-            for at in range(0, batch.num_rows, rows):
-                out = function(batch.slice(at, rows))
-                if out is not None and out.num_rows:
-                    yield out
 
-    return run
+def _powers(n: int, base: np.uint64) -> np.ndarray:
+    """base ** i modulo 2 ** 64."""
+    have = _POWERS.get(int(base))
+    if have is not None and len(have) >= n:
+        return have[:n]
+    have = np.full(max(n, HASH_BYTES) + 1, base, np.uint64)
+    have[0] = 1
+    have = np.cumprod(have)
+    if n <= 2 * HASH_BYTES:
+        _POWERS[int(base)] = have
+    return have[:n]
+
+
+def _hash_piece(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    inside = _SPACED[data].view(np.int8)
+    edge = np.flatnonzero(np.diff(inside, prepend=0, append=0))
+    begins, ends = edge[::2], edge[1::2]
+    sums = np.zeros(len(data) + 1, np.uint64)
+    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * _powers(len(data), _ODD), out=sums[1:])
+    return begins, mixed((sums[ends] - sums[begins]) * _powers(len(data), _ODD_INVERSE)[begins] + (ends - begins).astype(np.uint64))
+
+
+def hashed_words(texts: list[str | None], folded: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words of all texts (plain words, or folded ones), one text behind the other, and where each text begins (and the last ends).
+
+    A word's hash is a polynomial of its bytes modulo 2 ** 64, taken from running sums over all bytes, piece by piece.
+    """
+    raw = [(t or "").encode("utf-8", "surrogatepass") for t in texts]
+    whole = b" ".join(raw) + b" "
+    if folded:
+        whole = whole.translate(_FOLD)
+    data = np.frombuffer(whole, np.uint8)
+    begins, hashes, at = [np.empty(0, np.int64)], [np.empty(0, np.uint64)], 0
+    while at < len(data):
+        stop = min(len(data), at + HASH_BYTES)
+        if stop < len(data):
+            gaps = np.flatnonzero(~_SPACED[data[at:stop]])
+            if len(gaps):
+                stop = at + int(gaps[-1]) + 1
+            else:  # a word without end in this piece
+                rest = np.flatnonzero(~_SPACED[data[stop:]])
+                stop = stop + int(rest[0]) + 1 if len(rest) else len(data)
+        b, h = _hash_piece(data[at:stop])
+        begins.append(b + at)
+        hashes.append(h)
+        at = stop
+    first = np.cumsum([0] + [len(x) + 1 for x in raw])
+    return np.concatenate(hashes), np.searchsorted(np.concatenate(begins), first)
+
+
+def text_slices(it: Iterator[pa.RecordBatch], size: int, column: str = "text") -> Iterator[pa.RecordBatch]:
+    """Slices of batches that hold about `size` bytes of a text column; a longer text is a slice of its own."""
+    for batch in it:
+        lengths = pc.binary_length(batch.column(batch.schema.get_field_index(column))).to_numpy(zero_copy_only=False)
+        ends = np.cumsum(np.nan_to_num(lengths).astype(np.int64))
+        at = 0
+        while at < batch.num_rows:
+            stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + size, "right")))
+            yield batch.slice(at, stop - at)
+            at = stop
 
 
 def crc_bucket(column: str, n: int):

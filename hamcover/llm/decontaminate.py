@@ -31,8 +31,8 @@ from hamcover.llm.suffixes import Shard
 WINDOW = 10
 #: Bound of what one block broadcasts.
 TEST_BLOCK_CHARS = 32_000_000
-#: A shard ends at so many words kept, or so many bytes of documents.
-SHARD_WORDS, SHARD_BYTES = 1_000_000, 48_000_000
+#: A shard ends at so many bytes of documents.
+SHARD_BYTES = 24_000_000
 
 MATCHES = "array<struct<item_id:string,item_start:int,doc_start:int,length:int>>"
 _ARROW_MATCHES = pa.list_(pa.struct([("item_id", pa.string()), ("item_start", pa.int32()), ("doc_start", pa.int32()), ("length", pa.int32())]))

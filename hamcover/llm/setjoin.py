@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hamcover.llm.common import WordHash, folded_words, gram_hashes, mixed, written
+from hamcover.llm.common import gram_hashes, hashed_words, mixed, text_slices, written
 from hamcover.llm.components import components
 
 WORDS, SIMILARITY = 5, 0.8
@@ -45,13 +45,13 @@ _A = _RNG.integers(0, 1 << 63, COORDINATES, np.uint64) * np.uint64(2) + np.uint6
 _B = _RNG.integers(0, 1 << 63, COORDINATES, np.uint64)
 
 
-def shingles(text: str | None, hashes: WordHash) -> np.ndarray:
-    """Sorted hashes of a text's distinct shingles."""
-    words = folded_words(text)
-    if not words:
-        return np.empty(0, np.uint64)
-    h = hashes.of(words)
-    return np.unique(gram_hashes(h, min(WORDS, len(words))))
+def shingles(texts: list[str | None]) -> list[np.ndarray]:
+    """Sorted hashes of each text's distinct shingles."""
+    h, bounds = hashed_words(texts, folded=True)
+    out = []
+    for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+        out.append(np.unique(gram_hashes(h[a:b], min(WORDS, b - a))) if b > a else np.empty(0, np.uint64))
+    return out
 
 
 def signature(grams: np.ndarray) -> np.ndarray:
@@ -63,27 +63,26 @@ def signature(grams: np.ndarray) -> np.ndarray:
 
 
 def _signatures(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    hashes = WordHash()
-    for whole in it:
-        for i in range(0, whole.num_rows, 2048):
-            batch = whole.slice(i, 2048)
-            ids, keys, keys2, bytes_, roots = [], [], [], [], []
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                grams = shingles(text, hashes)
-                ids.append(doc)
-                if not len(grams):
-                    for x in (keys, keys2, bytes_, roots):
-                        x.append(None)
-                    continue
-                s = signature(grams)
-                keys.append(int(grams.sum().view(np.int64)))
-                keys2.append(int((np.bitwise_xor.reduce(mixed(grams)) + np.uint64(len(grams))).view(np.int64)))
-                bytes_.append((s & np.uint64(255)).astype(np.uint8).tobytes())
-                roots.append(s[:RUNS].tobytes())
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(ids, pa.int64()), pa.array(keys, pa.int64()), pa.array(keys2, pa.int64()), pa.array(bytes_, pa.binary()), pa.array(roots, pa.binary())],
-                names=["doc_id", "k1", "k2", "sig", "roots"],
-            )
+    for batch in text_slices(it, SLICE_BYTES):
+        keys, keys2, bytes_, roots = [], [], [], []
+        for grams in shingles(batch.column(1).to_pylist()):
+            if not len(grams):
+                for x in (keys, keys2, bytes_, roots):
+                    x.append(None)
+                continue
+            s = signature(grams)
+            keys.append(int(grams.sum().view(np.int64)))
+            keys2.append(int((np.bitwise_xor.reduce(mixed(grams)) + np.uint64(len(grams))).view(np.int64)))
+            bytes_.append((s & np.uint64(255)).astype(np.uint8).tobytes())
+            roots.append(s[:RUNS].tobytes())
+        yield pa.RecordBatch.from_arrays(
+            [batch.column(0), pa.array(keys, pa.int64()), pa.array(keys2, pa.int64()), pa.array(bytes_, pa.binary()), pa.array(roots, pa.binary())],
+            names=["doc_id", "k1", "k2", "sig", "roots"],
+        )
+
+
+#: Bytes of texts that a task hashes at once, but for a single longer text.
+SLICE_BYTES = 1 << 20
 
 
 def _roots(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -207,21 +206,20 @@ def candidate_pairs(sets: DataFrame) -> DataFrame:
 
 def _verify(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows come sorted by a, so its shingles are mostly those of the row before."""
-    hashes, last, grams = WordHash(), None, np.empty(0, np.uint64)
-    for whole in it:
-        for i in range(0, whole.num_rows, 256):
-            batch = whole.slice(i, 256)
-            keep = []
-            for k, (a, one, two) in enumerate(zip(*(batch.column(c).to_pylist() for c in (0, 2, 3)), strict=True)):
-                if a != last:
-                    last, grams = a, shingles(one, hashes)
-                other = shingles(two, hashes)
-                both = np.concatenate([grams, other])
-                both.sort()
-                shared = int((both[1:] == both[:-1]).sum())
-                if shared >= SIMILARITY * (len(both) - shared) - 1e-9 * len(both):
-                    keep.append(k)
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(keep, pa.int64())), batch.column(1).take(pa.array(keep, pa.int64()))], names=["a", "b"])
+    last, grams = None, np.empty(0, np.uint64)
+    for batch in text_slices(it, SLICE_BYTES, "two"):
+        keep = []
+        others = shingles(batch.column(3).to_pylist())
+        for k, (a, other) in enumerate(zip(batch.column(0).to_pylist(), others, strict=True)):
+            if a != last:
+                last, grams = a, shingles([batch.column(2)[k].as_py()])[0]
+            both = np.concatenate([grams, other])
+            both.sort()
+            shared = int((both[1:] == both[:-1]).sum())
+            if shared >= SIMILARITY * (len(both) - shared) - 1e-9 * len(both):
+                keep.append(k)
+        at = pa.array(keep, pa.int64())
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at)], names=["a", "b"])
 
 
 def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:

@@ -27,11 +27,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hamcover.llm.common import SHA256_OF_NOTHING, gram_hashes, mixed, plain_words, written
+from hamcover.llm.common import SHA256_OF_NOTHING, gram_hashes, hashed_words, mixed, plain_words, text_slices, written
 from hamcover.llm.fmindex import FmIndex
 
 WINDOW, ANCHOR = 13, 4
@@ -40,39 +39,6 @@ SHARD_CODES = 500_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
-def word_hashes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of the words of all texts, one text behind the other, and where each text begins (and the last ends).
-
-    A word's hash is a polynomial of its bytes modulo 2 ** 64, taken from running sums over all bytes.
-    """
-    raw = [(t or "").encode("utf-8", "surrogatepass") for t in texts]
-    data = np.frombuffer(b" ".join(raw) + b" ", np.uint8)
-    inside = _INSIDE[data].view(np.int8)
-    edge = np.flatnonzero(np.diff(inside, prepend=0))
-    begins, ends = edge[::2], edge[1::2]
-    sums = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * _powers(len(data), _STEP), out=sums[1:])
-    hashes = mixed((sums[ends] - sums[begins]) * _powers(len(data), _STEP_INVERSE)[begins] + (ends - begins).astype(np.uint64))
-    first = np.cumsum([0] + [len(x) + 1 for x in raw])
-    return hashes, np.searchsorted(begins, first)
-
-
-#: Bytes that are part of words.
-_INSIDE = np.array([not (i == 32 or 9 <= i <= 13) for i in range(256)])
-_STEP_INVERSE = np.uint64(pow(int(_STEP), -1, 1 << 64))
-_POWERS: dict[int, np.ndarray] = {}
-
-
-def _powers(n: int, base: np.uint64) -> np.ndarray:
-    """base ** i modulo 2 ** 64."""
-    have = _POWERS.get(int(base))
-    if have is None or len(have) < n:
-        have = np.full(max(n, 1 << 20) + 1, base, np.uint64)
-        have[0] = 1
-        _POWERS[int(base)] = have = np.cumprod(have)
-    return have[:n]
-
-
 def segments(h: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of texts' word hashes: text, key, first word (in h) and number of windows of each segment, in order."""
     n = len(h) - WINDOW + 1
@@ -100,8 +66,8 @@ def _emit_keys(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     A key that several documents of a slice have is told once, however many they are, and their own rows go
     anywhere (dest), so a common key makes no large partition."""
-    for batch in _slices(it):
-        text, key, _, _ = segments(*word_hashes(batch.column(1).to_pylist()))
+    for batch in text_slices(it, SLICE_BYTES):
+        text, key, _, _ = segments(*hashed_words(batch.column(1).to_pylist()))
         if not len(key):
             continue
         order = np.lexsort((text, key))
@@ -125,22 +91,6 @@ def _emit_keys(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 SLICE_BYTES = 4 << 20
 
 
-def _slices(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Slices of batches that hold about SLICE_BYTES of text."""
-    for batch in it:
-        sizes = np.cumsum(np.diff(_offsets(batch)))
-        at = 0
-        while at < batch.num_rows:
-            stop = max(at + 1, int(np.searchsorted(sizes, (sizes[at - 1] if at else 0) + SLICE_BYTES, "right")))
-            yield batch.slice(at, stop - at)
-            at = stop
-
-
-def _offsets(batch: pa.RecordBatch) -> np.ndarray:
-    text = batch.column(batch.schema.get_field_index("text"))
-    return np.concatenate([[0], np.cumsum(np.nan_to_num(pc.binary_length(text).to_numpy(zero_copy_only=False)))]).astype(np.int64)
-
-
 def _repeated(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows come sorted by key. Those that ask stay if a neighbour has the key and another document; one row waits for the next batch."""
     held = None
@@ -178,9 +128,9 @@ def _segment_rows(contents: bool):
     else places: (seg, doc_id, start)."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in _slices(it):
+        for batch in text_slices(it, SLICE_BYTES):
             names = batch.schema.names
-            h, bounds = word_hashes(batch.column(names.index("text")).to_pylist())
+            h, bounds = hashed_words(batch.column(names.index("text")).to_pylist())
             text, key, start, windows = segments(h, bounds)
             lists = batch.column(names.index("keys"))
             asked = lists.flatten().to_numpy().view(np.uint64)

@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from hamcover.llm import decontaminate, setjoin, substrings
-from hamcover.llm.common import WordHash, folded_words, plain_words
+from hamcover.llm import common
+from hamcover.llm.common import folded_words, hashed_words, plain_words
 from hamcover.llm.components import components
 from hamcover.llm.fmindex import FmIndex
 from hamcover.llm.suffixes import Shard, suffix_array
@@ -26,6 +27,21 @@ def test_words():
         assert [w.decode() for w in plain_words(t)] == PLAIN.findall(t or "")
 
 
+def test_hashed_words(monkeypatch):
+    texts = [*HARD, "same words here", "here same", "", "x" * 500 + " y", None, "words"]
+    for folded, split in ((False, plain_words), (True, folded_words)):
+        for size in (1 << 20, 64, 7):
+            monkeypatch.setattr(common, "HASH_BYTES", size)
+            h, bounds = hashed_words(texts, folded)
+            every = [w for t in texts for w in split(t)]
+            assert np.diff(bounds).tolist() == [len(split(t)) for t in texts] and len(h) == len(every)
+            known = {}
+            assert all(known.setdefault(w, x) == x for w, x in zip(every, h.tolist(), strict=True)) and len(set(known.values())) == len(known)
+            if size == 1 << 20:
+                first = h
+            assert (h == first).all()
+
+
 def vocabulary_texts(n, words, low, high, seed):
     rng = np.random.default_rng(seed)
     return [" ".join(f"w{rng.integers(words)}" for _ in range(rng.integers(low, high))) for _ in range(n)]
@@ -97,7 +113,7 @@ def test_decontamination(spark, make_docs, monkeypatch):
     want = brute_hits(list(enumerate(texts)), items, 4)
     for block in (32_000_000, 100):
         monkeypatch.setattr(decontaminate, "TEST_BLOCK_CHARS", block)
-        monkeypatch.setattr(decontaminate, "SHARD_BYTES", 2_000 if block == 100 else 48_000_000)
+        monkeypatch.setattr(decontaminate, "SHARD_BYTES", 2_000 if block == 100 else 24_000_000)
         found = decontaminate.find_matches(docs, tests, window=4)
         got = found.select("doc_id", "decontamination.n_words", decontaminate.n_hit("decontamination").alias("n_hit"), decontaminate.item_ids("decontamination").alias("ids"), "decontamination.matches", "text").collect()
         assert {r.doc_id: (r.n_words, r.n_hit, set(r.ids)) for r in got} == want
@@ -115,8 +131,8 @@ def test_decontamination(spark, make_docs, monkeypatch):
 
 
 def brute_classes(texts):
-    h = WordHash()
-    sets = [set(setjoin.shingles(t, h).tolist()) for t in texts]
+    words = [[w.decode() for w in folded_words(t)] for t in texts]
+    sets = [{tuple(w[i : i + min(5, len(w))]) for i in range(len(w) - min(5, len(w)) + 1)} if w else set() for w in words]
     parent = list(range(len(texts)))
 
     def find(x):

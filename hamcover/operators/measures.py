@@ -37,6 +37,11 @@ def scan_speedup(points: int, queries: int, n_candidates: int) -> float:
     return points * queries / max(1, n_candidates)
 
 
+def index_bytes(n: int, tables: int, each: int = 24) -> int:
+    """Size of stored bucket rows before compression: part, table, bucket and id of each point in each table."""
+    return n * tables * each
+
+
 def collisions(hits: DataFrame) -> DataFrame:
     """By query: hits with repetitions, and distinct points."""
     return hits.groupBy("qid").agg(F.count("*").alias("n_collisions"), F.count_distinct("id").alias("n_candidates"))

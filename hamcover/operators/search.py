@@ -159,6 +159,13 @@ def hits_of(points: DataFrame, queries: DataFrame, method: str, plan, carry: boo
     return probe(hash_points(points, method, plan, carry), hash_queries(queries, method, plan, carry), n)
 
 
+def data_side_hits(points: DataFrame, queries: DataFrame, plan: SubstringPlan) -> DataFrame:
+    """Hits of substrings with the neighbourhoods listed for the points: pays if queries are many times the points."""
+    rows = hashers.substring_probes(points.select(F.col("id").alias("qid"), "code"), plan).withColumnRenamed("qid", "id")
+    probes = hashers.substring_hash(queries.select(F.col("qid").alias("id"), "code"), plan).withColumnRenamed("id", "qid")
+    return probe(rows, probes, queries.count() * plan.tables)
+
+
 def linear_scan(points: DataFrame, queries: DataFrame, r: int, d: int | None = None) -> DataFrame:
     """Every point against every query of a small set: exact, and the truth that others are held against."""
     value = _value(points)

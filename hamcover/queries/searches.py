@@ -354,6 +354,12 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.collisions(search.hits_of(points, asked, "multi_index", MULTI))
 
 
+@query("multi_index_data_side", multi_sql(7))
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, asked = doc_set(spark, sf_dir)
+    return measures.collisions(search.data_side_hits(points, asked, MULTI))
+
+
 @query("multi_index_uneven_report", near_sql(doc_sql(64), 1, 8))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)

@@ -13,7 +13,7 @@ from hamcover.functions import encoders
 from hamcover.operators import measures, search
 from hamcover.plans.params import CoverPlan, SubstringPlan, expected_far, hash_cost, min_family_size, plan_bit_sampling, plan_cover, plan_multi_index, rho
 from hamcover.queries import fixtures as fx
-from hamcover.sources import load
+from hamcover.sources import load, spread
 from hamcover.sources.shared import written
 
 QUERIES: dict = {}
@@ -45,6 +45,11 @@ def methods(d: int, n: int, r: int, cover: dict, multi: dict | None = None, rand
     return found
 
 
+def kept(points: DataFrame) -> DataFrame:
+    """Points, written once in as many files as there are cores, if their source has fewer."""
+    return written(spread(points), "points")
+
+
 def tables_of(plan) -> int:
     return plan.total_tables if isinstance(plan, CoverPlan) else plan.tables
 
@@ -70,7 +75,7 @@ def result(spark: SparkSession, rows: list[tuple]) -> DataFrame:
 
 def _uniform(spark, sf_dir, below, radii, copies=2):
     points, asked = encoders.hold_out(fx.uniform(spark, sf_dir, below=below), fx.QUERIES)
-    points = written(fx.with_planted(points, asked, radii, copies, 128), "points")
+    points = kept(fx.with_planted(points, asked, radii, copies, 128))
     return points, written(asked, "queries"), points.count()
 
 
@@ -114,7 +119,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows, ready = [], {}
     for d, r in [(128, r) for r in (3, 4, 5, 6, 7)] + [(d, 5) for d in (32, 64, 256, 512)]:
         if d not in ready:
-            ready[d] = written(fx.uniform(spark, sf_dir, d, below=65_536), "points")
+            ready[d] = kept(fx.uniform(spark, sf_dir, d, below=65_536))
             n = ready[d].count()
         plan = plan_cover(d, n, r, mode="none", prime=(1 << 31) - 1)
         for method in ("transform_cover", "masked_cover"):
@@ -149,7 +154,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _images(spark, sf_dir, bits, radii, copies=2):
     codes = fx.images(spark, sf_dir, bits, projected=bits == 128)
     points, asked = encoders.hold_out(codes, fx.QUERIES)
-    return written(fx.with_planted(points, asked, radii, copies, bits), "points"), written(asked, "queries")
+    return kept(fx.with_planted(points, asked, radii, copies, bits)), written(asked, "queries")
 
 
 @query("w_recall_images")
@@ -186,7 +191,7 @@ def _text(name, timed):
         rows = []
         for bits, radii in ((256, (3, 6, 8)), (512, (10, 13, 15))):
             points, asked = encoders.hold_out(fx.docs(spark, sf_dir, bits), fx.QUERIES)
-            points, asked = written(points, "points"), written(asked, "queries")
+            points, asked = kept(points), written(asked, "queries")
             truth = written(search.linear_scan(points, asked, max(radii), bits), "truth")
             n = points.count()
             for r in radii:
@@ -207,7 +212,7 @@ def _sets(name, codes, width, radii, policy, timed, planted=()):
         points, asked = encoders.hold_out(written(codes(spark, sf_dir), "sets"), fx.SET_QUERIES)
         if planted:
             points = points.select("id", "ones").unionByName(encoders.plant_sets(asked, list(planted), 2, width(spark, sf_dir)).select("id", "ones"))
-        points, asked = written(points, "points"), written(asked, "queries")
+        points, asked = kept(points), written(asked, "queries")
         truth = written(search.linear_scan(points, asked, max(radii)), "truth")
         n, d, rows = points.count(), width(spark, sf_dir), []
         for r in radii:
@@ -228,7 +233,7 @@ query("w_cpu_words")(_sets("words", fx.words, fx.vocabulary_size, (10, 20), "wor
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds of hashing queries, finding candidates and verifying, over stored bucket rows."""
     points, asked = encoders.hold_out(fx.docs(spark, sf_dir, 64), fx.QUERIES)
-    points, asked, rows = written(points, "points"), written(asked, "queries"), []
+    points, asked, rows = kept(points), written(asked, "queries"), []
     for label, method, plan in methods(64, 1000, 6, {"mode": "none"}, {"T": 4}, random_masks=False):
         cost = measures.cost_breakdown(points, asked, method, plan, 6, 64)
         rows.append((label, tables_of(plan), *(float(cost[k]) for k in ("s1_hash", "s2_candidates", "s3_verify"))))
@@ -290,7 +295,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Collisions over five seeds, beside what the bound expects."""
     points, asked = encoders.hold_out(fx.docs(spark, sf_dir, 64), fx.QUERIES)
-    points, asked = written(points, "points"), written(asked, "queries")
+    points, asked = kept(points), written(asked, "queries")
 
     def one(seed: int) -> DataFrame:
         return search.hits_of(points, asked, "transform_cover", plan_cover(64, 1000, 6, mode="none", seed=seed)).agg(F.count("*").alias("n_collisions"))

@@ -4,17 +4,16 @@ A document is the set of its five-word shingles, and links are pairs of Jaccard
 same set are joined first; the rest works on one of each such class.
 
 A set becomes `COORDINATES` min-hash values, each a shingle drawn alike for all sets. A run begins with a
-bucket for each value of one coordinate and splits buckets further on sampled coordinates: a bucket of at most `LEAF`
-sets is compared in full; in a larger one all are compared with `LEADERS` leaders drawn at random, those alike to one leave with that link, and the
-others go on to buckets of `DEPTH` sampled coordinates (0.8 ** -DEPTH buckets on average, so a pair at the threshold has one bucket
-in common per level on average). Runs have leaders and coordinates of their own. A pair at the threshold
-misses all first buckets of `RUNS` runs with a chance of 0.2 ** RUNS, about 3e-6; more alike pairs less often.
+bucket for each value of one coordinate. Every bucket is compared in full, and no row leaves one before that: up to `LEAF` sets in one
+piece, more in tiles of two blocks of at most about `BLOCK` sets each, which are dealt to different tasks. Only a bucket of more than `SPLIT` sets whose
+sampled sets are so unlike that it saves half of the comparisons is split further instead: all its rows go on to `CHILDREN` buckets of `DEPTH` sampled coordinates each.
 
-Comparisons in buckets use 64 bytes, one for each coordinate; pairs whose estimate is `SCREEN` or more are then verified with their whole texts.
-Links inside a large group of near copies are stars around its leaders and all pairs of the leaves, not all pairs of
-the group: such a group keeps its class and every text a verified link, and the work stays linear.
+A pair at the threshold misses all first buckets of `RUNS` runs with a chance of 0.2 ** RUNS, about 3e-6, whatever the buckets' sizes; a split adds
+(1 - 0.8 ** DEPTH) ** CHILDREN, about 2e-6, for each level. More alike pairs are missed less often.
 
-Bucket sizes come from partial aggregations; the rows of a bucket are never gathered beyond `LEAF`, and Spark can split a large bucket's join with its leader.
+Comparisons use 64 bytes, one for each coordinate; pairs whose estimate is `SCREEN` or more are then verified with their whole texts.
+A pair counts in the first of its common buckets only. Pairs of tiles are verified where they meet: a tile gives each set's links as a number
+and one link for each set to the rest of its class, so rows made grow with the sets while every pair counts.
 
 Defined results: fewer than five words make one shingle of all words; a document without words is a class of its own with no
 links; rows of one doc_id are one document; a row without doc_id has no class; repeated rows get one result each; ties go to the least doc_id.
@@ -22,7 +21,6 @@ links; rows of one doc_id are one document; a row without doc_id has no class; r
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -34,10 +32,9 @@ from hamcover.llm.common import gram_hashes, hashed_words, mixed, text_slices, w
 from hamcover.llm.components import components
 
 WORDS, SIMILARITY = 5, 0.8
-COORDINATES, RUNS, LEAF, LEADERS, DEPTH = 64, 8, 48, 24, 4
+COORDINATES, RUNS, LEAF, BLOCK, SPLIT = 64, 8, 48, 512, 1 << 14
+DEPTH, CHILDREN, SAMPLED, LEVELS = 4, 25, 24, 8
 SCREEN = 0.55
-#: A row leaves a large bucket when its estimate with a leader is so high that what it links to is near the leader, too.
-ABSORB = 0.87
 SEED = 7
 
 _RNG = np.random.default_rng(SEED)
@@ -86,13 +83,15 @@ SLICE_BYTES = 1 << 20
 
 
 def _roots(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """First buckets of a set: one per run."""
+    """First buckets of a set: one per run. `path` has the bucket and the child's number of each split on the way."""
     for batch in it:
         if batch.num_rows:
             reps = batch.column(0).to_numpy()
             values = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint64).reshape(-1, RUNS)
             nodes = mixed(values + np.arange(1, RUNS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-            yield pa.RecordBatch.from_arrays([pa.array(nodes.ravel().view(np.int64)), pa.array(np.repeat(reps, RUNS))], names=["node", "rep"])
+            runs = np.tile(np.arange(RUNS, dtype=np.int32), len(reps))
+            path = pa.ListArray.from_arrays(np.zeros(len(runs) + 1, np.int32), pa.array([], pa.int64()))
+            yield pa.RecordBatch.from_arrays([pa.array(nodes.ravel().view(np.int64)), pa.array(np.repeat(reps, RUNS)), pa.array(runs), path], names=["node", "rep", "run", "path"])
 
 
 def _alike(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -104,104 +103,214 @@ def _bytes(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, COORDINATES)
 
 
+def _child(nodes: np.ndarray, j: int, sigs: np.ndarray) -> np.ndarray:
+    """The j-th bucket that rows of `nodes` go on to: `DEPTH` coordinates, drawn by the bucket."""
+    child = mixed(mixed(nodes.view(np.uint64)) + np.uint64(j + 1))
+    for _ in range(DEPTH):
+        coordinate = (child >> np.uint64(20)) % np.uint64(COORDINATES)
+        value = sigs[np.arange(len(sigs)), coordinate.astype(np.int64)].astype(np.uint64)
+        child = mixed(child + (value + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15))
+    return child.view(np.int64)
+
+
+def _first(run: np.ndarray, paths: list[list[int]], a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """For pairs of rows of a bucket, each given as signatures and roots: true where no bucket of an earlier run, or earlier child on the path, has both."""
+    first = (a[1] == b[1]).argmax(axis=1) == run
+    for k in np.flatnonzero(first).tolist() if any(map(len, paths)) else ():
+        for node, j in zip(paths[k][::2], paths[k][1::2], strict=True):
+            at = np.array([node])
+            first[k] &= not any(_child(at, i, a[0][k : k + 1]) == _child(at, i, b[0][k : k + 1]) for i in range(j))
+    return first
+
+
+def _hashes(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint64).reshape(-1, RUNS)
+
+
 def _leaves(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """All pairs of each small bucket that pass the screen. Rows come sorted by bucket; the last rows of a batch wait for the next."""
     nodes, reps, sigs = np.empty(0, np.int64), np.empty(0, np.int64), np.empty((0, COORDINATES), np.uint8)
+    runs, roots, paths = np.empty(0, np.int32), np.empty((0, RUNS), np.uint64), []
     for batch in it:
         if not batch.num_rows:
             continue
         first = len(nodes)
         nodes, reps = np.append(nodes, batch.column(0).to_numpy()), np.append(reps, batch.column(1).to_numpy())
-        sigs = np.concatenate([sigs, _bytes(batch.column(2))])
+        sigs, roots = np.concatenate([sigs, _bytes(batch.column(2))]), np.concatenate([roots, _hashes(batch.column(3))])
+        runs, paths = np.append(runs, batch.column(4).to_numpy()), paths + batch.column(5).to_pylist()
         left, right = [], []
         for d in range(1, LEAF):
             at = np.flatnonzero(nodes[d:] == nodes[:-d]) if d < len(nodes) else np.empty(0, np.int64)
             at = at[at + d >= first]
             if len(at):
                 at = at[_alike(sigs[at], sigs[at + d]) >= SCREEN]
+                at = at[_first(runs[at], [paths[k] for k in at.tolist()], (sigs[at], roots[at]), (sigs[at + d], roots[at + d]))]
                 left.append(reps[at])
                 right.append(reps[at + d])
         if left:
             a, b = np.concatenate(left), np.concatenate(right)
             yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["a", "b"])
-        nodes, reps, sigs = nodes[-LEAF:], reps[-LEAF:], sigs[-LEAF:]
+        nodes, reps, sigs, runs, roots, paths = nodes[-LEAF:], reps[-LEAF:], sigs[-LEAF:], runs[-LEAF:], roots[-LEAF:], paths[-LEAF:]
+
+
+def _splitting(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Buckets, each with signatures of some of its rows: those that are worth a split."""
+    for batch in it:
+        keep = []
+        for node, sample in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            sigs = np.frombuffer(b"".join(sample), np.uint8).reshape(-1, COORDINATES)
+            a, b = np.triu_indices(len(sigs), 1)
+            if CHILDREN * (np.maximum(0, _alike(sigs[a], sigs[b])) ** DEPTH).mean() <= 0.5:
+                keep.append(node)
+        yield pa.RecordBatch.from_arrays([pa.array(keep, pa.int64())], names=["node"])
 
 
 def _descend(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of large buckets, each beside its bucket's leaders. Gives (rep, leader) of the two most alike leaders that pass the screen, with no node,
-    and (rep, node) of each bucket that a row goes on to."""
+    """Rows of buckets that are split, in all of their next buckets."""
+    for whole in it:
+        for at in range(0, whole.num_rows, 1024):
+            batch = whole.slice(at, 1024)
+            nodes, sigs = batch.column(0).to_numpy(), _bytes(batch.column(2))
+            runs, paths = batch.column(3), batch.column(4).to_pylist()
+            for j in range(CHILDREN):
+                on = pa.array([[*p, n, j] for p, n in zip(paths, nodes.tolist(), strict=True)], pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([pa.array(_child(nodes, j, sigs)), batch.column(1), runs, on], names=["node", "rep", "run", "path"])
+
+
+def _tiles(it: Iterator[pa.RecordBatch]) -> Iterator[list[pa.RecordBatch]]:
+    """The rows of each tile, from rows that come sorted by the tile's node, i and j."""
+    held, last = [], None
     for batch in it:
         if not batch.num_rows:
             continue
-        nodes, reps = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-        sigs = _bytes(batch.column(2))
-        led = batch.column(3)
-        sizes = np.diff(led.offsets.to_numpy())
-        leader, leader_sig = (led.flatten().field(k) for k in ("rep", "sig"))
-        row = np.repeat(np.arange(len(reps)), sizes)
-        place = np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-        ids, alike = np.full((len(reps), LEADERS), -1, np.int64), np.full((len(reps), LEADERS), -1.0)
-        ids[row, place] = leader.to_numpy()
-        alike[row, place] = _alike(sigs[row], _bytes(leader_sig))
-        own = (ids == reps[:, None]).any(axis=1)
-        alike[ids == reps[:, None]] = -1
-        every = np.arange(len(reps))
-        kinds, out_rep, out_leader, out_node = [], [], [], []
-        on = None
-        for _ in range(2):
-            best = alike.argmax(axis=1)
-            how = alike[every, best]
-            if on is None:
-                on = np.flatnonzero((how < ABSORB) & ~own)
-            linked = np.flatnonzero(how >= SCREEN)
-            kinds.append(np.ones(len(linked), bool))
-            out_rep.append(reps[linked])
-            out_leader.append(ids[linked, best[linked]])
-            out_node.append(np.zeros(len(linked), np.int64))
-            alike[every, best] = -1
-        # Children are drawn by the bucket: `DEPTH` coordinates each, and on average as many children as keep one in common for a pair at the threshold.
-        seed = mixed(nodes[on].view(np.uint64))
-        spread = SIMILARITY**-DEPTH
-        for j in range(math.ceil(spread)):
-            draw = mixed(seed + np.uint64(j + 1))
-            chance = min(1.0, spread - j)
-            take = np.flatnonzero((mixed(draw) >> np.uint64(44)) < np.uint64(round(chance * (1 << 20))))
-            child = draw[take]
-            for _ in range(DEPTH):
-                coordinate = (child >> np.uint64(20)) % np.uint64(COORDINATES)
-                value = sigs[on[take], coordinate.astype(np.int64)].astype(np.uint64)
-                child = mixed(child + (value + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15))
-            kinds.append(np.zeros(len(take), bool))
-            out_rep.append(reps[on[take]])
-            out_leader.append(np.full(len(take), -1, np.int64))
-            out_node.append(child.view(np.int64))
-        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (kinds, out_node, out_rep, out_leader)], names=["is_link", "node", "rep", "leader"])
-
-
-def candidate_pairs(sets: DataFrame) -> DataFrame:
-    """sets: rep, sig, roots. Returns distinct a < b whose estimate passes the screen."""
-    sigs = sets.select("rep", "sig")
-    rows, parts = sets.select("rep", "roots").mapInArrow(_roots, "node bigint, rep bigint"), []
+        keys = np.stack([batch.column(batch.schema.get_field_index(k)).to_numpy() for k in ("node", "i", "j")], axis=1)
+        cuts = [0, *(np.flatnonzero((keys[1:] != keys[:-1]).any(axis=1)) + 1).tolist(), batch.num_rows]
+        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+            if held and keys[a].tolist() != last:
+                yield held
+                held = []
+            last = keys[a].tolist()
+            held.append(batch.slice(a, b - a))
+    if held:
+        yield held
+
+
+def _pairs_of(tile: list[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pairs of a tile that pass the screen and count here, by the first place."""
+    column = lambda name: pa.concat_arrays([x.column(x.schema.get_field_index(name)) for x in tile])
+    sigs, roots, block = _bytes(column("sig")), _hashes(column("roots")), column("block").to_numpy()
+    run, path = tile[0]["run"][0].as_py(), tile[0]["path"][0].as_py()
+    i, j = tile[0]["i"][0].as_py(), tile[0]["j"][0].as_py()
+    others, left, right = np.flatnonzero(block == j), [], []
+    for a in np.flatnonzero(block == i).tolist():
+        b = others[others > a] if i == j else others
+        b = b[_alike(sigs[b], sigs[a]) >= SCREEN] if len(b) else b
+        if len(b):
+            same = np.full(len(b), a)
+            b = b[_first(np.full(len(b), run), [path] * len(b), (sigs[same], roots[same]), (sigs[b], roots[b]))]
+        left.append(np.full(len(b), a))
+        right.append(b)
+    return (np.concatenate(left), np.concatenate(right)) if left else (np.empty(0, np.int64), np.empty(0, np.int64))
+
+
+def _meeting(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of tiles that are in one of the tile's pairs: only their texts are needed."""
+    for tile in _tiles(it):
+        a, b = _pairs_of(tile)
+        if len(a):
+            yield pa.Table.from_batches(tile).take(pa.array(np.union1d(a, b))).combine_chunks().to_batches()[0]
+
+
+def _sets_of(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts become their sets, so that a tile holds no texts."""
+    for batch in text_slices(it, SLICE_BYTES):
+        at = batch.schema.get_field_index("text")
+        grams = pa.array([x.tobytes() for x in shingles(batch.column(at).to_pylist())], pa.large_binary())
+        yield pa.RecordBatch.from_arrays([grams if k == at else batch.column(k) for k in range(batch.num_columns)], names=batch.schema.names)
+
+
+def _joined(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The least place of each place's component."""
+    label = np.arange(n)
+    while True:
+        was = label.copy()
+        least = np.minimum(label[a], label[b])
+        np.minimum.at(label, a, least)
+        np.minimum.at(label, b, least)
+        label = label[label]
+        if (label == was).all():
+            return label
+
+
+def _verify_tiles(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """For each set of a tile that has links: a, b (a set of the same class, or itself) and the number of documents it is linked to here."""
+    for tile in _tiles(_sets_of(it)):
+        a, b = _pairs_of(tile)
+        column = lambda name, tile=tile: pa.concat_arrays([x.column(x.schema.get_field_index(name)) for x in tile])
+        sets = [np.frombuffer(x, np.uint64) for x in column("text").to_pylist()]
+        sizes = np.array([len(x) for x in sets])
+        every, ids = np.unique(np.concatenate(sets), return_inverse=True)
+        ends = np.cumsum(sizes)
+        own, keep = np.zeros(len(every), bool), []
+        for x in np.unique(a).tolist():
+            own[:] = False
+            own[ids[ends[x] - sizes[x] : ends[x]]] = True
+            at = np.flatnonzero(a == x)
+            for k in at.tolist():
+                y = b[k]
+                shared = np.count_nonzero(own[ids[ends[y] - sizes[y] : ends[y]]])
+                both = sizes[x] + sizes[y]
+                if shared >= SIMILARITY * (both - shared) - 1e-9 * both:
+                    keep.append(k)
+        if keep:
+            a, b = a[keep], b[keep]
+            reps, copies = column("rep").to_numpy(), column("copies").to_numpy()
+            links = np.zeros(len(reps), np.int64)
+            np.add.at(links, a, copies[b])
+            np.add.at(links, b, copies[a])
+            at = np.flatnonzero(links)
+            yield pa.RecordBatch.from_arrays([pa.array(reps[at]), pa.array(reps[_joined(len(reps), a, b)][at]), pa.array(links[at])], names=["a", "b", "links"])
+
+
+def candidates(sets: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """sets: rep, sig, roots, copies. Returns the pairs a < b of small buckets whose estimate passes the screen, and the rows of large ones with their sizes n."""
+    sigs = sets.select("rep", "sig", "roots", "copies")
+    rows, small, large, level = sets.select("rep", "roots").mapInArrow(_roots, "node bigint, rep bigint, run int, path array<bigint>"), [], [], 0
     drawn = F.xxhash64("node", "rep")  # another order in each bucket
     while True:
         sizes = rows.groupBy("node").agg(F.count("*").alias("n")).where("n > 1")
         live = rows.join(written(sizes, "bucket-sizes"), "node")
-        live = written(live.join(sigs, "rep").select("node", "rep", "sig", "n"), "buckets")
-        small = live.where(F.col("n") <= LEAF).select("node", "rep", "sig").repartition("node").sortWithinPartitions("node", "rep")
-        parts.append(small.mapInArrow(_leaves, "a bigint, b bigint"))
-        large = live.where(F.col("n") > LEAF).select("node", "rep", "sig")
-        # One leader of each of several slots: at most LEADERS rows of a bucket meet.
-        one = large.groupBy("node", F.pmod(drawn, F.lit(LEADERS)).alias("slot")).agg(F.min(F.struct(drawn.alias("o"), "rep", "sig")).alias("x"))
-        leaders = written(one.groupBy("node").agg(F.collect_list(F.struct("x.rep", "x.sig")).alias("leaders")), "leaders")
-        if not leaders.limit(1).count():
+        live = written(live.join(sigs, "rep").select("node", "rep", "sig", "roots", "run", "path", "n", "copies"), "buckets")
+        few = live.where(F.col("n") <= LEAF).select("node", "rep", "sig", "roots", "run", "path").repartition("node").sortWithinPartitions("node", "rep")
+        small.append(few.mapInArrow(_leaves, "a bigint, b bigint"))
+        many = live.where(F.col("n") > LEAF)
+        # One row of each of several slots: at most SAMPLED rows of a bucket meet.
+        one = many.where(F.col("n") > SPLIT).groupBy("node", F.pmod(drawn, F.lit(SAMPLED)).alias("slot")).agg(F.min(F.struct(drawn.alias("o"), "sig")).alias("x"))
+        splits = written(one.groupBy("node").agg(F.collect_list("x.sig").alias("sample")).mapInArrow(_splitting, "node bigint"), "splits")
+        if level == LEVELS or not splits.limit(1).count():
+            large.append(many)
             break
-        went = written(large.join(leaders, "node").select("node", "rep", "sig", "leaders").mapInArrow(_descend, "is_link boolean, node bigint, rep bigint, leader bigint"), "descent")
-        parts.append(went.where("is_link").select(F.least("rep", "leader").alias("a"), F.greatest("rep", "leader").alias("b")))
-        rows = went.where("not is_link").select("node", "rep").distinct()
-    found = parts[0]
-    for part in parts[1:]:
+        large.append(many.join(splits, "node", "left_anti").select(*many.columns))
+        down = many.join(splits, "node", "left_semi").select("node", "rep", "sig", "run", "path")
+        rows, level = down.mapInArrow(_descend, "node bigint, rep bigint, run int, path array<bigint>"), level + 1
+    found, tiled = small[0], large[0]
+    for part in small[1:]:
         found = found.union(part)
-    return written(found.distinct(), "pairs")
+    for part in large[1:]:
+        tiled = tiled.union(part)
+    return written(found, "pairs"), tiled
+
+
+def tile_links(rows: DataFrame, docs: DataFrame) -> DataFrame:
+    """rows: of large buckets. Returns a, b, links as _verify_tiles() has them."""
+    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("node", "rep"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    rows = rows.select("node", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rep", "sig", "roots", "run", "path", "copies")
+    dealt = lambda x: x.repartition("node", "i", "j").sortWithinPartitions("node", "i", "j", "rep")
+    meeting = written(dealt(rows).mapInArrow(_meeting, rows.schema), "meeting")
+    texts = written(docs.hint("merge").join(meeting.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "tile-texts")
+    with_texts = meeting.join(texts.select(F.col("doc_id").alias("rep"), "text").hint("merge"), "rep").select(*meeting.columns, "text")
+    return dealt(with_texts).mapInArrow(_verify_tiles, "a bigint, b bigint, links bigint")
 
 
 def _verify(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -243,12 +352,15 @@ def similar_documents(docs: DataFrame) -> DataFrame:
     own = keyed.groupBy("doc_id").agg(F.min(F.struct("k1", "k2")).alias("k")).select("doc_id", "k.k1", "k.k2")
     own = written(own, "set-keys")
     classes = written(own.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "set-classes")
-    sets = keyed.join(classes.select(F.col("rep").alias("doc_id"), "k1", "k2"), ["doc_id", "k1", "k2"]).dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("rep"), "sig", "roots")
-    links = written(verified(candidate_pairs(written(sets, "sets")), docs), "verified")
+    sets = keyed.join(classes.select(F.col("rep").alias("doc_id"), "k1", "k2", "copies"), ["doc_id", "k1", "k2"]).dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("rep"), "sig", "roots", "copies")
+    pairs, large = candidates(written(sets, "sets"))
+    links = written(verified(pairs, docs), "verified")
+    tiled = written(tile_links(large, docs), "tile-links")
     copies = classes.select("rep", "copies").where("copies > 1")
     ends = links.select("a", "b").union(links.select("b", "a"))
-    degree = ends.join(copies, F.col("b") == F.col("rep"), "left").groupBy("a").agg(F.sum(F.coalesce("copies", F.lit(1))).alias("links"))
-    labels = components(links)
+    ends = ends.join(copies, F.col("b") == F.col("rep"), "left").select("a", F.coalesce("copies", F.lit(1)).alias("links"))
+    degree = ends.union(tiled.select("a", "links")).groupBy("a").agg(F.sum("links").alias("links"))
+    labels = components(links.union(tiled.where("a <> b").select("a", "b")))
     by_set = labels.join(degree, F.col("id") == F.col("a"), "left").select(F.col("id").alias("rep"), "label", "links")
     # Only sets with copies or links have anything to tell their documents.
     told = classes.join(by_set, "rep", "left").where("copies > 1 or label is not null")

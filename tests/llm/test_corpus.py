@@ -189,6 +189,33 @@ def test_set_join_of_one_large_group(spark, make_docs, monkeypatch):
     assert pairs[0] < 300 * 60
 
 
+def test_set_join_counts_all_links_of_large_buckets(spark, make_docs, monkeypatch):
+    """Buckets of more than a leaf: near copies, texts at the threshold that hang on one of them, and a shared passage."""
+    rng = np.random.default_rng(12)
+    t = vocabulary_texts(1, 9000, 300, 301, 13)[0]
+    texts = [edited(t, int(n), rng) for n in rng.integers(1, 8, 160)]
+    texts += [edited(x, 6, rng) for x in texts[:40]] + texts[:3]
+    passage = vocabulary_texts(1, 5000, 60, 61, 14)[0]
+    texts += [passage + " " + x for x in vocabulary_texts(150, 9000, 70, 80, 15)]
+    texts += [edited(x, 2, rng) for x in texts[-150:]]
+    classes, degree = brute_classes(texts)
+    assert max(degree[:200]) > 2 * setjoin.LEAF and len(set(degree[:200])) > 20
+
+    def held(**sizes):
+        levels, write = [], setjoin.written
+        for name, value in sizes.items():
+            monkeypatch.setattr(setjoin, name, value)
+        monkeypatch.setattr(setjoin, "written", lambda df, what: levels.append(what == "buckets") or write(df, what))
+        got = {r.doc_id: r for r in setjoin.similar_documents(make_docs(texts).repartition(4)).collect()}
+        monkeypatch.setattr(setjoin, "written", write)
+        assert [got[i].class_id for i in range(len(texts))] == classes
+        assert [got[i].n_links for i in range(len(texts))] == degree
+        return sum(levels)
+
+    assert held(BLOCK=20) == 1
+    assert held(SPLIT=setjoin.LEAF) > 1
+
+
 def test_set_join_odd_rows(spark, make_docs):
     docs = make_docs(["a b c d e f", "a b c d e f", "a b c d e f", "q"], ids=[5, 5, None, 3])
     got = sorted(((r.doc_id, r.class_id) for r in setjoin.similar_documents(docs).collect()), key=str)

@@ -34,11 +34,11 @@ def credentials(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Piece ids of each text; n_pieces and round_trip tell how they went."""
+    """Piece ids of each text; n_pieces, round_trip and parity tell how they went."""
     mark = "__pieces"
     found = pieces.encode_pieces(docs, pieces.read_model(), output=mark)
     ids = F.col(f"{mark}.ids")
-    return found.select(*docs.columns, ids.alias("piece_ids"), F.size(ids).cast("long").alias("n_pieces"), F.col(f"{mark}.round_trip").alias("round_trip"))
+    return found.select(*docs.columns, ids.alias("piece_ids"), F.size(ids).cast("long").alias("n_pieces"), F.col(f"{mark}.round_trip").alias("round_trip"), F.col(f"{mark}.parity").alias("parity"))
 
 
 STAGES = [

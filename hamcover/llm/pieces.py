@@ -8,8 +8,8 @@ Where no piece holds the marker behind another character, no piece crosses the b
 can be encoded apart: a task encodes the words it hasn't met in one batch (which the library spreads over threads)
 and remembers them, up to a bound. Other models are encoded text by text, in batches.
 
-The round trip is checked for every text, parity with the sentencepiece library for one text in `PARITY_EVERY`, drawn by a
-checksum of its bytes (the library is slower than all else here; tests compare every text).
+The round trip and parity with the sentencepiece library are checked for every text. Where words can be encoded apart, that library, too, joins no
+pieces across words, so each word is compared when a task meets it and a text agrees if all its words do; other texts are compared whole.
 
 Defined results: a null or empty text has no pieces and decodes to itself; a text that holds the marker character or
 lone surrogates doesn't come back as it was, which `round_trip` tells; a column with the name of the output is replaced.
@@ -37,8 +37,8 @@ MARK = "▁"
 REMEMBERED = 150_000
 #: Threads of a task that the tokenizers library may use.
 THREADS = "2"
-#: One text in so many, by a checksum of its bytes, is also encoded by the sentencepiece library. 1: every text; 0: none.
-PARITY_EVERY = 16
+#: One text in so many, by a checksum of its bytes, is compared with the sentencepiece library. 1: every text; 0: none.
+PARITY_EVERY = 1
 
 #: Piece types and model types of the file format: fixed values.
 NORMAL, UNKNOWN, CONTROL, USER, BYTE = 1, 2, 3, 4, 6
@@ -88,7 +88,34 @@ class Backend:
             raw = [bytes([int(p[3:5], 16)]) if t == BYTE else p.replace(MARK, " ").encode() for p, _, t in pieces]
             sizes = np.array([len(x) for x in raw], np.int32)
             self.piece_bytes = np.frombuffer(b"".join(raw), np.uint8), (np.cumsum(sizes) - sizes).astype(np.int32), sizes
+        self.bytes, self.other = model, None
         self.known: dict[str, bytes] = {}
+        #: Those of the known words that the sentencepiece library encodes otherwise.
+        self.differ: set[str] = set()
+
+    def compare(self) -> None:
+        """From now on words are compared with the sentencepiece library when they are met."""
+        if self.other is None:
+            from sentencepiece import SentencePieceProcessor
+
+            self.other = SentencePieceProcessor(model_proto=self.bytes)
+            self.known.clear()
+
+    def _same(self, texts: list[str], packed: list[bytes]) -> list[bool]:
+        return [_packed(x) == y for x, y in zip(self.other.encode(texts, num_threads=1), packed, strict=True)] if texts else []
+
+    def parity(self, texts: list[str], packed: list[bytes]) -> list[bool]:
+        """Whether the sentencepiece library encodes each text alike; for texts that encode() had last, after compare()."""
+        if not self.by_word:
+            return self._same(texts, packed)
+        whole = [self._as_one(t) for t in texts]
+        rest = iter(self._same(list(itertools.compress(texts, whole)), list(itertools.compress(packed, whole))))
+        return [next(rest) if as_one else not self.differ or self.differ.isdisjoint(t.split(" ")) for t, as_one in zip(texts, whole, strict=True)]
+
+    @staticmethod
+    def _as_one(t: str) -> bool:
+        """A run of markers belongs to the word behind it, so such texts go to the tokenizer whole."""
+        return bool(t) and (t[0] == " " or t[-1] == " " or "  " in t or MARK in t)
 
     @staticmethod
     def _merges(pieces: list[tuple[str, float, int]]) -> list[tuple[str, str]]:
@@ -104,14 +131,16 @@ class Backend:
         """Piece ids of each text, as 32-bit integers. Words are what a space begins; the empty word is a marker alone."""
         if not self.by_word:
             return [_packed(e.ids) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
-        # A run of markers belongs to the word behind it, so such texts go to the tokenizer whole.
-        whole = [bool(t) and (t[0] == " " or t[-1] == " " or "  " in t or MARK in t) for t in texts]
+        whole = [self._as_one(t) for t in texts]
         split = [[] if as_one or not t else t.split(" ") for t, as_one in zip(texts, whole, strict=True)]
         if len(self.known) > REMEMBERED:
             self.known.clear()
+            self.differ.clear()
         new = list({w for words in split for w in words if w not in self.known})
         for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
             self.known[w] = _packed(e.ids)
+        if self.other:
+            self.differ.update(w for w, same in zip(new, self._same(new, [self.known[w] for w in new]), strict=True) if not same)
         rest = iter(self.tokenizer.encode_batch_fast(list(itertools.compress(texts, whole)), add_special_tokens=False))
         get = self.known.__getitem__
         return [_packed(next(rest).ids) if as_one else b"".join(map(get, words)) for words, as_one in zip(split, whole, strict=True)]
@@ -161,11 +190,9 @@ def encode_pieces(docs: DataFrame, model: bytes, text: str = "text", output: str
 
     def make():
         os.environ.setdefault("RAYON_NUM_THREADS", THREADS)  # before the library starts its threads
-        backend, other = backend_of(shared.value), None
+        backend = backend_of(shared.value)
         if parity_every:
-            from sentencepiece import SentencePieceProcessor
-
-            other = SentencePieceProcessor(model_proto=shared.value)
+            backend.compare()
 
         def work(texts: list[str | None]) -> tuple[pa.Array, ...]:
             texts = [t or "" for t in texts]
@@ -175,10 +202,10 @@ def encode_pieces(docs: DataFrame, model: bytes, text: str = "text", output: str
             offsets = np.concatenate([[0], np.cumsum(sizes)])
             back = [a == b for a, b in zip(backend.decode(flat, offsets), texts, strict=True)]
             same: list[bool | None] = [None] * len(texts)
-            if other:
-                picked = [k for k, t in enumerate(texts) if zlib.crc32(t.encode("utf-8", "surrogatepass")) % parity_every == 0]
-                for k, x in zip(picked, other.encode([texts[k] for k in picked], num_threads=1), strict=True):
-                    same[k] = np.array_equal(x, flat[offsets[k] : offsets[k + 1]])
+            if parity_every:
+                picked = [k for k, t in enumerate(texts) if parity_every == 1 or zlib.crc32(t.encode("utf-8", "surrogatepass")) % parity_every == 0]
+                for k, x in zip(picked, backend.parity([texts[k] for k in picked], [packed[k] for k in picked]), strict=True):
+                    same[k] = x
             return pa.ListArray.from_arrays(offsets.astype(np.int32), flat), pa.array(back), pa.array(same, pa.bool_())
 
         return work

@@ -281,3 +281,34 @@ def test_unigram_models_are_rebuilt():
     other, mine = SentencePieceProcessor(model_proto=model), pieces.Backend(model)
     texts = ["hello world", "the  cat sat", " on  mats", "naïve café ok"]
     assert [np.frombuffer(b, np.int32).tolist() for b in mine.encode(texts)] == other.encode(texts)
+
+
+def test_pieces_parity_of_every_text(spark, sf, make_docs):
+    import corpus_pipeline
+
+    assert all(r.parity for r in pieces.op9_pieces(spark, sf).select("parity").collect())
+    got = corpus_pipeline.tokens(spark, make_docs(["some words here", " a  b ", "日本 ﬁn\n\tx", "", None, "<s> </s>"]), sf)
+    assert [r.parity for r in got.select("parity").collect()] == [True] * 6
+
+
+def test_pieces_parity_by_word_as_by_text():
+    from sentencepiece import SentencePieceProcessor
+
+    model = pieces.read_model()
+    backend, other = pieces.Backend(model), SentencePieceProcessor(model_proto=model)
+    backend.compare()
+    texts = ["one two", "two three", " three ", "x▁y one", "é\u0301 日本語 ﬁ", "four"]
+    ids = other.encode(texts)
+    assert backend.by_word and backend.parity(texts, backend.encode(texts)) == [True] * 6
+    # A wrong backend is reported for every text with the word, and no other.
+    real = backend.tokenizer
+
+    class Wrong:
+        def encode_batch_fast(self, words, **kw):
+            return real.encode_batch_fast([w.replace("two", "too") for w in words], **kw)
+
+    backend.known.clear()
+    backend.tokenizer = Wrong()
+    packed = backend.encode(texts)
+    want = [list(pieces.np.frombuffer(x, "int32")) == y for x, y in zip(packed, ids, strict=True)]
+    assert backend.parity(texts, packed) == want == [False, False, True, True, True, True]

@@ -29,12 +29,37 @@ def shared_dir(spark: SparkSession, what: str) -> str:
     return f"{base}/{what}-{uuid.uuid4().hex}"
 
 
+#: Spark's setting for dropping the shuffle files of a statement when it ends.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def written(df: DataFrame, what: str) -> DataFrame:
-    """The rows, written to the shared store and read again: later reads don't recompute them, and survive lost executors."""
+    """The rows, written to the shared store and read again: later reads don't recompute them, and survive lost executors.
+
+    The shuffle files of the steps before are of no use any more, so they go when the table is there.
+    """
     spark = df.sparkSession
     path = shared_dir(spark, what)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        if before is None:
+            spark.conf.unset(_CLEANUP)
+        else:
+            spark.conf.set(_CLEANUP, before)
+    table = spark.read.schema(df.schema).parquet(path)
+    table.written_to = path
+    return table
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables that written() made. Only for those that no later step, or the caller's result, reads again."""
+    for table in tables:
+        spark = table.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(table.written_to)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 #: Bytes of Latin letters and digits and of all non-ASCII characters stay, A-Z turn into a-z, all others separate words.
@@ -111,7 +136,18 @@ def hashed_words(texts: list[str | None], folded: bool = False) -> tuple[np.ndar
 
     A word's hash is a polynomial of its bytes modulo 2 ** 64, taken from running sums over all bytes, piece by piece.
     """
-    raw = [(t or "").encode("utf-8", "surrogatepass") for t in texts]
+    return hashed_bytes([(t or "").encode("utf-8", "surrogatepass") for t in texts], folded)[:2]
+
+
+def span_hashes(h: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
+    """Hash of each run of words h[start:stop], from running sums."""
+    sums = np.zeros(len(h) + 1, np.uint64)
+    np.cumsum((mixed(h) | np.uint64(1)) * _powers(len(h), _ODD), out=sums[1:])
+    return mixed((sums[stop] - sums[start]) * _powers(len(h) + 1, _ODD_INVERSE)[start] + (stop - start).astype(np.uint64))
+
+
+def hashed_bytes(raw: list[bytes], folded: bool = False) -> tuple[np.ndarray, np.ndarray, bytes, np.ndarray]:
+    """hashed_words() of texts in UTF-8; also the bytes of all texts, one space behind each, and where each word begins there."""
     whole = b" ".join(raw) + b" "
     if folded:
         whole = whole.translate(_FOLD)
@@ -131,7 +167,8 @@ def hashed_words(texts: list[str | None], folded: bool = False) -> tuple[np.ndar
         hashes.append(h)
         at = stop
     first = np.cumsum([0] + [len(x) + 1 for x in raw])
-    return np.concatenate(hashes), np.searchsorted(np.concatenate(begins), first)
+    places = np.concatenate(begins)
+    return np.concatenate(hashes), np.searchsorted(places, first), whole, places
 
 
 def text_slices(it: Iterator[pa.RecordBatch], size: int, column: str = "text") -> Iterator[pa.RecordBatch]:

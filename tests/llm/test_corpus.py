@@ -4,6 +4,8 @@ import hashlib
 import re
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 import pytest
 from pyspark.sql import functions as F
 
@@ -68,8 +70,10 @@ def test_suffix_array_and_matches():
 
 def test_backward_search():
     rng = np.random.default_rng(1)
-    text = np.append(rng.integers(1, 6, 700), 0)
-    index = FmIndex(text, 6, 8)
+    sizes = np.append(rng.integers(1, 90, 15), 1)
+    index = FmIndex(rng.integers(1, 6, sizes.sum()), sizes, 6)
+    text, owner = index.text, np.repeat(np.arange(16), sizes + 1)
+    assert not hasattr(index, "order") and len(index.samples) < len(text) / 3
     stream = rng.integers(0, 6, 90)
     ends = np.arange(1, 91)
     flat = text.tolist()
@@ -80,7 +84,7 @@ def test_backward_search():
             ok = [m for m in range(1, min(8, e) + 1) if 0 not in stream[e - m : e] and len(places(m)) >= least]
             assert n == (max(ok) if ok else 0)
             if n:
-                assert sorted(index.order[a:b].tolist()) == places(n)
+                assert sorted(index.owners(np.arange(a, b)).tolist()) == sorted(owner[places(n)].tolist())
 
 
 # Decontamination.
@@ -262,9 +266,10 @@ def brute_removal(docs, window=13):
     return out
 
 
-@pytest.mark.parametrize("shard", [500_000, 300])
-def test_substring_removal(spark, make_docs, monkeypatch, shard):
+@pytest.mark.parametrize("shard, hot", [(500_000, 65_536), (300, 65_536), (2_000, 60)])
+def test_substring_removal(spark, make_docs, monkeypatch, shard, hot):
     monkeypatch.setattr(substrings, "SHARD_CODES", shard)
+    monkeypatch.setattr(substrings, "HOT_CODES", hot)
     rng = np.random.default_rng(12)
     pool = vocabulary_texts(6, 5000, 14, 60, 13)
     texts = []
@@ -285,6 +290,36 @@ def test_substring_odd_rows(spark, make_docs):
     assert substrings.without_repeats(docs.where("false")).count() == 0
 
 
+def test_hot_keys_fill_no_shard(monkeypatch):
+    """2 million words share one key: with the four words that are its least hash in all windows around them."""
+    rng = np.random.default_rng(3)
+    phrase = min((f"a{k} b{k} c{k} d{k}" for k in range(20_000)), key=lambda p: int(common.gram_hashes(hashed_words([p])[0], 4)[0]))
+    texts = [" ".join([*(f"w{x}" for x in rng.integers(10**6, size=9)), phrase, *(f"w{x}" for x in rng.integers(10**6, size=9))]) for _ in range(20_000)]
+    hot_text, most = texts * 5, []  # copies in other slices
+    batches = [pa.RecordBatch.from_arrays([pa.array(range(i, i + 20_000)), pa.array(hot_text[i : i + 20_000])], names=["doc_id", "text"]) for i in range(0, 100_000, 20_000)]
+    asked = pa.Table.from_batches(list(substrings._emit_keys(iter(batches)))).sort_by("key")
+    found = pa.Table.from_batches(list(substrings._repeated(iter(asked.to_batches(max_chunksize=1000)))))
+    key = hashed_key(phrase)
+    hot = found.filter(pc.is_null(found["doc_id"]))["key"].to_pylist()
+    assert key in hot
+    told = found.filter(pc.is_valid(found["doc_id"])).group_by("doc_id").aggregate([("key", "list")]).sort_by("doc_id")
+    keys = pa.array(told["key_list"].to_pylist(), pa.list_(pa.int64()))
+    cut = pa.array([[k for k in row if k in set(hot)] for row in keys.to_pylist()], pa.list_(pa.int64()))
+    ids = told["doc_id"].to_pylist()
+    rows = pa.RecordBatch.from_arrays([pa.array(ids), pa.array([hot_text[i] for i in ids]), keys, cut], names=["doc_id", "text", "keys", "hot"])
+    contents = pa.Table.from_batches(list(substrings._segment_rows(True)(iter([rows])))).sort_by([("key", "ascending"), ("seg", "ascending")])
+    assert len(set(contents["key"].to_pylist())) > 100_000  # single windows
+    sizes, real = [], substrings.shard_minima
+    monkeypatch.setattr(substrings, "shard_minima", lambda words, size, low: sizes.append(len(words)) or real(words, size, low))
+    minima = pa.Table.from_batches(list(substrings._search_shards(iter(contents.to_batches(max_chunksize=5000)))))
+    assert max(sizes) < substrings.SHARD_CODES + 2 * substrings.HOT_CODES and len(sizes) > 2
+    assert minima.num_rows == contents.group_by(["key", "seg"]).aggregate([]).num_rows and all(m[0] < 20_000 for m in minima["minima"].to_pylist())
+
+
+def hashed_key(phrase: str) -> int:
+    return int(common.gram_hashes(hashed_words([phrase])[0], 4)[0].view(np.int64))
+
+
 # Pipeline.
 
 

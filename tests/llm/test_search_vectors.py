@@ -1,6 +1,7 @@
 """Collision-counting search against brute force."""
 
 import numpy as np
+import pyarrow.parquet as pq
 from pyspark.sql import functions as F
 
 from hamcover.llm import ann
@@ -35,6 +36,27 @@ def test_recall_on_the_table(spark, sf):
     assert all(abs(scores[q, i] - s) == 0 for q, found in got.items() for _, i, s in found if (q, i) in scores)
 
 
+def verified_share(x, queries, k=20):
+    shard = ann.Shard(np.arange(len(x)), x)
+    place, ids, _ = shard.nearest(queries, x[queries], k)
+    want = brute(np.arange(len(x)), x, k, 1) if len(x) <= 2000 else {q: (lambda s, q=q: [(i, 0) for i in np.lexsort((np.arange(len(x)), -s)) if i != q][:k])((x * x[q]).sum(axis=1)) for q in queries.tolist()}
+    hits = [len({int(i) for i in ids[place == n]} & {i for i, _ in want[int(q)]}) / k for n, q in enumerate(queries)]
+    return shard.verified / len(queries) / len(x), np.mean(hits)
+
+
+def test_few_vectors_are_verified():
+    """Collisions, not a scan, find the neighbours: at most a fifth of the rows of the table is verified."""
+    rows = pq.read_table("/root/testdata/sf0.1/embeddings.parquet")["embedding"].to_pylist()
+    share, recall = verified_share(np.array(rows), np.arange(0, len(rows), 20))
+    assert share <= 0.2 and recall >= 0.9
+    rng = np.random.default_rng(0)
+    share, recall = verified_share(rng.standard_normal((8192, 64)), np.arange(0, 8192, 200))
+    assert share <= 0.3 and recall >= 0.9  # of unequal lengths
+    clusters = rng.standard_normal((100, 64))[rng.integers(0, 100, 8192)] + 0.4 * rng.standard_normal((8192, 64))
+    share, recall = verified_share(clusters, np.arange(0, 8192, 200))
+    assert share <= 0.03 and recall >= 0.95
+
+
 def test_shards_and_blocks_give_the_same_kind_of_answer(spark, sf):
     rows = ann.usable(spark.read.parquet(f"{sf}/embeddings.parquet"))
     asked = rows.where("vec_id % 20 = 0")

@@ -6,7 +6,8 @@ driver reads the file once and broadcasts its bytes (a model has a fixed size);
 
 Where no piece holds the marker behind another character, no piece crosses the beginning of a word, so words
 can be encoded apart: a task encodes the words it hasn't met in one batch (which the library spreads over threads)
-and remembers them, up to a bound. Other models are encoded text by text, in batches.
+and remembers them, up to a bound. A BPE model's new words go through both libraries behind each other in texts of `JOINED`, and
+are told apart by the pieces that begin with the marker. Other models are encoded text by text, in batches.
 
 The round trip and parity with the sentencepiece library are checked for every text. Where words can be encoded apart, that library, too, joins no
 pieces across words, so each word is compared when a task meets it and a text agrees if all its words do; other texts are compared whole.
@@ -34,7 +35,9 @@ from hamcover.llm.batchwise import with_struct
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 #: Words whose pieces a task remembers before it forgets all of them.
-REMEMBERED = 150_000
+REMEMBERED = 400_000
+#: New words that are encoded as one text.
+JOINED = 200
 #: Threads of a task that the tokenizers library may use.
 THREADS = "2"
 #: One text in so many, by a checksum of its bytes, is compared with the sentencepiece library. 1: every text; 0: none.
@@ -88,6 +91,8 @@ class Backend:
             raw = [bytes([int(p[3:5], 16)]) if t == BYTE else p.replace(MARK, " ").encode() for p, _, t in pieces]
             sizes = np.array([len(x) for x in raw], np.int32)
             self.piece_bytes = np.frombuffer(b"".join(raw), np.uint8), (np.cumsum(sizes) - sizes).astype(np.int32), sizes
+        self.joins = self.by_word and kind == BPE
+        self.opens = np.array([p.startswith(MARK) for p, _, _ in pieces])
         self.bytes, self.other = model, None
         self.known: dict[str, bytes] = {}
         #: Those of the known words that the sentencepiece library encodes otherwise.
@@ -136,15 +141,32 @@ class Backend:
         if len(self.known) > REMEMBERED:
             self.known.clear()
             self.differ.clear()
-        new = list({w for words in split for w in words if w not in self.known})
-        for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            self.known[w] = _packed(e.ids)
-        if self.other:
-            self.differ.update(w for w, same in zip(new, self._same(new, [self.known[w] for w in new]), strict=True) if not same)
+        self._learn(list({w for words in split for w in words if w not in self.known}))
         rest = iter(self.tokenizer.encode_batch_fast(list(itertools.compress(texts, whole)), add_special_tokens=False))
         get = self.known.__getitem__
         return [_packed(next(rest).ids) if as_one else b"".join(map(get, words)) for words, as_one in zip(split, whole, strict=True)]
 
+    def _learn(self, new: list[str]) -> None:
+        """Words without spaces or markers; both libraries encode each, if they are compared."""
+        alone = new
+        if self.joins:
+            groups = [new[i : i + JOINED] for i in range(0, len(new), JOINED)]
+            texts = list(map(" ".join, groups))
+            other = self.other.encode(texts, num_threads=1) if self.other else itertools.repeat(None)
+            alone = []
+            for words, e, theirs in zip(groups, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False), other, strict=False):
+                ids = np.array(e.ids, np.int32)
+                cuts = np.flatnonzero(self.opens[ids])
+                if len(cuts) != len(words) or (theirs is not None and theirs != e.ids):
+                    alone += words  # the words have to be told apart, or those that differ
+                    continue
+                data, cuts = ids.tobytes(), [*(4 * cuts).tolist(), 4 * len(ids)]
+                self.known.update(zip(words, [data[a:b] for a, b in itertools.pairwise(cuts)], strict=True))
+        for w, e in zip(alone, self.tokenizer.encode_batch_fast(alone, add_special_tokens=False), strict=True):
+            self.known[w] = _packed(e.ids)
+        if self.other:
+            self.differ.update(w for w, same in zip(alone, self._same(alone, [self.known[w] for w in alone]), strict=True) if not same)
+
     def decode(self, flat: np.ndarray, offsets: np.ndarray) -> list[str]:
         """Texts of piece ids: those of one text are flat[offsets[k]:offsets[k + 1]].
 

@@ -3,7 +3,8 @@
 Strong parts (key assignments, access identifiers, long hexadecimal strings) are reported wherever they
 stand. Weak parts (a bare string that could be a secret, a user or client name, an endpoint) are
 reported only where the parts that complete them stand in the same scope: a secret needs an identifier, an identifier
-a secret, an endpoint both. The scope of a part is the stretch within `REACH` code points of it that no empty line cuts.
+a secret, an endpoint both. The scope of a part is its paragraph and the ones next to it (an empty line ends a paragraph), within `REACH` code
+points of the part. No part has a greatest length: a run of characters is taken whole, and redaction leaves no end of it.
 
 All parts lie in one document, so the interval join is a search in the sorted starts of the other kinds, next to
 the text; no pairs are made, nothing is shuffled, and the work grows with the text.
@@ -32,14 +33,14 @@ HEX = re.compile(r"[0-9a-f]+")
 MIN_ASSIGN, MIN_ACCESS, MIN_HEX = 6, 20, 24
 _KEYS = ("passw", "secret", "token", "apikey", "api_key")
 
-SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{32,128}={0,2}(?![A-Za-z0-9+/_=-])")
-IDENT = re.compile(r"""(?<![a-z0-9])(?:client_?id|user_?name|user|login|account_?id|key_?id)["']?\x20*[:=]\x20*["']?[A-Za-z0-9@_.-]{3,64}""", re.I | re.A)
+SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{20,}=*(?![A-Za-z0-9+/_=-])")
+IDENT = re.compile(r"""(?<![a-z0-9])(?:client_?id|user_?name|user|login|account_?id|key_?id)["']?\x20*[:=]\x20*["']?[A-Za-z0-9@_.-]{3,}""", re.I | re.A)
 _NAMES = ("client", "user", "login", "account", "key")
-ENDPOINT = re.compile(r"[A-Za-z][A-Za-z0-9+.-]{1,20}://[^\s\"'<>]{3,256}|arn:[a-z0-9-]+:[A-Za-z0-9:/_-]{3,256}", re.A)
+ENDPOINT = re.compile(r"[A-Za-z][A-Za-z0-9+.-]{1,20}://[^\s\"'<>]{3,}|arn:[a-z0-9-]+:[A-Za-z0-9:/_-]{3,}", re.A)
 _EMPTY_LINE = re.compile(r"\n[\x20\t\r]*\n")
 
 #: Code points between parts of one credential.
-REACH = 400
+REACH = 1_000
 
 SPANS = "array<struct<kind:string,start:int,end:int>>"
 
@@ -67,7 +68,7 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 def weak_spans(text: str) -> list[tuple[str, int, int]]:
     """Parts that count only beside others."""
     found = []
-    if b"x" * 32 in text.encode("utf-8", "surrogatepass").translate(_LONG_BYTES):
+    if b"x" * 20 in text.encode("utf-8", "surrogatepass").translate(_LONG_BYTES):
         found += [("secret", m.start(), m.end()) for m in SECRET.finditer(text) if _looks_random(m[0])]
     low = text.lower()
     if any(k in low for k in _NAMES) and ("=" in text or ":" in text):
@@ -100,12 +101,12 @@ def linked_spans(text: str, base: list[tuple[str, int, int]], reach: int = REACH
     strong = _Near(base)
     weak = [x for x in weak if not strong.meets(x[1], x[2])]
     roles = {"secret": _Near([x for x in [*base, *weak] if x[0] in ("assign", "hex", "secret")]), "ident": _Near([x for x in [*base, *weak] if x[0] in ("access", "ident")])}
-    cuts = [m.start() for m in _EMPTY_LINE.finditer(text)] if weak else []
+    cuts = [m.start() for m in _EMPTY_LINE.finditer(text)]
     out = []
     for kind, s, e in weak:
         k = bisect_right(cuts, s)
-        lo = max(s - reach, cuts[k - 1] + 1 if k else 0)
-        k = bisect_left(cuts, e)
+        lo = max(s - reach, cuts[k - 2] + 1 if k > 1 else 0)
+        k = bisect_left(cuts, e) + 1
         hi = min(e + reach, cuts[k] if k < len(cuts) else len(text))
         needs = [r for r in roles if r != kind]
         if all(roles[r].meets(lo, hi) for r in needs):

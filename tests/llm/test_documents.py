@@ -121,8 +121,8 @@ TEXTS = [
     f"id AKIA{'ABCD' * 5}\nvalue {SECRET}\nhttps://api.example.com/v1",
     f"alone {SECRET}",
     "https://api.example.com/v1 alone",
-    f"AKIA{'ABCD' * 5}\n\n{SECRET}",
-    f"AKIA{'ABCD' * 5}{' x' * 400}{SECRET}",
+    f"AKIA{'ABCD' * 5}\n\nnext\n\n{SECRET}",
+    f"AKIA{'ABCD' * 5}{' x' * 600}{SECRET}",
     "api_key=abcdef apikey : 'ABCDEF' passwd=12345 Secret=longenough",
     f"user = bob {'0123456789abcdef' * 2} arn:aws:iam::123:role/x",
     "日本 token=日本 token=abcdef1",
@@ -143,6 +143,16 @@ def test_secret_spans(spark, make_docs):
     assert secrets.scan_secrets(docs.where("false")).count() == 0
 
 
+def test_secrets_of_any_length(spark, make_docs):
+    key, url, user = "aB3" * 170, "https://h.example/" + "p" * 900, "user=" + "n" * 300
+    text = f"AKIA{'ABCD' * 5}\n\n{key}== {url} {user} end"
+    docs = make_docs([text, text, "x" + key, "long " * 50_000 + text])
+    for r in secrets.scan_secrets(docs).where("doc_id <> 2").select("text", "secrets.spans").collect():
+        assert [(x.kind, r.text[x.start : x.end]) for x in r.spans][1:] == [("secret", key + "=="), ("endpoint", url), ("ident", user)]
+    kept = {r.doc_id: r.text for r in secrets.redacted(docs).collect()}
+    assert kept[0] == kept[1] == "<access>\n\n<secret> <endpoint> <ident> end" and kept[2] == "x" + key and kept[3].endswith(kept[0])
+
+
 def test_secret_query_on_the_table(spark, sf):
     texts = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
     for r in secrets.op4_secret_links(spark, sf).collect():
@@ -164,8 +174,8 @@ def test_links_as_brute_force():
         want = set()
         for k, s, e in weak:
             gaps = [m.start() for m in re.finditer(r"\n[\x20\t\r]*\n", text)]
-            lo = max([s - secrets.REACH] + [g + 1 for g in gaps if g <= s])
-            hi = min([e + secrets.REACH, len(text)] + [g for g in gaps if g >= e])
+            lo = max([s - secrets.REACH, 0] + [g + 1 for g in gaps if g <= s][:-1])
+            hi = min([e + secrets.REACH, len(text)] + [g for g in gaps if g >= e][1:])
             near = {role.get(k2, k2) for k2, s2, e2 in [*base, *weak] if s2 < hi and e2 > lo}
             if all(need in near for need in ("secret", "ident") if need != k):
                 want.add((k, s, e))

@@ -2,8 +2,9 @@
 
 Each task sorts the suffixes of the documents it reads, shard by shard of a bounded size, and looks up
 every suffix of the test texts in them by binary search. That gives the longest verbatim match of each
-test suffix and, for those of at least a window, all places where it occurs. A document's matches
-are known where the document is read, so nothing is shuffled and no group can grow large.
+test suffix and, for those of at least a window, all places where it occurs. Equal windows of many test texts are one
+group, whose places are listed once; a test text is only named where a match begins, so the work grows with the words and the matches, not with
+windows times texts times documents. A document's matches are known where the document is read, so nothing is shuffled and no group can grow large.
 
 Words that no test text has cannot be part of a match; a shard keeps the runs of other words that are
 as long as the shortest window, which loses no match. Test texts go to the executors in blocks of at
@@ -17,6 +18,7 @@ empty tables give no rows or no matches; a column that already has the name of t
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,6 +35,8 @@ WINDOW = 10
 TEST_BLOCK_CHARS = 32_000_000
 #: A shard ends at so many bytes of documents.
 SHARD_BYTES = 24_000_000
+#: A shard of more matches is searched in two halves.
+SHARD_MATCHES = 2_000_000
 
 MATCHES = "array<struct<item_id:string,item_start:int,doc_start:int,length:int>>"
 _ARROW_MATCHES = pa.list_(pa.struct([("item_id", pa.string()), ("item_start", pa.int32()), ("doc_start", pa.int32()), ("length", pa.int32())]))
@@ -74,8 +78,9 @@ def _kept_runs(codes: np.ndarray, shortest: int) -> tuple[np.ndarray, np.ndarray
     return starts[long], (ends - starts)[long]
 
 
-def shard_matches(texts: list[str | None], tests: TestTexts) -> tuple[np.ndarray, tuple[np.ndarray, ...]]:
-    """For documents of one shard: word counts, and (document, item, item start, document start, length) of maximal matches."""
+def shard_matches(texts: list[str | None], tests: TestTexts) -> tuple[np.ndarray, tuple[np.ndarray, ...]] | None:
+    """For documents of one shard: word counts, and (document, item, item start, document start, length) of maximal matches.
+    None if several documents have more matches together than are held at once."""
     n_words, parts, docs, offsets, total = np.zeros(len(texts), np.int64), [], [], [], 0
     code_of = tests.codes.get
     for d, text in enumerate(texts):
@@ -101,21 +106,39 @@ def shard_matches(texts: list[str | None], tests: TestTexts) -> tuple[np.ndarray
     if not len(found):
         return n_words, none
     starts, sizes = tests.starts[found], tests.sizes[found]
-    lo, hi = shard.bound(tests.pattern, starts, sizes), shard.bound(tests.pattern, starts, sizes, upper=True)
+    lo = shard.bound(tests.pattern, starts, sizes)
+    # Groups of equal windows: those of one size that sort to one place.
+    _, one, group = np.unique(np.stack([lo, sizes], axis=1), axis=0, return_index=True, return_inverse=True)
+    group, size = group.ravel(), sizes[one]
+    lo, hi = lo[one], shard.bound(tests.pattern, starts[one], size, upper=True)
     many = hi - lo
-    which = np.repeat(found, many)
-    places = shard.order[np.repeat(lo - np.concatenate([[0], np.cumsum(many)[:-1]]), many) + np.arange(many.sum())]
-    size = tests.sizes[which]
-    # Windows that follow each other in both texts make up one match.
-    item, begin = tests.owner[which], tests.offset[which]
-    order = np.lexsort((places, places - begin, item))
-    item, begin, places, size = item[order], begin[order], places[order], size[order]
-    new = np.ones(len(order), bool)
-    new[1:] = (item[1:] != item[:-1]) | (places[1:] != places[:-1] + 1) | (begin[1:] != begin[:-1] + 1)
-    first = np.flatnonzero(new)
-    length = np.diff(np.append(first, len(order))) - 1 + size[first]
-    places = places[first]
-    return n_words, (doc_of[places], item[first], begin[first], places + offset_of[places], length)
+    of = np.repeat(np.arange(len(one)), many)
+    places = shard.order[np.repeat(lo - np.cumsum(many) + many, many) + np.arange(many.sum())]
+    # The group of the window one word before: of test windows (-1: none that occurs), and of places in documents (-2: none).
+    at = np.full(len(tests.starts) + 1, -1)
+    at[found] = group
+    before_test = np.where(tests.offset[found] > 0, at[found - 1], -1)
+    key = places * (int(size.max()) + 1) + size[of]
+    order = np.argsort(key)
+    seek = key - (int(size.max()) + 1)
+    near = order[np.minimum(np.searchsorted(key[order], seek), len(key) - 1)]
+    before_place = np.where(key[near] == seek, of[near], -2)
+    # A match begins at each pair of a place and a test window of its group whose windows before differ.
+    sort = np.lexsort((before_test, group))
+    width = len(one) + 3
+    ranked = group[sort] * width + before_test[sort] + 2
+    edge = lambda previous, side: np.searchsorted(ranked, of * width + previous + 2, side)
+    first, last = edge(np.full(len(of), -2), "left"), edge(np.full(len(of), len(one)), "right")
+    skip, resume = edge(before_place, "left"), edge(before_place, "right")
+    sizes_of = np.concatenate([skip - first, last - resume])
+    if sizes_of.sum() > SHARD_MATCHES and len(texts) > 1:
+        return None
+    begin = np.concatenate([first, resume])
+    which = sort[np.repeat(begin - np.cumsum(sizes_of) + sizes_of, sizes_of) + np.arange(sizes_of.sum())]
+    places = np.repeat(np.concatenate([places, places]), sizes_of)
+    suffix = found[which]
+    length = shard.common(places, tests.pattern, tests.starts[suffix])
+    return n_words, (doc_of[places], tests.owner[suffix], tests.offset[suffix], places + offset_of[places], length)
 
 
 _GAP = np.zeros(1, np.int64)
@@ -126,7 +149,13 @@ def _search(schema: pa.Schema, text_column: str, output: str, tests_of) -> calla
 
     def flush(rows: list[pa.RecordBatch], tests: TestTexts) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(rows).combine_chunks()
-        n_words, (doc, item, begin, at, length) = shard_matches(table[text_column].to_pylist(), tests)
+        found = shard_matches(table[text_column].to_pylist(), tests)
+        if found is None:
+            half = table.num_rows // 2
+            yield from flush(table.slice(0, half).to_batches(), tests)
+            yield from flush(table.slice(half).to_batches(), tests)
+            return
+        n_words, (doc, item, begin, at, length) = found
         order = np.lexsort((begin, at, doc))
         item_ids = tests.id_order[item[order]] if len(order) else []
         flat = pa.StructArray.from_arrays([pa.array(item_ids, pa.string()), *(pa.array(x[order].astype(np.int32)) for x in (begin, at, length))], fields=list(_ARROW_MATCHES.value_type))
@@ -169,15 +198,26 @@ def find_matches(docs: DataFrame, tests: DataFrame, window: int = WINDOW, text:
     struct = T._parse_datatype_string(f"n_words bigint, matches {MATCHES}")
     out = T.StructType([*plain.fields, T.StructField(output, struct)])
     arrow = to_arrow_schema(out)
+    name = uuid.uuid4().hex
     for block in range(n_blocks):
         part = tests.where(F.pmod(F.xxhash64("id", "text"), F.lit(n_blocks)) == block) if n_blocks > 1 else tests
         shared = spark.sparkContext.broadcast([(r.id, r.text) for r in part.toLocalIterator()])
-        found = found.mapInArrow(_search(arrow, text, output, _tests_of(shared, window)), out)
+        found = found.mapInArrow(_search(arrow, text, output, _tests_of(shared, window, f"{name}-{block}")), out)
     return found
 
 
-def _tests_of(shared, window: int):
-    return lambda: TestTexts(shared.value, window)
+#: Test texts of this process by their block: a worker that runs several tasks prepares them once.
+_PREPARED: dict[str, TestTexts] = {}
+
+
+def _tests_of(shared, window: int, name: str):
+    def prepared() -> TestTexts:
+        if name not in _PREPARED:
+            _PREPARED.clear()
+            _PREPARED[name] = TestTexts(shared.value, window)
+        return _PREPARED[name]
+
+    return prepared
 
 
 def n_hit(found: F.Column | str) -> F.Column:

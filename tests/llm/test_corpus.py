@@ -118,6 +118,7 @@ def test_decontamination(spark, make_docs, monkeypatch):
     for block in (32_000_000, 100):
         monkeypatch.setattr(decontaminate, "TEST_BLOCK_CHARS", block)
         monkeypatch.setattr(decontaminate, "SHARD_BYTES", 2_000 if block == 100 else 24_000_000)
+        monkeypatch.setattr(decontaminate, "SHARD_MATCHES", 20 if block == 100 else 2_000_000)
         found = decontaminate.find_matches(docs, tests, window=4)
         got = found.select("doc_id", "decontamination.n_words", decontaminate.n_hit("decontamination").alias("n_hit"), decontaminate.item_ids("decontamination").alias("ids"), "decontamination.matches", "text").collect()
         assert {r.doc_id: (r.n_words, r.n_hit, set(r.ids)) for r in got} == want
@@ -131,6 +132,21 @@ def test_decontamination(spark, make_docs, monkeypatch):
     assert decontaminate.find_matches(docs, tests.where("false")).where("size(decontamination.matches) > 0").count() == 0
 
 
+def test_a_passage_of_many_items_in_many_documents(monkeypatch):
+    """Matches are named once for each item and document, not once for each of their windows."""
+    passage = vocabulary_texts(1, 900, 40, 41, 3)[0]
+    tests = decontaminate.TestTexts([(str(i), f"a{i} {passage} b{i}") for i in range(1000)], 10)
+    texts = [f"c{i} {passage} d{i} e" for i in range(1000)]
+    assert decontaminate.shard_matches(texts, tests) is not None
+    monkeypatch.setattr(decontaminate, "SHARD_MATCHES", 10**7)
+    n_words, (doc, item, begin, at, length) = decontaminate.shard_matches(texts, tests)
+    assert len(doc) == 1_000_000 and len(set(zip(doc.tolist(), item.tolist(), strict=True))) == 1_000_000
+    assert set(begin.tolist()) == set(at.tolist()) == {1} and set(length.tolist()) == {40} and set(n_words.tolist()) == {43}
+    again = decontaminate.TestTexts([("x", "a " * 2000)], 10)
+    _, (doc, *_) = decontaminate.shard_matches(["a " * 20_000], again)
+    assert len(doc) < 25_000
+
+
 # Set join.
 
 

@@ -70,52 +70,47 @@ def format_chats(turns: DataFrame, trained_role: str = "assistant") -> DataFrame
             ),
         )
     )
+    chats = chats.select("conv_id", "formatted", flat.alias("flat")).withColumn("parts", _parts(F.col("flat")))
     step = len(_TEXT) + len(_END)
-    walk = F.aggregate(
-        flat,
-        F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<struct<start:bigint,end:bigint>>").alias("spans")),
-        lambda acc, x: F.struct(
-            (acc["at"] + x["before"] + x["n"] + x["after"] + step).alias("at"),
-            F.when(
-                x["trained"],
-                F.concat(
-                    acc["spans"],
-                    F.array(
-                        F.struct(
-                            (acc["at"] + x["before"] + len(_TEXT)).alias("start"),
-                            (acc["at"] + x["before"] + len(_TEXT) + x["n"]).alias("end"),
-                        )
-                    ),
-                ),
-            )
-            .otherwise(acc["spans"])
-            .alias("spans"),
-        ),
+    width = lambda x: (x["before"] + x["n"] + x["after"] + step).cast("long")
+    widths = F.transform("parts", lambda part: F.aggregate(part, F.lit(0).cast("long"), lambda acc, x: acc + width(x)))
+    begins = F.aggregate(
+        widths,
+        F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<bigint>").alias("begins")),
+        lambda acc, w: F.struct((acc["at"] + w).alias("at"), F.concat(acc["begins"], F.array(acc["at"])).alias("begins")),
+        lambda acc: acc["begins"],
+    )
+    span = lambda at, x: F.array(F.struct((at + x["before"] + len(_TEXT)).alias("start"), (at + x["before"] + len(_TEXT) + x["n"]).alias("end")))
+    walk = lambda part, at: F.aggregate(
+        part,
+        F.struct(at.alias("at"), F.array().cast("array<struct<start:bigint,end:bigint>>").alias("spans")),
+        lambda acc, x: F.struct((acc["at"] + width(x)).alias("at"), F.when(x["trained"], F.concat(acc["spans"], span(acc["at"], x))).otherwise(acc["spans"]).alias("spans")),
         lambda acc: acc["spans"],
     )
-    return chats.select("conv_id", "formatted", walk.alias("loss_spans"))
+    return chats.select("conv_id", "formatted", F.flatten(F.zip_with("parts", begins, walk)).alias("loss_spans"))
+
+
+def _parts(items: Column) -> Column:
+    """An array in about as many parts as each has items: what grows with the square of a part's size, or of their number, grows little with the array."""
+    size = F.greatest(F.lit(1), F.ceil(F.sqrt(F.size(items))).cast("int"))
+    return F.when(F.size(items) > 0, F.transform(F.sequence(F.lit(1), F.size(items), size), lambda at: F.slice(items, at, size))).otherwise(F.array(items))
 
 
 def parse_chat(formatted: Column) -> Column:
     """The turns of a formatted conversation: array of (role, text), unescaped."""
     blocks = F.filter(F.split(formatted, _CLOSE), lambda b: b != "")
-    return F.flatten(
-        F.transform(
-            blocks,
-            lambda b: F.transform(
-                F.slice(F.split(b, r"\[INST\]"), 2, F.length(b)),
-                lambda t: F.struct(
-                    unescape(F.substring_index(F.substring(b, len(_OPEN) + 1, F.length(b)), _TEXT, 1)).alias("role"),
-                    unescape(F.substring_index(t, _END, 1)).alias("text"),
-                ),
-            ),
-        )
-    )
+    # Arrays of one struct name what is computed once for each block.
+    opened = lambda b: F.array(F.struct(unescape(F.substring_index(F.substring(b, len(_OPEN) + 1, F.length(b)), _TEXT, 1)).alias("role"), F.slice(F.split(b, r"\[INST\]"), 2, F.length(b)).alias("texts")))
+    turn = lambda x, t: F.struct(x["role"].alias("role"), unescape(F.substring_index(t, _END, 1)).alias("text"))
+    return F.flatten(F.transform(blocks, lambda b: F.flatten(F.transform(opened(b), lambda x: F.transform(x["texts"], lambda t: turn(x, t))))))
 
 
 def loss_text(formatted: Column, spans: Column) -> Column:
-    """All text under the loss mask, unescaped: span by span, nothing between."""
-    return F.array_join(F.transform(spans, lambda s: unescape(F.substring(formatted, (s["start"] + 1).cast("int"), (s["end"] - s["start"]).cast("int")))), "")
+    """All text under the loss mask, unescaped: span by span, nothing between. Spans are cut from the stretch of their part, as a cut walks from its string's begin."""
+    cut = lambda text, start, end: F.substring(text, (start + 1).cast("int"), (end - start).cast("int"))
+    stretch = lambda part: F.array(F.struct(part[0]["start"].alias("at"), cut(formatted, part[0]["start"], F.element_at(part, -1)["end"]).alias("text")))
+    texts = lambda part: F.flatten(F.transform(stretch(part), lambda x: F.transform(part, lambda s: unescape(cut(x["text"], s["start"] - x["at"], s["end"] - x["at"])))))
+    return F.array_join(F.flatten(F.transform(F.filter(_parts(spans), lambda part: F.size(part) > 0), texts)), "")
 
 
 def read_back(chats: DataFrame) -> DataFrame:

@@ -3,6 +3,7 @@
 import base64
 import hashlib
 import re
+import time
 import zlib
 
 import numpy as np
@@ -209,6 +210,19 @@ def test_chat_round_trip(spark):
     assert got[1].formatted.count("<s>") == 9 and chat.format_chats(df.where("false")).count() == 0
 
 
+def test_long_conversations_take_no_square_of_time(spark):
+    """50,000 turns, alternating in one conversation and by one role in the other."""
+    turns = spark.range(50_000).select(F.col("id").alias("turn"), F.concat(F.lit("text <s> "), F.col("id").cast("string"), F.repeat(F.lit(" x"), 30)).alias("text"))
+    both = turns.select(F.lit(1).cast("long").alias("conv_id"), "turn", F.when(F.col("turn") % 2 == 0, "user").otherwise("assistant").alias("role"), "text")
+    both = both.union(turns.select(F.lit(2).cast("long").alias("conv_id"), "turn", F.lit("assistant").alias("role"), "text"))
+    began = time.monotonic()
+    found = chat.read_back(chat.format_chats(both)).select("conv_id", F.size("turns").alias("n"), F.sha2("loss", 256).alias("loss"), F.size("loss_spans").alias("spans")).collect()
+    assert time.monotonic() - began < 60
+    texts = [f"text <s> {i}{' x' * 30}" for i in range(50_000)]
+    digest = lambda x: hashlib.sha256("".join(x).encode()).hexdigest()
+    assert sorted(map(tuple, found)) == [(1, 50_000, digest(texts[1::2]), 25_000), (2, 50_000, digest(texts), 50_000)]
+
+
 # Archives.
 
 

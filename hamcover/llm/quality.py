@@ -7,7 +7,9 @@ cosines of every document with all of them are computed exactly, in blocks, and
 vote, weighted by a power of their cosine. Prediction reads whole texts and is a map: nothing is shuffled.
 
 Defined results: null and empty texts, which have no vector, score the mean label of the sample; rows with a null or
-other label than 0 and 1 teach nothing; ties of cosine go to no side in particular; with no labels all score 0.5; repeated rows are each scored.
+other label than 0 and 1 teach nothing; cosines are compared to seven digits, and ties go to the labelled row that is first by doc_id, then by
+checksum of its text, then by label; with no labels all score 0.5; repeated rows are each scored, and a document labelled twice votes twice; an empty
+table gives no rows. The labelled rows are brought into that order before the decomposition, so scores don't hang on partitions.
 """
 
 from __future__ import annotations
@@ -84,12 +86,13 @@ class Voter:
         if not len(self.labels):
             return np.full(len(texts), 0.5)
         rows = np.array([features(t) for t in texts])
-        latent = (rows * self.weight) @ self.project
+        latent = (rows * self.weight).astype(np.float64) @ self.project.astype(np.float64)
         known = np.linalg.norm(latent, axis=1) > 0
-        cosines = _unit(latent) @ self.vectors.T
-        k = min(NEIGHBOURS, len(self.labels))
-        near = np.argpartition(-cosines, k - 1, axis=1)[:, :k]
-        weight = np.maximum(np.take_along_axis(cosines, near, 1), 0).astype(np.float64) ** POWER
+        cosines = np.rint(_unit(latent) @ self.vectors.T.astype(np.float64) * 1e7).astype(np.int64)
+        k, n = min(NEIGHBOURS, len(self.labels)), len(self.labels)
+        # No two keys are equal: of equal cosines the first row has the least.
+        near = np.sort(np.partition(np.arange(n) - cosines * n, k - 1, axis=1)[:, :k], axis=1) % n
+        weight = np.maximum(np.take_along_axis(cosines, near, 1) / 1e7, 0) ** POWER
         vote = (weight * self.labels[near]).sum(axis=1) + 1e-3 * self.prior
         return np.where(known, vote / (weight.sum(axis=1) + 1e-3), self.prior)
 
@@ -99,16 +102,18 @@ def _featurise(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for i in range(0, batch.num_rows, 256):
             part = batch.slice(i, 256)
             rows = [features(t).astype(np.float16).tobytes() for t in part.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary()), part.column(1)], names=["row", "label"])
+            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary()), *part.columns[1:]], names=["row", "label", "doc_id", "checksum"])
 
 
 def fit(labelled: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Voter:
     """labelled: doc_id, text, label (0 or 1). Uses `sample_docs` rows at most, but for the deviation of a hash draw."""
-    labelled = labelled.where("label in (0, 1) and text is not null").select("doc_id", "text", F.col("label").cast("int").alias("label"))
+    labelled = labelled.where("label in (0, 1) and text is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text", F.col("label").cast("int").alias("label"))
     n = labelled.count()
     if n > sample_docs:
         labelled = labelled.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)) < int((1 << 30) * sample_docs / n))
-    table = labelled.select("text", "label").mapInArrow(_featurise, "row binary, label int").toArrow()
+    # Text, label and what orders the rows; at most `sample_docs` of them come to the driver.
+    table = labelled.select("text", "label", "doc_id", F.xxhash64("text").alias("checksum")).mapInArrow(_featurise, "row binary, label int, doc_id bigint, checksum bigint").toArrow()
+    table = table.sort_by([(name, "ascending") for name in ("doc_id", "checksum", "label")])
     rows = np.frombuffer(b"".join(table["row"].to_pylist()), np.float16).astype(np.float32)
     return Voter(rows, np.array(table["label"].to_pylist(), np.float32))
 

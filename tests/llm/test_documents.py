@@ -101,6 +101,22 @@ def test_quality_without_labels(spark, make_docs):
     assert [r.score for r in got] == [0.5] * 3
 
 
+def test_quality_hangs_on_no_partitions(spark, make_docs):
+    """The same scores under 1 and 16 partitions; many labelled copies, of either label, tie."""
+    rng = np.random.default_rng(2)
+    texts = ["".join(rng.choice(list("abcdeXYZ 1!"), 60)) for _ in range(60)] + ["the very same text"] * 80 + [LONG, None, ""]
+    docs = make_docs(texts, ids=[*range(len(texts) - 1), 0])
+    labels = docs.select("doc_id", "text", (F.xxhash64("doc_id") % 2 == 0).cast("int").alias("label"))
+    found = []
+    for n in (1, 16):
+        voter = quality.fit(labels.repartition(n))
+        rows = quality.score_quality(docs.repartition(n).withColumn("label", F.lit("x")), voter).select("doc_id", "text", "quality").collect()
+        found.append(sorted((r.doc_id, r.text or "", r.quality.score, r.quality.predicted) for r in rows))
+    assert found[0] == found[1] and len(found[0]) == len(texts)
+    assert len({s for _, t, s, _ in found[0] if t == "the very same text"}) == 1
+    assert quality.score_quality(docs.where("false"), voter).count() == 0
+
+
 # Secrets.
 
 

@@ -2,9 +2,11 @@
 
 import base64
 import hashlib
+import math
 import re
 import time
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -32,18 +34,74 @@ def test_language_accuracy_on_held_out(spark):
     assert np.mean([r.lang_pred == langs[r.doc_id] for r in held]) > 0.97
 
 
+class DirectScorer:
+    """The definition, word by word, from the same counts."""
+
+    def __init__(self, counts):
+        self.languages = sorted({lang for lang, _, _ in counts})
+        self.tables = [{} for _ in range(6)]
+        for lang, word, n in counts:
+            for order in range(6):
+                for g in self.grams(word.decode("utf-8", "replace"), order):
+                    self.tables[order].setdefault(g, Counter())[lang] += n
+        self.sums = [{lang: sum(c[lang] for c in t.values()) for lang in self.languages} for t in self.tables]
+
+    @staticmethod
+    def grams(word, order):
+        """Order 0: the word itself."""
+        if not order:
+            return [word]
+        marked = f"^{word}$" if order > 1 else word
+        return [marked[i : i + order] for i in range(len(marked) - order + 1)]
+
+    def log(self, order, gram, lang):
+        return math.log((self.tables[order][gram][lang] + 0.5) / (self.sums[order][lang] + 0.5 * len(self.tables[order])))
+
+    def word(self, word):
+        for order in (0, 5, 4, 3, 2, 1):
+            known = [g for g in self.grams(word, order) if g in self.tables[order]]
+            if known:
+                return [sum(self.log(order, g, lang) for g in known) / len(known) for lang in self.languages]
+        return [0.0] * len(self.languages)
+
+    def predict(self, text):
+        text = text or ""
+        words = re.findall("[a-z\x80-\U0010ffff]+", text.lower())
+        if not words or not any(c.isalpha() for c in text):
+            return "und", 0.0
+        total = [sum(x) for x in zip(*map(self.word, words), strict=True)]
+        best = max(total)
+        return self.languages[total.index(best)], 1 / sum(math.exp(x - best) for x in total)
+
+
+@pytest.mark.parametrize("size, sample, vocabulary", [("sf0.001", 5_000, 30_000), ("sf0.01", 20, 150)])
+def test_language_of_every_document_as_a_direct_scorer(spark, size, sample, vocabulary):
+    docs = spark.read.parquet(f"/root/testdata/{size}/documents.parquet").limit(400)
+    counts = [tuple(r) for r in langid.word_counts(langid.learnable(docs), sample, vocabulary).collect()]
+    direct = DirectScorer([(lang, bytes(word), n) for lang, word, n in counts])
+    assert max(Counter(lang for lang, _, _ in counts).values()) <= vocabulary and len(direct.languages) == 4
+    model = langid.fit(langid.learnable(docs), sample, vocabulary)
+    for r in langid.identify(docs, model).select("text", "language").collect():
+        lang, score = direct.predict(r.text)
+        assert r.language.lang_pred == lang and r.language.score == pytest.approx(score, abs=1e-4)
+
+
+def test_rare_languages_stay(spark):
+    rows = [(i, f"common words of number {'abcdefgh'[i % 8]}{'klmnop'[i % 6]}", "aa") for i in range(3000)] + [(9000 + i, "selten gehört", "zz") for i in range(3)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    counts = langid.word_counts(docs, sample_docs=50, vocabulary=5).collect()
+    assert {r.lang for r in counts} == {"aa", "zz"} and Counter(r.lang for r in counts) == {"aa": 5, "zz": 2}
+    assert {r.n for r in counts if r.lang == "zz"} == {3} and max(r.n for r in counts) < 120
+    assert langid.fit(docs, 50, 5).predict(["seltener"])[0][0] == "zz"
+
+
 def test_language_backs_off_to_shorter_grams():
     model = langid.Model([("de", b"strasse", 5), ("de", b"wasser", 5), ("fr", b"maison", 5), ("fr", b"oiseaux", 5)])
-    scorer = langid.Scorer(model)
-    assert scorer.predict("Strasse")[0] == "de" and scorer.predict("oiseau")[0] == "fr" and scorer.predict("wassern")[0] == "de"
-    for text in (None, "", "123 456 !!", "\n\t"):
-        assert scorer.predict(text) == ("und", 0.0)
-    assert scorer.predict("日本")[0] in ("de", "fr") and langid.Scorer(langid.Model([])).predict("abc") == ("und", 0.0)
-    for w in range(langid.REMEMBERED + 10):
-        scorer[b"x%d" % w]
-        if w > 100:
-            break
-    assert scorer.predict(LONG)[1] <= 1
+    told = dict(zip(("Strasse", "oiseau", "wassern"), [x for x, _ in model.predict(["Strasse", "oiseau", "wassern"])], strict=True))
+    assert told == {"Strasse": "de", "oiseau": "fr", "wassern": "de"}
+    assert model.predict([None, "", "123 456 !!", "\n\t", "— …"]) == [("und", 0.0)] * 5
+    assert model.predict(["日本"])[0][0] in ("de", "fr") and langid.Model([]).predict(["abc"]) == [("und", 0.0)]
+    assert model.predict([LONG])[0][1] <= 1
 
 
 def test_language_odd_rows(spark, make_docs):

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextvars
 import os
 import uuid
 from collections.abc import Iterator
@@ -51,6 +52,9 @@ def written(df: DataFrame, what: str) -> DataFrame:
             spark.conf.set(_CLEANUP, before)
     table = spark.read.schema(df.schema).parquet(path)
     table.written_to = path
+    steps = _STEPS.get()
+    if steps is not None:
+        steps.tables.append(table)
     return table
 
 
@@ -62,6 +66,34 @@ def discard(*tables: DataFrame) -> None:
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+class Steps:
+    """Tables written inside `with Steps() as steps` are deleted behind it, but for those in steps.keep(), which the result still reads.
+    An enclosing Steps deletes these in turn."""
+
+    def __init__(self):
+        self.tables: list[DataFrame] = []
+        self.kept: list[DataFrame] = []
+
+    def keep(self, *tables: DataFrame) -> None:
+        self.kept += tables
+
+    def __enter__(self) -> Steps:
+        self.outer = _STEPS.get()
+        _STEPS.set(self)
+        return self
+
+    def __exit__(self, kind, *_) -> None:
+        _STEPS.set(self.outer)
+        paths = {t.written_to for t in self.kept}
+        if kind is None:
+            discard(*(t for t in self.tables if t.written_to not in paths))
+        if self.outer is not None:
+            self.outer.tables += self.kept
+
+
+_STEPS: contextvars.ContextVar[Steps | None] = contextvars.ContextVar("steps", default=None)
+
+
 #: Bytes of Latin letters and digits and of all non-ASCII characters stay, A-Z turn into a-z, all others separate words.
 _FOLD = bytes(i + 32 if 65 <= i <= 90 else i if 48 <= i <= 57 or 97 <= i <= 122 or i >= 128 else 32 for i in range(256))
 

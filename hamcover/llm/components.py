@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hamcover.llm.common import written
+from hamcover.llm.common import discard, written
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -16,16 +16,18 @@ def components(links: DataFrame) -> DataFrame:
     one row for each task.
     """
     both = written(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b"), "links")
-    labels = written(both.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("least")).select("id", F.least("id", "least").alias("label")), "labels")
+    table = labels = written(both.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("least")).select("id", F.least("id", "least").alias("label")), "labels")
     while True:
         near = both.join(labels, F.col("b") == F.col("id")).groupBy("a").agg(F.min("label").alias("least"))
         step = labels.join(near, F.col("id") == F.col("a")).select("id", F.least("label", "least").alias("label"), F.col("label").alias("was"))
-        step = written(step, "labels")
+        shorter = first = written(step, "labels")
         for _ in range(2):
-            target = step.select(F.col("id").alias("t"), F.col("label").alias("to"))
-            step = step.join(target, F.col("label") == F.col("t"), "left").select("id", F.least("label", F.coalesce("to", "label")).alias("label"), "was")
-        step = written(step, "labels")
-        changed = step.where("label <> was").limit(1).count()
-        labels = step.select("id", "label")
+            target = shorter.select(F.col("id").alias("t"), F.col("label").alias("to"))
+            shorter = shorter.join(target, F.col("label") == F.col("t"), "left").select("id", F.least("label", F.coalesce("to", "label")).alias("label"), "was")
+        shorter = written(shorter, "labels")
+        discard(table, first)
+        changed = shorter.where("label <> was").limit(1).count()
+        table, labels = shorter, shorter.select("id", "label")
         if not changed:
+            discard(both)
             return labels

@@ -35,7 +35,7 @@ from hamcover.llm.batchwise import with_struct
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 #: Words whose pieces a task remembers before it forgets all of them.
-REMEMBERED = 400_000
+REMEMBERED = 200_000
 #: New words that are encoded as one text.
 JOINED = 200
 #: Threads of a task that the tokenizers library may use.
@@ -106,6 +106,9 @@ class Backend:
             self.other = SentencePieceProcessor(model_proto=self.bytes)
             self.known.clear()
 
+    def forget(self) -> None:
+        self.known, self.differ = {}, set()
+
     def _same(self, texts: list[str], packed: list[bytes]) -> list[bool]:
         return [_packed(x) == y for x, y in zip(self.other.encode(texts, num_threads=1), packed, strict=True)] if texts else []
 
@@ -189,7 +192,7 @@ def _packed(ids: list[int]) -> bytes:
     return array("i", ids).tobytes()
 
 
-#: Backends of this process by the checksum of their model: a worker that runs several tasks keeps the words it has met.
+#: Backends of this process by the checksum of their model: a worker that runs several tasks builds them once.
 _BACKENDS: dict[str, Backend] = {}
 
 
@@ -230,6 +233,7 @@ def encode_pieces(docs: DataFrame, model: bytes, text: str = "text", output: str
                     same[k] = x
             return pa.ListArray.from_arrays(offsets.astype(np.int32), flat), pa.array(back), pa.array(same, pa.bool_())
 
+        work.done = backend.forget
         return work
 
     return with_struct(docs, text, output, "struct<ids:array<int>,round_trip:boolean,parity:boolean>", make)

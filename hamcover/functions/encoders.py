@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import hashlib
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from hamcover.functions.bits import pack_bits, words_of
 from hamcover.plans import draws
+from hamcover.sources.shared import written
 
 TOKEN = r"[\p{L}\p{N}]+"
 QUANTUM = 1 << 20
@@ -155,15 +156,31 @@ def tokens(text: Column | str) -> Column:
     return F.regexp_extract_all(F.lower(text), F.lit(TOKEN), 0)
 
 
-def vocabulary(docs: DataFrame, text: str = "text", min_freq: int = 10, stop_words: list[str] | None = None) -> DataFrame:
-    """pos, word: words that occur more than min_freq times in all, numbered in their order."""
-    counts = docs.select(F.explode(tokens(F.col(text))).alias("word")).groupBy("word").count().where(F.col("count") > min_freq)
+#: Frequent words of the languages of the given texts, without meaning of their own: fixed values.
+STOP_WORDS = (
+    "a", "an", "and", "as", "at", "be", "by", "for", "from", "in", "is", "it", "of", "on", "or", "that", "the", "this", "to", "was", "with",
+    "au", "de", "des", "du", "en", "est", "et", "il", "la", "le", "les", "pour", "que", "un", "une",
+    "das", "den", "der", "die", "ein", "eine", "ist", "mit", "und", "von", "zu",
+    "con", "del", "el", "los", "para", "por", "se", "y",
+)
+
+
+def vocabulary(docs: DataFrame, text: str = "text", min_freq: int = 10, stop_words: Iterable[str] = ()) -> DataFrame:
+    """pos, word: words that occur more than min_freq times in all, but for stop words, numbered in their order.
+
+    The words are dealt to ranges and numbered there; a range begins where those before it end. Only a row for each range meets in one task."""
+    words = docs.select(F.explode(tokens(F.col(text))).alias("word"))
     if stop_words:
-        counts = counts.where(~F.col("word").isin(stop_words))
-    return counts.select((F.row_number().over(Window.orderBy("word")) - 1).alias("pos"), "word")
+        words = words.where(~F.col("word").isin(list(stop_words)))
+    counts = words.groupBy("word").count().where(F.col("count") > min_freq).select("word")
+    ranged = written(counts.repartitionByRange("word").withColumn("range", F.spark_partition_id()), "vocabulary")
+    before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    begins = ranged.groupBy("range").agg(F.count("*").alias("n")).select("range", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("begin"))
+    place = F.row_number().over(Window.partitionBy("range").orderBy("word")) - 1
+    return ranged.withColumn("place", place).join(F.broadcast(begins), "range").select((F.col("begin") + F.col("place")).cast("int").alias("pos"), "word")
 
 
-def word_sets(docs: DataFrame, min_freq: int = 10, stop_words: list[str] | None = None) -> DataFrame:
+def word_sets(docs: DataFrame, min_freq: int = 10, stop_words: Iterable[str] = ()) -> DataFrame:
     """id, ones: the vocabulary positions of a document's words, sorted, without repetition. `docs` has id and text."""
     own = docs.select("id", F.explode(F.array_distinct(tokens(F.col("text")))).alias("word"))
     return own.join(vocabulary(docs, min_freq=min_freq, stop_words=stop_words), "word").groupBy("id").agg(F.sort_array(F.collect_set("pos")).alias("ones"))

@@ -31,9 +31,10 @@ def small(rows: DataFrame, count: int, each: int = 64) -> DataFrame:
 def probe(index: DataFrame, probes: DataFrame, n_probes: int | None = None) -> DataFrame:
     """All hits of query rows (qid, part, v, bucket) in bucket rows (id, part, v, bucket): qid, id, part, v, and codes that either side carries."""
     n = probes.count() if n_probes is None else n_probes
-    own = [c for c in probes.columns if c not in ("part", "v", "bucket")]
-    rest = [c for c in index.columns if c not in ("part", "v", "bucket", *own)]
-    return index.join(small(probes, n), ["part", "v", "bucket"]).select(*own, *rest, "part", "v")
+    keys = ["part", "v", "bucket"] + ["check"] * ("check" in probes.columns and "check" in index.columns)
+    own = [c for c in probes.columns if c not in keys]
+    rest = [c for c in index.columns if c not in (*keys, *own)]
+    return index.join(small(probes, n), keys).select(*own, *rest, "part", "v")
 
 
 def candidates(hits: DataFrame, dedupe: str = "distinct", plan: CoverPlan | None = None) -> DataFrame:
@@ -245,31 +246,73 @@ def nearest(points: DataFrame, queries: DataFrame, d: int, radii: tuple[int, ...
 
 
 def collapsed(points: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """One point for each distinct code, by the least id, and the membership (rep, id). Equal codes share all tables, so they are never hashed twice."""
-    value = _value(points)
-    reps = points.groupBy(value).agg(F.min("id").alias("rep"))
-    members = points.select("id", value).join(reps, value).select("rep", "id")
-    return reps.select(F.col("rep").alias("id"), value), members
+    """One point for each distinct code (of each `group`, if points have that column), by the least id, and the membership (rep, id).
+    Equal codes share all tables, so they are never hashed twice."""
+    keys = [_value(points)] + ["group"] * ("group" in points.columns)
+    reps = points.groupBy(*keys).agg(F.min("id").alias("rep"))
+    # Codes that only one point has are not joined to anything.
+    members = points.select("id", *keys).join(reps, keys).select("rep", "id")
+    return reps.select(F.col("rep").alias("id"), *keys), members
+
+
+#: Points of a bucket beyond which a self-join compares it in tiles.
+HEAVY_BUCKET = 8_192
+
+
+def _met(rows: DataFrame, keys: list[str], condition: Column) -> DataFrame:
+    """Pairs of bucket rows that meet, the lesser id first."""
+    right = rows.select(*keys, F.col("id").alias("qid"), F.col("code").alias("qcode"), *([F.col("block").alias("qblock")] if "block" in rows.columns else []))
+    return rows.join(right, keys).where(condition).select("qid", "id", "part", "v", "code", "qcode")
+
+
+def _self_hits(rows: DataFrame, near: Column, heavy: int | None) -> DataFrame:
+    """Pairs id < qid of bucket rows (id, part, v, bucket, code) that share a bucket and are near.
 
+    A bucket of more than `heavy` rows is cut into blocks by id; each pair of blocks is a tile, and a task of its own."""
+    keys = ["part", "v", "bucket"]
+    ordered = F.col("id") < F.col("qid")
+    if heavy is None:
+        return _met(rows, keys, ordered & near)
+    large = written(rows.groupBy(*keys).agg(F.count("*").alias("n")).where(F.col("n") > heavy), "heavy-buckets")
+    light = _met(rows.join(large, keys, "left_anti").select(*rows.columns), keys, ordered & near)
+    blocks = F.ceil(F.col("n") / heavy).cast("int")
+    dealt = rows.join(large, keys).withColumn("block", F.pmod(F.xxhash64("id", "bucket"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    dealt = dealt.select("id", *keys, "code", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block")
+    once = ordered & (F.col("i") == F.col("j")) | (F.col("block") != F.col("qblock")) & ordered
+    return light.union(_met(dealt, [*keys, "i", "j"], once & near))
 
-def near_pairs(points: DataFrame, r: int, d: int, plan: CoverPlan | None = None, n: int | None = None, waves: int = 1) -> DataFrame:
-    """All pairs a < b of points within r: of distinct codes by a self-join of buckets in which each pair is kept in one table only, then
-    spread over equal codes. `waves` splits the tables into so many joins, each of which holds fewer rows at a time."""
+
+def near_pairs(points: DataFrame, r: int, d: int, plan: CoverPlan | None = None, n: int | None = None, waves: int = 1) -> tuple[DataFrame, DataFrame]:
+    """All pairs a < b of distinct codes within r (a, b, distance; each code by its least id), and the membership (rep, id) of all points.
+
+    Rows grow with the points and with the pairs of unlike codes, however many points share a code; see `every_near_pair` for pairs of all points. A self-join of buckets in which
+    each pair is kept in one table only. `waves` splits the tables into so many joins, each of which holds fewer rows at a time. With a column `group`, only points of one group are paired.
+    """
+    n = points.count() if n is None else n
     if plan is None:
-        plan = plan_cover(d, points.count() if n is None else n, r)
+        plan = plan_cover(d, n, r)
     reps, members = collapsed(points)
+    reps = written(reps, "distinct-codes")
     hashed = hashers.transform_cover_hash(reps, plan, carry=True)
+    # Far pairs go before the kernel: the distance is one generated expression.
+    near = hamming("code", "qcode", words_of(d)) <= r
     found = None
     for wave in range(waves):
         rows = hashed.where(F.pmod("v", F.lit(waves)) == wave) if waves > 1 else hashed
-        right = rows.select("part", "v", "bucket", F.col("id").alias("qid"), F.col("code").alias("qcode"))
-        hits = rows.join(right, ["part", "v", "bucket"]).where(F.col("id") < F.col("qid")).select("qid", "id", "part", "v", "code", "qcode")
-        # Far pairs go before the kernel: the distance is one generated expression.
-        hits = hits.where(hamming("code", "qcode", words_of(d)) <= r)
-        mine = owned(hits, plan).select(F.col("id").alias("x"), F.col("qid").alias("y"), hamming("code", "qcode", words_of(d)).alias("distance"))
+        # No bucket has more rows than there are points.
+        hits = _self_hits(rows, near, HEAVY_BUCKET if n > HEAVY_BUCKET else None)
+        mine = owned(hits, plan).select(F.col("id").alias("a"), F.col("qid").alias("b"), hamming("code", "qcode", words_of(d)).alias("distance"))
         found = mine if found is None else found.union(mine)
-    left, right = members.select(F.col("rep").alias("x"), F.col("id").alias("i")), members.select(F.col("rep").alias("y"), F.col("id").alias("j"))
-    apart = found.join(left, "x").join(right, "y").select(F.least("i", "j").alias("a"), F.greatest("i", "j").alias("b"), "distance")
+    if "group" in points.columns:
+        group = lambda x: reps.select(F.col("id").alias(x), F.col("group").alias(f"group_{x}"))
+        found = found.join(group("a"), "a").join(group("b"), "b").where(F.col("group_a") == F.col("group_b")).select("a", "b", "distance")
+    return found, members
+
+
+def every_near_pair(pairs: DataFrame, members: DataFrame) -> DataFrame:
+    """The pairs of `near_pairs`, for all points of their codes: a, b, distance. Copies of one code make rows with the square of their number."""
+    left, right = members.select(F.col("rep").alias("a"), F.col("id").alias("i")), members.select(F.col("rep").alias("b"), F.col("id").alias("j"))
+    apart = pairs.join(left, "a").join(right, "b").select(F.least("i", "j").alias("a"), F.greatest("i", "j").alias("b"), "distance")
     same = members.join(members.select("rep", F.col("id").alias("other")), "rep").where(F.col("id") < F.col("other"))
     return apart.union(same.select(F.col("id").alias("a"), F.col("other").alias("b"), F.lit(0).alias("distance")))
 

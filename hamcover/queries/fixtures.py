@@ -48,11 +48,11 @@ def images(spark: SparkSession, sf_dir: str, bits: int = 64, projected: bool = F
 
 
 def words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return encoders.word_sets(load(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"))
+    return encoders.word_sets(load(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), stop_words=encoders.STOP_WORDS)
 
 
 def vocabulary_size(spark: SparkSession, sf_dir: str) -> int:
-    return encoders.vocabulary(load(spark, sf_dir, "documents").select("text")).count()
+    return encoders.vocabulary(load(spark, sf_dir, "documents").select("text"), stop_words=encoders.STOP_WORDS).count()
 
 
 def ratings(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -136,9 +136,10 @@ def sql_distance(n_words: int, a: str = "p", b: str = "q") -> str:
 
 def sql_word_sets() -> str:
     """CTEs vocab (pos, word) and points (id, ones)."""
-    return r"""
-tok AS (SELECT doc_id AS id, unnest(regexp_extract_all(lower(coalesce(text, '')), '[\p{L}\p{N}]+')) AS word FROM documents),
-vocab AS (SELECT row_number() OVER (ORDER BY word) - 1 AS pos, word FROM (SELECT word FROM tok GROUP BY word HAVING count(*) > 10)),
+    stop = ", ".join(f"'{w}'" for w in encoders.STOP_WORDS)
+    return rf"""
+tok AS (SELECT doc_id AS id, unnest(regexp_extract_all(lower(coalesce(text, '')), '[\p{{L}}\p{{N}}]+')) AS word FROM documents),
+vocab AS (SELECT row_number() OVER (ORDER BY word) - 1 AS pos, word FROM (SELECT word FROM tok WHERE word NOT IN ({stop}) GROUP BY word HAVING count(*) > 10)),
 points AS (SELECT id, list_sort(list(DISTINCT CAST(pos AS INT))) AS ones FROM tok JOIN vocab USING (word) GROUP BY id)"""
 
 

@@ -166,7 +166,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("j_self_pairs", f"{CODES}\nSELECT p.id AS a, q.id AS b FROM points p JOIN points q ON p.id < q.id WHERE {fx.sql_distance(1)} <= 2")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return search.near_pairs(fx.docs(spark, sf_dir, 64), 2, 64, n=1000).select("a", "b")
+    return search.every_near_pair(*search.near_pairs(fx.docs(spark, sf_dir, 64), 2, 64)).select("a", "b")
 
 
 # Aggregates.
@@ -324,7 +324,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _pairs(spark, sf_dir, r):
-    return search.near_pairs(fx.docs(spark, sf_dir, 64), r, 64, n=1000).select("a", "b")
+    return search.every_near_pair(*search.near_pairs(fx.docs(spark, sf_dir, 64), r, 64)).select("a", "b")
 
 
 _NEAR = "SELECT p.id AS a, q.id AS b FROM points p JOIN points q ON p.id < q.id WHERE bit_count(xor(p.w0, q.w0)) <= {}"
@@ -533,15 +533,23 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("near_duplicate_documents", f"{CODES}\nSELECT p.id AS a, q.id AS b, {fx.sql_distance(1)} AS distance FROM points p JOIN points q ON p.id < q.id WHERE {fx.sql_distance(1)} <= 4")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return search.near_pairs(fx.docs(spark, sf_dir, 64), 4, 64, n=1000, waves=2)
+    return search.every_near_pair(*search.near_pairs(fx.docs(spark, sf_dir, 64), 4, 64, waves=2))
 
 
-@query("customer_entity_pairs")
+_GRAMS = "array_to_string(list_transform(range(1, greatest(length(c_name) - 2, 1) + 1), lambda i: regexp_replace(substr(c_name, i, 3), '[^A-Za-z0-9]', 'x', 'g')), ' ')"
+
+
+@query(
+    "customer_entity_pairs",
+    f"""WITH points AS MATERIALIZED ({fx.sql_text_codes(64, f"SELECT c_custkey AS id, {_GRAMS} AS text FROM customer")}), nation_of AS (SELECT c_custkey AS id, c_nationkey AS n FROM customer)
+SELECT p.id AS a, q.id AS b, {fx.sql_distance(1)} AS distance FROM (SELECT * FROM points JOIN nation_of USING (id)) p JOIN (SELECT * FROM points JOIN nation_of USING (id)) q ON p.n = q.n AND p.id < q.id WHERE {fx.sql_distance(1)} <= 2""",
+)
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Customers whose names' fingerprints of character trigrams are near, in one nation."""
+    """Customers of one nation whose names' fingerprints of character trigrams are near."""
     from hamcover.functions.encoders import text_fingerprint
 
     c = load(spark, sf_dir, "customer")
     grams = F.array_join(F.transform(F.sequence(F.lit(1), F.greatest(F.length("c_name") - 2, F.lit(1))), lambda i: F.regexp_replace(F.substr("c_name", i, F.lit(3)), "[^A-Za-z0-9]", "x")), " ")
     codes = text_fingerprint(c.select(F.col("c_custkey").alias("id"), grams.alias("text")), "text", 64)
-    return search.near_pairs(codes, 2, 64, n=1500)
+    grouped = codes.join(c.select(F.col("c_custkey").alias("id"), F.col("c_nationkey").alias("group")), "id")
+    return search.every_near_pair(*search.near_pairs(grouped, 2, 64))

@@ -418,7 +418,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("near_pairs_docs", f"WITH points AS MATERIALIZED ({fx.sql_text_codes(64)})\nSELECT p.id AS a, q.id AS b, {fx.sql_distance(1)} AS distance FROM points p JOIN points q ON p.id < q.id WHERE {fx.sql_distance(1)} <= 3")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return search.near_pairs(fx.docs(spark, sf_dir, 64), 3, 64, n=1000)
+    return search.every_near_pair(*search.near_pairs(fx.docs(spark, sf_dir, 64), 3, 64))
 
 
 HIST_SQL = f"{doc_sql(64)}\nSELECT {fx.sql_distance(1)} AS distance, count(*) AS pairs FROM all_ p, queries q GROUP BY 1"
@@ -536,7 +536,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("word_sets_vocab", f"WITH {fx.sql_word_sets()} SELECT CAST(pos AS INT) AS pos, word FROM vocab")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return encoders.vocabulary(load(spark, sf_dir, "documents").select("text"))
+    return encoders.vocabulary(load(spark, sf_dir, "documents").select("text"), stop_words=encoders.STOP_WORDS)
 
 
 @query("word_sets", f"WITH {fx.sql_word_sets()} SELECT id, len(ones) AS n, list_sum(ones)::BIGINT AS total FROM points")

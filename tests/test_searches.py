@@ -138,7 +138,29 @@ def test_near_pairs(spark):
     bits = np.bitwise_count((x[:, None, 0] ^ x[None, :, 0]).view(np.uint64))
     want = sorted((a, b, int(bits[a, b])) for a in range(200) for b in range(a + 1, 200) if bits[a, b] <= 5)
     for waves in (1, 3):
-        assert sorted(map(tuple, search.near_pairs(points, 5, 64, n=200, waves=waves).collect())) == want
+        assert sorted(map(tuple, search.every_near_pair(*search.near_pairs(points, 5, 64, n=200, waves=waves)).collect())) == want
+
+
+def test_near_pairs_of_heavy_buckets(spark, monkeypatch):
+    """Buckets in tiles give the same pairs, each once; groups keep apart."""
+    x = near_codes(300)
+    points = frame(spark, x).withColumn("group", F.col("id") % 2)
+    bits = np.bitwise_count((x[:, None, 0] ^ x[None, :, 0]).view(np.uint64))
+    want = sorted((a, b, int(bits[a, b])) for a in range(300) for b in range(a + 1, 300) if bits[a, b] <= 5)
+    monkeypatch.setattr(search, "HEAVY_BUCKET", 6)
+    pairs = search.every_near_pair(*search.near_pairs(points.drop("group"), 5, 64))
+    assert sorted(map(tuple, pairs.collect())) == want
+    apart = search.every_near_pair(*search.near_pairs(points, 5, 64))
+    assert sorted(map(tuple, apart.collect())) == [p for p in want if p[0] % 2 == p[1] % 2]
+
+
+def test_near_pairs_of_many_equal_codes(spark):
+    """100,000 points of one code are one representative; nothing grows with the square of their number."""
+    points = spark.range(100_000).select("id", F.array(F.lit(5).cast("bigint")).alias("code"))
+    others = spark.range(100_000, 100_050).select("id", F.array(F.shiftleft(F.lit(1).cast("bigint"), 3) + F.col("id") % 2).alias("code"))
+    pairs, members = search.near_pairs(points.unionByName(others), 3, 64)
+    assert sorted(map(tuple, pairs.collect())) == [(0, 100_000, 3), (0, 100_001, 2), (100_000, 100_001, 1)]
+    assert members.count() == 100_050 and members.where("rep = 0").count() == 100_000
 
 
 def test_empty_and_null(spark):

@@ -150,7 +150,8 @@ def word_counts(labelled: DataFrame, sample_docs: int = SAMPLE_DOCS, vocabulary:
     labelled = labelled.where("lang is not null and text is not null").select("doc_id", "text", "lang")
     sizes = labelled.groupBy("lang").agg(F.count("*").alias("of"))
     drawn = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    sample = labelled.join(sizes, "lang").where(drawn * F.col("of") < sample_docs)
+    # A row for each language, of which the model has up to `vocabulary`: smaller than what is broadcast anyway.
+    sample = labelled.join(F.broadcast(sizes), "lang").where(drawn * F.col("of") < sample_docs)
     counts = sample.select("lang", "text").mapInArrow(_count_words, "lang string, word binary, n bigint").groupBy("lang", "word").agg(F.sum("n").alias("n"))
     best = Window.partitionBy("lang").orderBy(F.desc("n"), "word")
     return counts.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= vocabulary).select("lang", "word", "n")

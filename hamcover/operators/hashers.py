@@ -24,9 +24,9 @@ KERNEL_BYTES = 1 << 26
 
 
 @lru_cache(maxsize=32)
-def columns(plan: CoverPlan, part: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def columns(plan: CoverPlan, part: int, key: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Positions, labels and seeds of a part's columns."""
-    return tuple(np.array(x, np.int64) for x in plan.columns(part))
+    return tuple(np.array(x, np.int64) for x in plan.columns(part, key))
 
 
 def unpacked(codes: pa.Array, d: int) -> np.ndarray:
@@ -73,8 +73,8 @@ def transform_hash(sketch: np.ndarray, prime: int) -> np.ndarray:
     return keys - prime * (keys >= prime)
 
 
-def _dense_sketch(bits: np.ndarray, plan: CoverPlan, part: int) -> np.ndarray:
-    where, labels, seeds = columns(plan, part)
+def _dense_sketch(bits: np.ndarray, plan: CoverPlan, part: int, key: int = 0) -> np.ndarray:
+    where, labels, seeds = columns(plan, part, key)
     order = np.argsort(labels, kind="stable")
     used, starts = np.unique(labels[order], return_index=True)
     size = 1 << plan.bits(part)
@@ -95,9 +95,9 @@ def _dense_sketch(bits: np.ndarray, plan: CoverPlan, part: int) -> np.ndarray:
     return sketch
 
 
-def _sparse_sketch(ones: pa.Array, plan: CoverPlan, part: int) -> np.ndarray:
+def _sparse_sketch(ones: pa.Array, plan: CoverPlan, part: int, key: int = 0) -> np.ndarray:
     """Only the positions that are set are visited."""
-    where, labels, seeds = columns(plan, part)
+    where, labels, seeds = columns(plan, part, key)
     n, size = len(ones), 1 << plan.bits(part)
     sizes = np.diff(ones.offsets.to_numpy())
     at = ones.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
@@ -114,18 +114,21 @@ def _sparse_sketch(ones: pa.Array, plan: CoverPlan, part: int) -> np.ndarray:
     return total.reshape(size, n)
 
 
-def _rows(ids: np.ndarray, part: int, keys: np.ndarray, extra: dict[str, pa.Array] | None = None) -> pa.RecordBatch:
-    """keys: a row for each table, a column for each point."""
+def _rows(ids: np.ndarray, part: int, keys: np.ndarray, extra: dict[str, pa.Array] | None = None, check: list[np.ndarray] | None = None) -> pa.RecordBatch:
+    """keys: a row for each table, a column for each point; check: nothing, or second keys alike."""
     tables, n = keys.shape
     arrays = [pa.array(np.tile(ids, tables)), pa.array(np.full(tables * n, part, np.int32)), pa.array(np.repeat(np.arange(1, tables + 1, dtype=np.int32), n)), pa.array(keys.ravel())]
     names = ["id", "part", "v", "bucket"]
+    for second in check or []:
+        arrays.append(pa.array(second.ravel()))
+        names.append("check")
     for name, values in (extra or {}).items():
         arrays.append(values.take(pa.array(np.tile(np.arange(n), tables))))
         names.append(name)
     return pa.RecordBatch.from_arrays(arrays, names=names)
 
 
-def _hasher(points: DataFrame, tables: int, kernel: Callable[[pa.RecordBatch], Iterator[tuple[int, np.ndarray]]], carry: bool, layout: str, width: int = 8) -> DataFrame:
+def _hasher(points: DataFrame, tables: int, kernel: Callable[[pa.RecordBatch], Iterator[tuple[int, np.ndarray]]], carry: bool, layout: str, width: int = 8, paired: bool = False) -> DataFrame:
     """Runs a kernel that gives keys part by part. `carry` keeps the code on each row; layout 'array' gives one row for each point and part, with all its keys."""
     kind = "code array<bigint>" if "code" in points.columns else "ones array<int>"
     name = kind.split()[0]
@@ -136,19 +139,20 @@ def _hasher(points: DataFrame, tables: int, kernel: Callable[[pa.RecordBatch], I
             for at in range(0, whole.num_rows, rows_at_once):
                 batch = whole.slice(at, rows_at_once)
                 ids = batch.column(0).to_numpy(zero_copy_only=False)
-                for part, keys in kernel(batch.column(1)):
+                for part, keys, *check in kernel(batch.column(1)):
                     if layout == "array":
                         flat = np.ascontiguousarray(keys.T).ravel()
                         offsets = np.arange(0, len(flat) + 1, len(keys), dtype=np.int32)
                         yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.full(len(ids), part, np.int32)), pa.ListArray.from_arrays(offsets, flat)], names=["id", "part", "buckets"])
                     else:
-                        yield _rows(ids, part, keys, {name: batch.column(1)} if carry else None)
+                        yield _rows(ids, part, keys, {name: batch.column(1)} if carry else None, check)
 
-    schema = "id bigint, part int, buckets array<bigint>" if layout == "array" else HASHED + (f", {kind}" if carry else "")
+    schema = "id bigint, part int, buckets array<bigint>" if layout == "array" else HASHED + (", check bigint" if paired else "") + (f", {kind}" if carry else "")
     return points.select(F.col("id").cast("bigint").alias("id"), name).where(F.col(name).isNotNull()).mapInArrow(run, schema)
 
 
-Kernel = Callable[[pa.Array], Iterator[tuple[int, np.ndarray]]]
+#: From codes: part and keys of all tables, and second keys if the plan has pairs.
+Kernel = Callable[[pa.Array], Iterator[tuple]]
 
 
 def is_sparse(column: pa.Array) -> bool:
@@ -158,12 +162,12 @@ def is_sparse(column: pa.Array) -> bool:
 def transform_kernel(plan: CoverPlan) -> Kernel:
     """Keys of all tables of a part from one fast transform per point."""
 
-    def kernel(column: pa.Array) -> Iterator[tuple[int, np.ndarray]]:
+    def kernel(column: pa.Array) -> Iterator[tuple]:
         sparse = is_sparse(column)
         bits = None if sparse else unpacked(column, plan.d)
         for part in range(plan.parts):
-            sketch = _sparse_sketch(column, plan, part) if sparse else _dense_sketch(bits, plan, part)
-            yield part, transform_hash(sketch, plan.prime)
+            sketches = (_sparse_sketch(column, plan, part, key) if sparse else _dense_sketch(bits, plan, part, key) for key in range(1 + plan.paired))
+            yield part, *(transform_hash(sketch, plan.prime) for sketch in sketches)
 
     return kernel
 
@@ -172,12 +176,12 @@ def transform_cover_hash(points: DataFrame, plan: CoverPlan, carry: bool = False
     """Bucket rows of the covering family by transforms, in Arrow kernels or (`engine='sql'`) by SQL expressions."""
     if engine == "sql":
         return _sql_cover_hash(points, plan)
-    return _hasher(points, max(map(plan.tables, range(plan.parts))), transform_kernel(plan), carry, layout)
+    return _hasher(points, max(map(plan.tables, range(plan.parts))), transform_kernel(plan), carry, layout, paired=plan.paired)
 
 
 def cover_keys_expr(code: Column, plan: CoverPlan, part: int) -> Column:
     """All keys of a part as one array, by SQL expressions; for primes below 2 ** 32."""
-    if plan.prime >= 1 << 32:
+    if plan.prime >= 1 << 32 or plan.paired:
         raise ValueError("expressions add without reduction: use a prime below 2 ** 32")
     where, labels, seeds = plan.columns(part)
     size = 1 << plan.bits(part)
@@ -226,36 +230,36 @@ def masked_cover_hash(points: DataFrame, plan: CoverPlan, carry: bool = False, k
         # A row for each point and table is what an index of masks is; the masks are as many as the tables.
         return points.crossJoin(F.broadcast(masks)).select("id", "part", "v", masked.alias("bucket"))
 
-    return _hasher(points, max(max(map(plan.tables, range(plan.parts))), plan.d * plan.copies), masked_kernel(plan), carry, layout)
+    return _hasher(points, max(max(map(plan.tables, range(plan.parts))), plan.d * plan.copies), masked_kernel(plan), carry, layout, paired=plan.paired)
 
 
 def masked_kernel(plan: CoverPlan) -> Kernel:
     """The same keys as the transform's, each summed by itself over what its mask keeps."""
     masks: dict[int, np.ndarray] = {}
 
-    def kernel(column: pa.Array) -> Iterator[tuple[int, np.ndarray]]:
-        sparse = is_sparse(column)
-        bits = None if sparse else unpacked(column, plan.d)
+    def one(column: pa.Array, bits: np.ndarray | None, part: int, key: int) -> np.ndarray:
+        where, labels, seeds = columns(plan, part, key)
+        if part not in masks:
+            masks[part] = mask_bits(labels.tolist(), plan.bits(part))
+        keep = masks[part]
+        if bits is None:
+            return _masked_sparse(column, plan, part, keep, key)
+        ones = np.ascontiguousarray(bits.T)[where].astype(np.int64)
+        if plan.prime < 1 << 32:
+            return (keep * seeds) @ ones % plan.prime
+        low, high = (keep * (seeds & ((1 << 31) - 1))) @ ones, _reduced((keep * (seeds >> 31)) @ ones)
+        return _reduced((((high << 31) & P61) | (high >> 30)) + low)
+
+    def kernel(column: pa.Array) -> Iterator[tuple]:
+        bits = None if is_sparse(column) else unpacked(column, plan.d)
         for part in range(plan.parts):
-            where, labels, seeds = columns(plan, part)
-            if part not in masks:
-                masks[part] = mask_bits(labels.tolist(), plan.bits(part))
-            keep = masks[part]
-            if sparse:
-                yield part, _masked_sparse(column, plan, part, keep)
-                continue
-            ones = np.ascontiguousarray(bits.T)[where].astype(np.int64)
-            if plan.prime < 1 << 32:
-                yield part, (keep * seeds) @ ones % plan.prime
-            else:
-                low, high = (keep * (seeds & ((1 << 31) - 1))) @ ones, _reduced((keep * (seeds >> 31)) @ ones)
-                yield part, _reduced((((high << 31) & P61) | (high >> 30)) + low)
+            yield part, *(one(column, bits, part, key) for key in range(1 + plan.paired))
 
     return kernel
 
 
-def _masked_sparse(ones: pa.Array, plan: CoverPlan, part: int, keep: np.ndarray) -> np.ndarray:
-    where, _, seeds = columns(plan, part)
+def _masked_sparse(ones: pa.Array, plan: CoverPlan, part: int, keep: np.ndarray, key: int = 0) -> np.ndarray:
+    where, _, seeds = columns(plan, part, key)
     n, own = len(ones), len(where) // plan.copies
     row = np.repeat(np.arange(n), np.diff(ones.offsets.to_numpy()))
     at = ones.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
@@ -325,15 +329,15 @@ def fused_hits(points: DataFrame, queries: DataFrame, method: str, plan: CoverPl
             return
         qcodes = pa.array(values, arrow)
         sorted_keys = {}
-        for part, keys in kernel(qcodes):
+        for part, keys, *check in kernel(qcodes):
             order = np.argsort(keys, axis=1, kind="stable")
-            sorted_keys[part] = np.take_along_axis(keys, order, 1), order
+            sorted_keys[part] = np.take_along_axis(keys, order, 1), order, check
         for whole in it:
             for at in range(0, whole.num_rows, at_once):
                 batch = whole.slice(at, at_once)
                 ids, codes = batch.column(0).to_numpy(), batch.column(1)
-                for part, keys in kernel(codes):
-                    known, order = sorted_keys[part]
+                for part, keys, *check in kernel(codes):
+                    known, order, qcheck = sorted_keys[part]
                     for v in range(len(keys)):
                         lo = np.searchsorted(known[v], keys[v], "left")
                         some = np.flatnonzero(known[v][np.minimum(lo, len(qids) - 1)] == keys[v])
@@ -343,6 +347,9 @@ def fused_hits(points: DataFrame, queries: DataFrame, method: str, plan: CoverPl
                         row = np.repeat(some, n)
                         place = np.repeat(lo[some] - (np.cumsum(n) - n), n) + np.arange(n.sum())
                         q = order[v][place]
+                        for mine, theirs in zip(check, qcheck, strict=True):
+                            same = mine[v][row] == theirs[v][q]
+                            row, q = row[same], q[same]
                         arrays = [pa.array(qids[q]), pa.array(ids[row]), pa.array(np.full(len(q), part, np.int32)), pa.array(np.full(len(q), v + 1, np.int32))]
                         names = ["qid", "id", "part", "v"]
                         if carry:

@@ -16,7 +16,7 @@ def number(key: str) -> int:
     return int(digest(key)[:15], 16)
 
 
-def seeds(d: int, prime: int, seed: int = SEED, part: int = 0, copy: int = 0) -> list[int]:
+def seeds(d: int, prime: int, seed: int | str = SEED, part: int = 0, copy: int = 0) -> list[int]:
     return [number(f"{seed}:b:{part}:{copy}:{i}") % prime for i in range(d)]
 
 

@@ -15,10 +15,7 @@ MOST_TABLE_BITS = 20
 
 
 def choose_prime(n: int) -> int:
-    """A prime above the square of the data size, as far as 64-bit sums go.
-
-    Beyond about 1.5 billion points accidents of unequal keys come to be seen; they cost candidates, never answers.
-    """
+    """A prime above the square of the data size, as far as 64-bit sums go. Beyond, at about 1.5 billion points, plans have pairs of keys."""
     return P31 if n * n < P31 else P61
 
 
@@ -71,8 +68,13 @@ class CoverPlan:
             raise ValueError("permuted labels need a width of at most 2 ** (radius + 1)")
         return self.construction == "permuted" or self.construction == "auto" and fits
 
-    def columns(self, part: int) -> tuple[list[int], list[int], list[int]]:
-        """Of each hashed position (copies one after the other): where it is in the code, its label, its seed."""
+    @property
+    def paired(self) -> bool:
+        """Two keys under seeds of their own: where one prime isn't above the square of the data size, both together are."""
+        return self.n * self.n > P61
+
+    def columns(self, part: int, key: int = 0) -> tuple[list[int], list[int], list[int]]:
+        """Of each hashed position (copies one after the other): where it is in the code, its label, its seed for the first or second key."""
         where, labels, seeds = [], [], []
         own = self.positions[part]
         n = len(own)
@@ -85,7 +87,7 @@ class CoverPlan:
         for copy in range(self.copies):
             where += own
             labels += every[copy * n : (copy + 1) * n]
-            seeds += draws.seeds(n, self.prime, self.seed, part, copy)
+            seeds += draws.seeds(n, self.prime, f"{self.seed}:{key}" if key else self.seed, part, copy)
         return where, labels, seeds
 
     def to_json(self) -> str:

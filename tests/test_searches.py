@@ -53,6 +53,24 @@ def test_transform_equals_direct_sums(d, r, options, prime):
             assert keys[part].tolist() == direct
 
 
+def test_plans_of_billions_of_points_have_pairs_of_keys(spark, clustered):
+    points, asked = clustered
+    plan = plan_cover(64, 2 * 10**9, 5, mode="none")
+    assert plan.paired and not plan_cover(64, 10**9, 5, mode="none").paired
+    truth = rows(search.linear_scan(points, asked, 5, 64))
+    for fused in (True, False):
+        for method in ("transform_cover", "masked_cover"):
+            hits = search.hits_of(points, asked, method, plan, fused=fused)
+            assert rows(search.verify(search.candidates(hits), points, asked, 5, 64)) == truth
+    assert rows(search.report_near(points, asked, 5, 64, plan=plan, dedupe="owner")) == truth
+    both = hashers.transform_cover_hash(points, plan).where("bucket <> check")
+    assert both.count() > 0 and hashers.transform_cover_hash(points, plan).exceptAll(hashers.masked_cover_hash(points, plan)).count() == 0
+    # An accident of the first keys is told by the second.
+    rigged = hashers.transform_cover_hash(points, plan).withColumn("bucket", F.lit(0).cast("bigint"))
+    probes = search.hash_queries(asked, "transform_cover", plan).withColumn("bucket", F.lit(0).cast("bigint"))
+    assert rows(search.verify(search.candidates(search.probe(rigged, probes)), points, asked, 5, 64)) == truth
+
+
 def test_sql_engine_gives_the_same_rows(spark):
     plan = plan_cover(64, 1000, 3, mode="none")
     points = frame(spark, codes(30, 64))

@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable, Iterable
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -111,22 +113,83 @@ def time_hash(points: DataFrame, method: str, plan, runs: int = 1, **options) ->
 
 def cost_breakdown(points: DataFrame, queries: DataFrame, method: str, plan, r: int, d: int) -> dict[str, float]:
     """Seconds of the steps of a search over a stored index: hashing queries, finding distinct candidates, verifying."""
-    index = search.hash_points(points, method, plan).persist()
-    index.count()
-    probes = search.hash_queries(queries, method, plan).persist()
+    from hamcover.sources.shared import written
+
+    index = written(search.hash_points(points, method, plan).sortWithinPartitions("part", "v", "bucket"), "index")
+    s1 = timed(search.hash_queries(queries, method, plan))
+    probes = written(search.hash_queries(queries, method, plan), "probes")
+    n = probes.count()
+    s2 = timed(search.candidates(search.probe(index, probes, n)))
+    found = written(search.candidates(search.probe(index, probes, n)), "candidates")
+    s3 = timed(search.verify(found, points, queries, r, d))
+    return {"s1_hash": s1, "s2_candidates": s2, "s3_verify": s3}
+
+
+def executor_cpu(df: DataFrame) -> float:
+    """CPU seconds of the executors' JVMs to compute all rows, without keeping them, from the stages of its jobs."""
+    sc = df.sparkSession.sparkContext
+    group = f"cpu-{uuid.uuid4().hex}"
+    sc.setJobGroup(group, "timed")
     try:
-        s1 = timed(search.hash_queries(queries, method, plan))
-        n = probes.count()
-        found = search.candidates(search.probe(index, probes, n)).persist()
-        began = time.perf_counter()
-        found.count()
-        s2 = time.perf_counter() - began
-        s3 = timed(search.verify(found, points, queries, r, d))
-        found.unpersist()
+        df.write.format("noop").mode("overwrite").save()
     finally:
-        index.unpersist()
-        probes.unpersist()
-    return {"s1_hash": s1, "s2_candidates": s2, "s3_verify": s3}
+        sc.setLocalProperty("spark.jobGroup.id", None)
+    jvm, tracker, total = sc._jsc.sc(), sc.statusTracker(), 0
+    jvm.listenerBus().waitUntilEmpty()
+    for job in tracker.getJobIdsForGroup(group):
+        for stage in tracker.getJobInfo(job).stageIds:
+            total += jvm.statusStore().lastStageAttempt(stage).executorCpuTime()
+    return total / 1e9
+
+
+def hash_cost_ms(points: DataFrame, method: str, plan, runs: int = 5, codes: int = 512) -> float:
+    """CPU milliseconds of hashing one code, in one thread: the mean of `runs` runs over `codes` codes, one run before not counted."""
+    from hamcover.operators import hashers
+
+    value = "code" if "code" in points.columns else "ones"
+    column = points.select(value).where(F.col(value).isNotNull()).limit(codes).toArrow().column(0).combine_chunks()
+    if not len(column):
+        return 0.0
+    if method == "multi_index":
+        bits = hashers.unpacked(column, plan.d)
+        work = lambda: [np.packbits(bits[:, lo:hi], axis=1) for lo, hi in plan.bounds]
+    else:
+        kernel = hashers.kernel_of(method, plan)
+        work = lambda: [None for _ in kernel(column)]
+    work()
+    began = time.process_time()
+    for _ in range(runs):
+        work()
+    return (time.process_time() - began) * 1000 / runs / len(column)
+
+
+def search_cost(points: DataFrame, queries: DataFrame, method: str, plan, r: int, d: int, runs: int = 5) -> tuple[float, int, int]:
+    """CPU milliseconds (mean of `runs`) of looking all queries up in a stored index and verifying, with collisions and candidates.
+
+    Stored are the bucket rows, with their codes, that some query meets."""
+    from hamcover.sources.shared import written
+
+    value = "code" if "code" in points.columns else "ones"
+    probes = written(search.hash_queries(queries, method, plan), "probes")
+    met = search.hits_of(points, queries, method, plan)
+    keys = ["part", "v", "bucket"]
+    if method == "multi_index":
+        rows = search.hash_points(points, method, plan).join(search.small(probes.select(*keys).distinct(), probes.count()), keys, "left_semi")
+    else:
+        own = probes.select("qid", *keys)
+        rows = met.join(own, ["qid", "part", "v"]).select("id", *keys).distinct()
+    index = written(rows.join(points.select("id", value), "id").sortWithinPartitions(*keys), "met-buckets")
+    asked = search.small(queries.select("qid", F.col(value).alias("qvalue")), queries.count(), 4096)
+    hits = search.probe(index, probes)
+    counts = hits.groupBy("qid", "id").agg(F.count("*").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
+
+    def found() -> DataFrame:
+        pairs = hits.groupBy("qid", "id").agg(F.first(value).alias("value")).join(asked, "qid")
+        words = words_of(d) if value == "code" else None
+        return pairs.where(search.distance_of(points, F.col("value"), F.col("qvalue"), words) <= r)
+
+    executor_cpu(found())  # code is warm
+    return sum(executor_cpu(found()) for _ in range(runs)) * 1000 / runs, counts[0], counts[1]
 
 
 def repeat(one: Callable[[int], DataFrame], seeds: Iterable[int] = range(5)) -> DataFrame:

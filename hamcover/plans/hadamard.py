@@ -69,3 +69,18 @@ def rank(labels: list[int]) -> int:
 def collision_count(differing: list[int], labels: list[int], bits: int) -> int:
     """Number of tables in which points that differ in these positions share a bucket: exact, for any labels."""
     return (1 << (bits - rank([labels[i] for i in differing]))) - 1
+
+
+def collision_counts(differing: np.ndarray, labels: list[int], bits: int) -> np.ndarray:
+    """collision_count() of many codes of up to 64 positions, given as words whose ones are the differing positions: all are reduced together, position by position."""
+    words = differing.view(np.uint64)
+    basis = np.zeros((bits, len(words)), np.int64)  # by leading bit
+    for i, label in enumerate(labels):
+        x = np.where((words >> np.uint64(i)) & np.uint64(1), label, 0)
+        for lead in range(bits - 1, -1, -1):
+            has = (x >> lead) & 1 == 1
+            free = has & (basis[lead] == 0)
+            basis[lead] = np.where(free, x, basis[lead])
+            x = np.where(free, 0, np.where(has, x ^ basis[lead], x))
+    ranks = (basis != 0).sum(axis=0)
+    return (1 << (bits - ranks)) - 1

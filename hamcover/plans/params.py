@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import json
 import math
-from dataclasses import asdict, dataclass, field
+from dataclasses import asdict, dataclass, field, replace
 from functools import cached_property
 
 from hamcover.plans import draws
@@ -90,6 +90,10 @@ class CoverPlan:
             seeds += draws.seeds(n, self.prime, f"{self.seed}:{key}" if key else self.seed, part, copy)
         return where, labels, seeds
 
+    def sized(self, n: int) -> CoverPlan:
+        """The same masks, with keys for n points."""
+        return replace(self, n=n, prime=choose_prime(n))
+
     def to_json(self) -> str:
         return json.dumps(asdict(self), sort_keys=True)
 
@@ -164,6 +168,10 @@ class SamplePlan:
     def positions(self) -> list[list[int]]:
         return draws.sampled_positions(self.tables, self.k, self.d, self.seed, self.replace)
 
+    def sized(self, n: int) -> SamplePlan:
+        """The same positions, with keys for n points."""
+        return replace(self, prime=choose_prime(n))
+
     def seeds(self) -> list[list[int]]:
         return [[draws.number(f"{self.seed}:bs:{t}:{j}") % self.prime for j in range(self.k)] for t in range(self.tables)]
 

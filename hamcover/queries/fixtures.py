@@ -66,6 +66,22 @@ def items(spark: SparkSession, sf_dir: str) -> int:
     return load(spark, sf_dir, "part").agg(F.max("p_partkey")).first()[0] + 1
 
 
+def grown(points: DataFrame, to: int) -> DataFrame:
+    """Codes of whole words, multiplied to about `to` points: every copy but the first has about eight bits flipped. For timing."""
+    n = points.count()
+    copies = max(1, to // max(1, n))
+    words = len(points.first()["code"]) if n else 1
+    at = points.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
+
+    def moved(w: int):
+        mask = F.lit(-1).cast("bigint")
+        for j in range((8 * words).bit_length() - 1):  # each halves the chance of a flip
+            mask = mask.bitwiseAND(F.xxhash64("id", "copy", F.lit(w), F.lit(j)))
+        return F.when(F.col("copy") == 0, F.col("code")[w]).otherwise(F.col("code")[w].bitwiseXOR(mask))
+
+    return at.select((F.col("id") * copies + F.col("copy")).alias("id"), F.array(*map(moved, range(words))).alias("code"))
+
+
 def with_planted(points: DataFrame, queries: DataFrame, radii: list[int], copies: int, d: int) -> DataFrame:
     return points.unionByName(encoders.plant(queries, radii, copies, d).select("id", "code"))
 
@@ -81,7 +97,18 @@ def sql_number(text: str) -> str:
     return f"CAST('0x' || substr(md5({text}), 1, 15) AS BIGINT)"
 
 
-def sql_uniform128(below: int | None = None) -> str:
+def sql_image_projected(bits: int) -> str:
+    """id, w0, ...: signs of integer dot products with planes of +1 and -1."""
+    word = ", ".join(f"CAST(sum(CASE WHEN j // 64 = {w} AND s > 0 THEN 1::HUGEINT << (j % 64)::INT ELSE 0 END) AS UBIGINT) AS w{w}" for w in range(words_of(bits)))
+    return f"""
+SELECT id, {word} FROM (
+  SELECT id, j, sum(x * s) AS s
+  FROM (SELECT vec_id AS id, unnest(range(len(embedding))) AS i, CAST(round_even(unnest(embedding)::DOUBLE * {encoders.QUANTUM}, 0) AS BIGINT) AS x FROM embeddings WHERE embedding IS NOT NULL)
+  JOIN (SELECT j, i, 1 - 2 * ({sql_number(f"'{SEED}:h:' || j || ':' || i")} & 1) AS s FROM range({bits}) AS a(j), range(64) AS b(i)) USING (i) GROUP BY ALL
+) GROUP BY id"""
+
+
+def sql_uniform128(below: int | str | None = None) -> str:
     where = f" WHERE o_orderkey < {below}" if below is not None else ""
     return f"SELECT o_orderkey AS id, {sql_word('substr(h, 1, 16)')} AS w0, {sql_word('substr(h, 17, 16)')} AS w1 FROM (SELECT o_orderkey, md5('u:' || o_orderkey) AS h FROM orders{where})"
 
@@ -120,13 +147,13 @@ def sql_planted(radii: list[int], copies: int, d: int) -> str:
     n = words_of(d)
     flips = ", ".join(f"xor(any_value(w{w}), CAST(coalesce(bit_xor(CASE WHEN i // 64 = {w} AND k <= distance THEN 1::UBIGINT << (i % 64)::INT ELSE 0 END), 0) AS UBIGINT)) AS w{w}" for w in range(n))
     return f"""
-flipped AS (
-  SELECT qid, distance, copy, i, {", ".join(f"w{w}" for w in range(n))}, row_number() OVER (PARTITION BY qid, distance, copy ORDER BY md5('{SEED}:p:' || qid || ':' || copy || ':' || i), i) AS k
-  FROM queries, (SELECT unnest({radii}) AS distance), range({copies}) AS c(copy), range({d}) AS b(i)
+ranked AS (
+  SELECT qid, copy, i, {", ".join(f"w{w}" for w in range(n))}, row_number() OVER (PARTITION BY qid, copy ORDER BY md5('{SEED}:p:' || qid || ':' || copy || ':' || i), i) AS k
+  FROM queries, range({copies}) AS c(copy), range({d}) AS b(i)
 ),
 planted AS (
   SELECT 1000000000 - 1 + row_number() OVER (ORDER BY qid, distance, copy) AS id, {", ".join(f"w{w}" for w in range(n))}
-  FROM (SELECT qid, distance, copy, {flips} FROM flipped GROUP BY qid, distance, copy)
+  FROM (SELECT qid, distance, copy, {flips} FROM ranked, (SELECT unnest({radii}) AS distance) GROUP BY qid, distance, copy)
 )"""
 
 
@@ -221,3 +248,115 @@ def sql_samples(name: str, source: str, key: str, plan: SamplePlan) -> str:
   FROM (SELECT x.{key}, t, j, {sql_bit('pos', n)} AS one FROM {source} x, (SELECT t, j, {pos} % {plan.d} AS pos FROM range({plan.tables}) AS a(t), range({plan.k}) AS c(j)))
   GROUP BY ALL
 )"""
+
+
+# Counts of whole experiments: every method is a set of masks, and a pair collides in a table if it differs in at most `radius` places of its mask.
+
+
+def _sql_mask_words(d: int, kept: str = "true") -> str:
+    return ", ".join(f"CAST(coalesce(bit_or(CASE WHEN pos // 64 = {w} AND {kept} THEN 1::UBIGINT << (pos % 64)::INT ELSE 0 END), 0) AS UBIGINT) AS k{w}" for w in range(words_of(d)))
+
+
+def sql_cover_masks(row: int, plan: CoverPlan) -> str:
+    """SELECT row, radius, k0, ... of a covering plan of equal radii, copies included."""
+    d, t, s, bits = plan.d, plan.parts, plan.seed, plan.bits()
+    if t == 1:
+        perm = f"SELECT 0 AS part, i, i AS pos FROM range({d}) AS r(i)"
+    else:
+        order = f"SELECT i AS pos, row_number() OVER (ORDER BY md5('{s}:perm:' || i), i) - 1 AS k FROM range({d}) AS r(i)"
+        perm = f"SELECT part, row_number() OVER (PARTITION BY part ORDER BY k) - 1 AS i, pos FROM (SELECT least(k // {d // t}, {t - 1}) AS part, k, pos FROM ({order}))"
+    copies = f"range({plan.copies}) AS c(copy)"
+    if plan.permuted(0):
+        ranks = f"SELECT part, i, row_number() OVER (PARTITION BY part ORDER BY md5('{s}:m:' || part || ':' || i), i) - 1 AS label FROM range({t}) AS p(part), range({1 << bits}) AS r(i)"
+        cols = f"SELECT p.part, p.pos, l.label FROM ({perm}) p, {copies} JOIN ({ranks}) l ON l.part = p.part AND l.i = p.i + c.copy * {d // t}"
+    else:
+        label = sql_number(f"'{s}:m:' || part || ':' || copy || ':' || i")
+        cols = f"SELECT part, pos, {label} % {1 << bits} AS label FROM ({perm}), {copies}"
+    return f"SELECT {row} AS row, 0 AS radius, {_sql_mask_words(d, 'bit_count(label & v) & 1 = 1')} FROM ({cols}), (SELECT CAST(unnest(range(1, {1 << bits})) AS BIGINT) AS v) GROUP BY part, v"
+
+
+def sql_sample_masks(row: int, plan: SamplePlan) -> str:
+    pos = sql_number(f"'{plan.seed}:s:' || t || ':' || j")
+    return f"SELECT {row} AS row, 0 AS radius, {_sql_mask_words(plan.d)} FROM (SELECT t, {pos} % {plan.d} AS pos FROM range({plan.tables}) AS a(t), range({plan.k}) AS c(j)) GROUP BY t"
+
+
+def sql_substring_masks(row: int, d: int, r: int, T: int | None) -> str:
+    """By the standard number of substrings where T is not given."""
+    given = f"{T}" if T else f"least({d}, greatest(1, CAST(ceil({d} / log2(greatest((SELECT count(*) FROM all_), 2))) AS BIGINT)))"
+    return f"SELECT {row} AS row, {r} // t AS radius, {_sql_mask_words(d)} FROM range({d}) AS p(pos), (SELECT {given} AS t) GROUP BY least(pos // ({d} // t), t - 1), t"
+
+
+def sql_counts(name: str, ctes: str, d: int, rows: list[tuple[str, int, int | None, str]]) -> str:
+    """The count table of an experiment. ctes: CTEs all_ and queries; rows: label, radius, tables (null: counted) and masks of each method."""
+    n = words_of(d)
+    words = range(n)
+    masks = "\nUNION ALL ".join(x for *_, x in rows)
+    info = ", ".join(f"({k}, '{label}', {r}, {tables if tables is not None else 'NULL'})" for k, (label, r, tables, _) in enumerate(rows))
+    side = lambda table, key: f"SELECT {key}, m, {', '.join(f'w{w} & k{w} AS a{w}' for w in words)} FROM {table}, masks WHERE radius = 0"
+    same = " AND ".join(f"p.a{w} = q.a{w}" for w in words)
+    differ = " + ".join(f"CAST(bit_count(xor(p.w{w}, q.w{w}) & k{w}) AS INT)" for w in words)
+    return f"""SELECT * FROM (WITH {ctes},
+masks AS MATERIALIZED (SELECT row_number() OVER () AS m, * FROM ({masks})),
+info AS (SELECT * FROM (VALUES {info}) AS i(row, method, r, tables)),
+pairs AS MATERIALIZED (SELECT q.qid, p.id, {sql_distance(n)} AS distance FROM all_ p, queries q WHERE {sql_distance(n)} <= (SELECT max(r) FROM info)),
+met AS (SELECT q.qid, p.id, p.m FROM ({side('all_', 'id')}) p JOIN ({side('queries', 'qid')}) q ON p.m = q.m AND {same}
+  UNION ALL SELECT q.qid, p.id, m FROM all_ p, queries q, masks WHERE radius > 0 AND {differ} <= radius),
+cand AS (SELECT row, qid, id, count(*) AS c FROM met JOIN masks USING (m) GROUP BY ALL),
+told AS (SELECT cand.row, CAST(sum(c) AS BIGINT) AS n_collisions, count(*) AS n_candidates, count(pairs.id) AS found FROM cand JOIN info USING (row) LEFT JOIN pairs ON pairs.qid = cand.qid AND pairs.id = cand.id AND pairs.distance <= info.r GROUP BY cand.row),
+truth AS (SELECT info.row, count(pairs.id) AS true_pairs FROM info LEFT JOIN pairs ON pairs.distance <= info.r GROUP BY info.row),
+sizes AS (SELECT row, count(*) AS counted FROM masks GROUP BY row)
+SELECT '{name}' AS name, method, (SELECT count(*) FROM all_) AS n, CAST({d} AS INT) AS d, CAST(r AS INT) AS r, CAST(coalesce(tables, counted) AS INT) AS tables,
+  coalesce(n_collisions, 0) AS n_collisions, coalesce(n_candidates, 0) AS n_candidates, coalesce(found, 0) AS found, true_pairs,
+  round(coalesce(found, 0) / nullif(true_pairs, 0), 6) AS recall, round(coalesce(found, 0) / nullif(coalesce(n_candidates, 0), 0), 6) AS precision
+FROM info JOIN truth USING (row) JOIN sizes USING (row) LEFT JOIN told USING (row) WHERE (SELECT count(*) FROM queries) > 0)"""
+
+
+def sql_planted_sets(radii: tuple[int, ...], copies: int) -> str:
+    """CTE planted of CTEs queries (qid, ones) and width (d): id, ones."""
+    return f"""
+drawn AS (SELECT qid, copy, distance, i, {sql_number(f"'{SEED}:p:' || qid || ':' || copy || ':' || i")} % d AS pos FROM width, queries, (SELECT unnest({list(radii)}) AS distance), range({copies}) AS c(copy), range({4 * max(radii) + 9}) AS r(i) WHERE i <= 4 * distance + 8),
+firsts AS (SELECT qid, copy, distance, pos, row_number() OVER (PARTITION BY qid, copy, distance ORDER BY min(i)) AS k FROM drawn GROUP BY qid, copy, distance, pos),
+flipped AS (SELECT qid, copy, distance, list(CAST(pos AS INT)) AS flips FROM firsts WHERE k <= distance GROUP BY ALL),
+planted AS (
+  SELECT 1000000000 - 1 + row_number() OVER (ORDER BY qid, distance, copy) AS id,
+    list_sort(list_concat(list_filter(ones, lambda x: NOT list_contains(flips, x)), list_filter(flips, lambda x: NOT list_contains(ones, x)))) AS ones
+  FROM flipped JOIN queries USING (qid)
+)"""
+
+
+def sql_set_counts(name: str, sets: str, k: int, rows: list[tuple], planted: tuple[int, ...] = ()) -> str:
+    """The count table of an experiment on rating sets. rows: label, method, radius, plan (whose width is not looked at) and miss chance of each method.
+
+    A bucket is told by the kept positions that a set has, and one more that every set has. Labels are random ones, as the width is larger than their number."""
+    kept, info = [], []
+    for row, (label, method, r, plan, delta) in enumerate(rows):
+        if method == "bit_sampling":
+            tables = plan.tables
+            bits = f"greatest(1, CAST(ceil(ln(1 - power({delta!r}, 1.0 / {tables})) / ln(1 - {r}.0 / d)) AS BIGINT))"
+            pos = sql_number(f"'{plan.seed}:s:' || t || ':' || j")
+            kept.append(f"SELECT DISTINCT {row} AS row, t AS m, {pos} % d AS pos FROM range({tables}) AS a(t), (SELECT d, unnest(range({bits})) AS j FROM width)")
+        else:
+            tables, t, n = plan.total_tables, plan.parts, 1 << plan.bits()
+            order = f"SELECT i AS pos, row_number() OVER (ORDER BY md5('{plan.seed}:perm:' || i), i) - 1 AS k, d FROM spots" if t > 1 else "SELECT i AS pos, i AS k, d FROM spots"
+            cols = f"SELECT pos, part, {sql_number(f"'{plan.seed}:m:' || part || ':0:' || (k - part * (d // {t}))")} % {n} AS label FROM (SELECT *, least(k // (d // {t}), {t - 1}) AS part FROM ({order}))"
+            kept.append(f"SELECT {row} AS row, part * {n} + v AS m, pos FROM ({cols}), (SELECT CAST(unnest(range(1, {n})) AS BIGINT) AS v) WHERE bit_count(label & v) & 1 = 1")
+        info.append(f"({row}, '{label}', {r}, {tables})")
+    more = f",{sql_planted_sets(planted, 2)}" if planted else ""
+    everyone = "SELECT id, ones FROM pts" + (" UNION ALL SELECT id, ones FROM planted" if planted else "")
+    union = "\nUNION ALL ".join(kept)
+    return f"""SELECT * FROM (WITH {sets},{sql_hold_out('points', k)},
+width AS (SELECT max(p_partkey) + 1 AS d FROM part), spots AS (SELECT unnest(range(d)) AS i, d FROM width){more},
+all_ AS MATERIALIZED ({everyone}),
+info AS (SELECT * FROM (VALUES {", ".join(info)}) AS i(row, method, r, tables)),
+kept AS MATERIALIZED ({union}),
+masks AS MATERIALIZED (SELECT * FROM kept UNION ALL SELECT DISTINCT row, m, -1 FROM kept),
+pairs AS MATERIALIZED (SELECT q.qid, p.id, {SQL_SET_DISTANCE} AS distance FROM all_ p, queries q WHERE {SQL_SET_DISTANCE} <= (SELECT max(r) FROM info)),
+pk AS (SELECT id, row, m, sum(CAST(hash(pos + 2) AS HUGEINT)) AS h FROM (SELECT id, unnest(list_append(ones, -1)) AS pos FROM all_) JOIN masks USING (pos) GROUP BY ALL),
+qk AS (SELECT qid, row, m, sum(CAST(hash(pos + 2) AS HUGEINT)) AS h FROM (SELECT qid, unnest(list_append(ones, -1)) AS pos FROM queries) JOIN masks USING (pos) GROUP BY ALL),
+cand AS (SELECT row, q.qid, p.id, count(*) AS c FROM pk p JOIN qk q USING (row, m, h) GROUP BY ALL),
+told AS (SELECT cand.row, CAST(sum(c) AS BIGINT) AS n_collisions, count(*) AS n_candidates, count(pairs.id) AS found FROM cand JOIN info USING (row) LEFT JOIN pairs ON pairs.qid = cand.qid AND pairs.id = cand.id AND pairs.distance <= info.r GROUP BY cand.row),
+truth AS (SELECT info.row, count(pairs.id) AS true_pairs FROM info LEFT JOIN pairs ON pairs.distance <= info.r GROUP BY info.row)
+SELECT '{name}' AS name, method, (SELECT count(*) FROM all_) AS n, CAST((SELECT d FROM width) AS INT) AS d, CAST(r AS INT) AS r, CAST(tables AS INT) AS tables,
+  coalesce(n_collisions, 0) AS n_collisions, coalesce(n_candidates, 0) AS n_candidates, coalesce(found, 0) AS found, true_pairs,
+  round(coalesce(found, 0) / nullif(true_pairs, 0), 6) AS recall, round(coalesce(found, 0) / nullif(coalesce(n_candidates, 0), 0), 6) AS precision
+FROM info JOIN truth USING (row) LEFT JOIN told USING (row))"""

@@ -518,7 +518,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     from hamcover.operators import index
 
     points, asked = hold_out(fx.docs(spark, sf_dir, 64), fx.QUERIES)
-    path, plan = shared_dir(spark, "index"), plan_cover(64, 1000, 4, mode="none")
+    path, plan = shared_dir(spark, "index"), plan_cover(64, points.count(), 4, mode="none")
     index.write_index(points.where("id % 2 = 0"), plan, path)
     index.append_index(points, path)
     rows, stored = index.read_index(spark, path, plan)

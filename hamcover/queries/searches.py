@@ -27,7 +27,7 @@ def query(name: str, sql: str | None = None):
 
 
 PLANTED_RADII, COPIES = [1, 3, 6, 8], 2
-N = 15_000  # of plans; only primes and modes depend on it
+N = 15_000  # of plans in SQL, whose masks hang on no size
 
 
 def uniform_set(spark, sf_dir, below=None, queries=fx.QUERIES, radii=tuple(PLANTED_RADII), copies=COPIES):
@@ -70,25 +70,25 @@ for method in ("transform_cover", "masked_cover", "multi_index"):
     def _(spark: SparkSession, sf_dir: str, method=method) -> DataFrame:
         points, asked = uniform_set(spark, sf_dir)
         options = {} if method == "multi_index" else {"mode": "none"}
-        return search.report_near(points, asked, 6, 128, method, n=N, **options)
+        return search.report_near(points, asked, 6, 128, method, **options)
 
     @query(f"{short}_report_docs64", near_sql(doc_sql(64), 1, 6))
     def _(spark: SparkSession, sf_dir: str, method=method) -> DataFrame:
         points, asked = doc_set(spark, sf_dir)
         options = {} if method == "multi_index" else {"mode": "none"}
-        return search.report_near(points, asked, 6, 64, method, n=1000, **options)
+        return search.report_near(points, asked, 6, 64, method, **options)
 
     @query(f"{short}_report_docs256", near_sql(doc_sql(256), 4, 8))
     def _(spark: SparkSession, sf_dir: str, method=method) -> DataFrame:
         points, asked = doc_set(spark, sf_dir, 256)
         options = {} if method == "multi_index" else {"mode": "none"}
-        return search.report_near(points, asked, 8, 256, method, n=1000, **options)
+        return search.report_near(points, asked, 8, 256, method, **options)
 
     @query(f"{short}_report_images", near_sql(IMAGE_SQL, 1, 7))
     def _(spark: SparkSession, sf_dir: str, method=method) -> DataFrame:
         points, asked = image_set(spark, sf_dir)
         options = {} if method == "multi_index" else {"mode": "none"}
-        return search.report_near(points, asked, 7, 64, method, n=1000, **options)
+        return search.report_near(points, asked, 7, 64, method, **options)
 
 
 for method, short in (("transform_cover", "cover"), ("masked_cover", "masked")):
@@ -96,12 +96,12 @@ for method, short in (("transform_cover", "cover"), ("masked_cover", "masked")):
     @query(f"{short}_report_ratings", set_sql(fx.sql_rating_sets(), fx.SET_QUERIES, 10))
     def _(spark: SparkSession, sf_dir: str, method=method) -> DataFrame:
         points, asked = encoders.hold_out(fx.ratings(spark, sf_dir), fx.SET_QUERIES)
-        return search.report_near(points, asked, 10, fx.items(spark, sf_dir), method, n=1500, policy="ratings")
+        return search.report_near(points, asked, 10, fx.items(spark, sf_dir), method, policy="ratings")
 
     @query(f"{short}_report_words", set_sql(fx.sql_word_sets(), fx.SET_QUERIES, 15))
     def _(spark: SparkSession, sf_dir: str, method=method) -> DataFrame:
         points, asked = encoders.hold_out(fx.words(spark, sf_dir), fx.SET_QUERIES)
-        return search.report_near(points, asked, 15, fx.vocabulary_size(spark, sf_dir), method, n=1000, policy="words")
+        return search.report_near(points, asked, 15, fx.vocabulary_size(spark, sf_dir), method, policy="words")
 
 
 @query("hamming_linear_scan", near_sql(doc_sql(64), 1, 10))
@@ -140,19 +140,19 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("cover_replicated_report", near_sql(doc_sql(64), 1, 3))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.report_near(points, asked, 3, 64, n=1000, mode="replicate", t=2)
+    return search.report_near(points, asked, 3, 64, mode="replicate", t=2)
 
 
 @query("cover_partitioned_report", near_sql(doc_sql(64), 1, 10))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.report_near(points, asked, 10, 64, n=1000, mode="partition", t=2)
+    return search.report_near(points, asked, 10, 64, mode="partition", t=2)
 
 
 @query("cover_uneven_parts_report", near_sql(doc_sql(64), 1, 10))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.report_near(points, asked, 10, 64, n=1000, mode="partition", t=2, radii="general")
+    return search.report_near(points, asked, 10, 64, mode="partition", t=2, radii="general")
 
 
 for dedupe in ("bitmap", "owner"):
@@ -160,15 +160,15 @@ for dedupe in ("bitmap", "owner"):
     @query(f"cover_{dedupe}_report", near_sql(doc_sql(64), 1, 6))
     def _(spark: SparkSession, sf_dir: str, dedupe=dedupe) -> DataFrame:
         points, asked = doc_set(spark, sf_dir)
-        return search.report_near(points, asked, 6, 64, n=1000, mode="none", dedupe=dedupe)
+        return search.report_near(points, asked, 6, 64, mode="none", dedupe=dedupe)
 
 
 @query("cover_joined_report", near_sql(doc_sql(64), 1, 5))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same search by an equi-join of bucket rows, as with many queries or a stored index."""
     points, asked = doc_set(spark, sf_dir)
-    plan = plan_cover(64, 1000, 5, mode="none")
-    hits = search.hits_of(points, asked, "transform_cover", plan, fused=False)
+    plan = plan_cover(64, points.count(), 5, mode="none")
+    hits = search.hits_of(points, asked, "transform_cover", plan.sized(points.count()), fused=False)
     return search.verify(search.candidates(hits), points, asked, 5, 64)
 
 
@@ -176,7 +176,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Masked codes as buckets."""
     points, asked = doc_set(spark, sf_dir)
-    plan = plan_cover(64, 1000, 4, mode="none")
+    plan = plan_cover(64, points.count(), 4, mode="none")
     rows = hashers.masked_cover_hash(points, plan, key="mask")
     probes = hashers.masked_cover_hash(asked.withColumnRenamed("qid", "id"), plan, key="mask").withColumnRenamed("id", "qid")
     return search.verify(search.candidates(search.probe(rows, probes)), points, asked, 4, 64)
@@ -274,13 +274,13 @@ for name, plan in {"cover_collisions_per_query": PLAN6, "cover_candidates_per_qu
     @query(name, counts_sql(plan))
     def _(spark: SparkSession, sf_dir: str, plan=plan) -> DataFrame:
         points, asked = doc_set(spark, sf_dir)
-        return measures.collisions(search.hits_of(points, asked, "masked_cover" if plan is PLAN6_RANDOM else "transform_cover", plan))
+        return measures.collisions(search.hits_of(points, asked, "masked_cover" if plan is PLAN6_RANDOM else "transform_cover", plan.sized(points.count())))
 
 
 @query("candidates_by_bitmap", counts_sql(PLAN6).replace("count(*) AS n_collisions, ", ""))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return measures.candidates_by_bitmap(search.hits_of(points, asked, "transform_cover", PLAN6))
+    return measures.candidates_by_bitmap(search.hits_of(points, asked, "transform_cover", PLAN6.sized(points.count())))
 
 
 @query(
@@ -291,15 +291,14 @@ SELECT q.qid, p.id, count(*) AS predicted FROM mp p JOIN mq q ON p.part = q.part
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Shared tables of each pair, told from ranks of labels without any hashing."""
-    from hamcover.plans.hadamard import collision_count
+    from hamcover.plans.hadamard import collision_counts
 
     points, asked = doc_set(spark, sf_dir)
-    _, labels, _ = PLAN6.columns(0)
-    bits = PLAN6.bits()
+    labels, bits = PLAN6.columns(0)[1], PLAN6.bits()
 
     @F.pandas_udf("long")
     def predicted(z):
-        return z.map(lambda x: collision_count([i for i in range(64) if x >> i & 1], labels, bits))
+        return z.__class__(collision_counts(z.to_numpy(), labels, bits))
 
     pairs = points.select("id", "code").join(F.broadcast(asked.select("qid", F.col("code").alias("q"))))
     return pairs.select("qid", "id", predicted(F.col("code")[0].bitwiseXOR(F.col("q")[0])).alias("predicted")).where("predicted > 0")
@@ -318,7 +317,7 @@ cand AS (SELECT q.qid, p.id, count(*) AS n FROM sp p JOIN sq q USING (v, bits) G
 @query("bit_sampling_report", sample_sql(SAMPLE, f"SELECT c.qid, c.id, {fx.sql_distance(1)} AS distance FROM cand c JOIN all_ p USING (id) JOIN queries q USING (qid) WHERE {fx.sql_distance(1)} <= 6"))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.report_near(points, asked, 6, 64, "bit_sampling", plan=SAMPLE)
+    return search.report_near(points, asked, 6, 64, "bit_sampling", plan=SAMPLE.sized(points.count()))
 
 
 for name, plan in {"bit_sampling_candidates": SAMPLE, "bit_sampling_candidates_strict": SAMPLE_01}.items():
@@ -326,7 +325,7 @@ for name, plan in {"bit_sampling_candidates": SAMPLE, "bit_sampling_candidates_s
     @query(name, sample_sql(plan, "SELECT qid, CAST(sum(n) AS BIGINT) AS n_collisions, count(*) AS n_candidates FROM cand GROUP BY qid"))
     def _(spark: SparkSession, sf_dir: str, plan=plan) -> DataFrame:
         points, asked = doc_set(spark, sf_dir)
-        return measures.collisions(search.hits_of(points, asked, "bit_sampling", plan))
+        return measures.collisions(search.hits_of(points, asked, "bit_sampling", plan.sized(points.count())))
 
 
 @query("bit_sampling_raw_keys", sample_sql(SAMPLE, "SELECT qid, CAST(sum(n) AS BIGINT) AS n_collisions, count(*) AS n_candidates FROM cand GROUP BY qid"))
@@ -337,7 +336,7 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.collisions(search.probe(rows, probes))
 
 
-MULTI = plan_multi_index(64, 1000, 7)
+MULTI = plan_multi_index(64, 1000, 7, T=7)
 
 
 def multi_sql(r: int) -> str:
@@ -363,13 +362,13 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("multi_index_uneven_report", near_sql(doc_sql(64), 1, 8))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.report_near(points, asked, 8, 64, "multi_index", n=1000, radii="general")
+    return search.report_near(points, asked, 8, 64, "multi_index", radii="general")
 
 
 @query("multi_index_tuned_report", near_sql(doc_sql(64), 1, 7))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.report_near(points, asked, 7, 64, "multi_index", n=1000, T=4)
+    return search.report_near(points, asked, 7, 64, "multi_index", T=4)
 
 
 PLAN5 = plan_cover(64, 1000, 5, mode="none")
@@ -385,7 +384,7 @@ SELECT qid, arg_min(id, (distance, id)) AS id, min(distance) AS distance FROM ne
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.first_hits(points, asked, 5, 2.0, 64, plan=PLAN5)
+    return search.first_hits(points, asked, 5, 2.0, 64, plan=PLAN5.sized(points.count()))
 
 
 @query(
@@ -399,7 +398,7 @@ SELECT count(*) AS queries, count(ok.qid) AS answered FROM asked LEFT JOIN ok US
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return measures.cr_success(search.first_hits(points, asked, 5, 2.0, 64, plan=PLAN5), search.linear_scan(points, asked, 5, 64), 5, 2.0)
+    return measures.cr_success(search.first_hits(points, asked, 5, 2.0, 64, plan=PLAN5.sized(points.count())), search.linear_scan(points, asked, 5, 64), 5, 2.0)
 
 
 LADDER = (0, 2, 4, 8)
@@ -413,7 +412,7 @@ SELECT qid, CAST(k AS INT) AS rank, id, distance FROM (SELECT *, row_number() OV
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
-    return search.nearest(points, asked, 64, LADDER, k=2, n=1000, mode="none")
+    return search.nearest(points, asked, 64, LADDER, k=2, mode="none")
 
 
 @query("near_pairs_docs", f"WITH points AS MATERIALIZED ({fx.sql_text_codes(64)})\nSELECT p.id AS a, q.id AS b, {fx.sql_distance(1)} AS distance FROM points p JOIN points q ON p.id < q.id WHERE {fx.sql_distance(1)} <= 3")
@@ -467,11 +466,16 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.estimate_collisions(measures.distance_histogram(points, asked, 64), PLAN6)
 
 
-@query("key_accidents", "SELECT CAST(0 AS BIGINT) AS accidents")
+@query(
+    "key_accidents",
+    f"""{doc_sql(64)},
+{fx.sql_columns(PLAN5)},{fx.sql_hashes('hp', 'all_', 'id', PLAN5)},{fx.sql_hashes('hq', 'queries', 'qid', PLAN5)},{fx.sql_masks('mp', 'all_', 'id', PLAN5)},{fx.sql_masks('mq', 'queries', 'qid', PLAN5)}
+SELECT count(*) AS accidents FROM hp JOIN hq USING (part, v, bucket) JOIN mp USING (id, part, v) JOIN mq USING (qid, part, v) WHERE mp.m0 <> mq.m0""",
+)
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = doc_set(spark, sf_dir)
     masks = search.probe(hashers.masked_cover_hash(points, PLAN5, key="mask"), hashers.masked_cover_hash(asked.withColumnRenamed("qid", "id"), PLAN5, key="mask").withColumnRenamed("id", "qid"))
-    return measures.key_accidents(search.hits_of(points, asked, "transform_cover", PLAN5), masks)
+    return measures.key_accidents(search.hits_of(points, asked, "transform_cover", PLAN5.sized(points.count())), masks)
 
 
 @query(
@@ -484,7 +488,7 @@ SELECT (SELECT count(*) FROM near) AS near_pairs, (SELECT count(*) FROM cand) AS
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = uniform_set(spark, sf_dir)
-    found = search.candidates(search.hits_of(points, asked, "transform_cover", plan_cover(128, N, 6, mode="none")))
+    found = search.candidates(search.hits_of(points, asked, "transform_cover", plan_cover(128, points.count(), 6, mode="none")))
     return measures.precision(search.verify(found, points, asked, 6, 128), found)
 
 
@@ -564,15 +568,22 @@ SELECT q.qid, p.id, CAST(abs(p.a - q.a) + abs(p.b - q.b) AS INT) AS distance FRO
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, asked = encoders.hold_out(sizes(spark, sf_dir).select("id", "code"), fx.QUERIES)
-    return search.report_near(points, asked, 4, 2 * UPPER, n=2000, mode="none")
+    return search.report_near(points, asked, 4, 2 * UPPER, mode="none")
+
 
+PAGE_RADIUS, PAGE_PARTS = 20, 3
+PAGE_TEXT = "trim(regexp_replace(regexp_replace(regexp_replace(regexp_replace(regexp_replace(regexp_replace(coalesce(html, ''), '(?is)<script\\b.*?</script\\s*>', ' ', 'g'), '(?is)<style\\b.*?</style\\s*>', ' ', 'g'), '(?s)<!--.*?-->', ' ', 'g'), '(?s)<[^>]*>', ' ', 'g'), '&#?[A-Za-z0-9]+;', ' ', 'g'), '\\s+', ' ', 'g'))"
 
-@query("pages_report", "SELECT page_id AS id FROM pages")
+
+@query(
+    "pages_report",
+    f"""WITH points AS MATERIALIZED ({fx.sql_text_codes(256, f"SELECT page_id AS id, {PAGE_TEXT} AS text FROM pages")}),{fx.sql_hold_out('points', fx.QUERIES)}
+SELECT q.qid, p.id, {fx.sql_distance(4)} AS distance FROM pts p, queries q WHERE {fx.sql_distance(4)} <= {PAGE_RADIUS}""",
+)
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Each page finds itself: reporting over stripped pages by parts loses nobody."""
-    points = fx.pages(spark, sf_dir, 256)
-    near = search.report_near(points, points.withColumnRenamed("id", "qid"), 10, 256, n=1000, policy="low")
-    return near.where("qid = id and distance = 0").select("id")
+    """Pages near held-out pages, by parts, over the text between tags."""
+    points, asked = encoders.hold_out(fx.pages(spark, sf_dir, 256), fx.QUERIES)
+    return search.report_near(points, asked, PAGE_RADIUS, 256, mode="partition", t=PAGE_PARTS)
 
 
 ACTIVITY_RADIUS, ACTIVITY_PARTS = 47, 12
@@ -593,16 +604,16 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     from hamcover.functions.bits import ones_to_code
 
     points, asked = encoders.hold_out(ones.select("id", ones_to_code("ones", 120).alias("code")), fx.QUERIES)
-    return search.report_near(points, asked, ACTIVITY_RADIUS, 120, n=1000, mode="partition", t=ACTIVITY_PARTS)
+    return search.report_near(points, asked, ACTIVITY_RADIUS, 120, mode="partition", t=ACTIVITY_PARTS)
 
 
 @query(
     "benchmark_overlap",
     f"""WITH points AS MATERIALIZED ({fx.sql_text_codes(64)}), queries AS MATERIALIZED (SELECT id AS qid, w0 FROM ({fx.sql_text_codes(64, 'SELECT item_id AS id, text FROM benchmark')}))
-SELECT q.qid, p.id, {fx.sql_distance(1)} AS distance FROM points p, queries q WHERE {fx.sql_distance(1)} <= 8""",
+SELECT q.qid, p.id, {fx.sql_distance(1)} AS distance FROM points p, queries q WHERE {fx.sql_distance(1)} <= 16""",
 )
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return search.report_near(fx.docs(spark, sf_dir, 64), fx.benchmark(spark, sf_dir), 8, 64, n=1000, mode="none")
+    return search.report_near(fx.docs(spark, sf_dir, 64), fx.benchmark(spark, sf_dir), 16, 64, mode="partition", t=3)
 
 
 @query("bit_layout", f"SELECT id, CAST(bit_count(w0) AS BIGINT) AS ones, CAST(w0 & 1 AS INT) AS bit0, CAST((w0 >> 63) & 1 AS INT) AS bit63 FROM ({fx.sql_image64()})")

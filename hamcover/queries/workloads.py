@@ -5,14 +5,16 @@ Results are small tables of counts or seconds. Sizes follow the data: an experim
 
 from __future__ import annotations
 
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hamcover.functions import encoders
 from hamcover.operators import measures, search
-from hamcover.plans.params import CoverPlan, SubstringPlan, expected_far, hash_cost, min_family_size, plan_bit_sampling, plan_cover, plan_multi_index, rho
+from hamcover.plans.params import P61, CoverPlan, SubstringPlan, expected_collisions, expected_far, hash_cost, min_family_size, plan_bit_sampling, plan_cover, plan_multi_index, rho
 from hamcover.queries import fixtures as fx
+from hamcover.queries.searches import PAGE_TEXT
 from hamcover.sources import load, spread
 from hamcover.sources.shared import written
 
@@ -30,19 +32,49 @@ def query(name: str, sql: str | None = None):
     return add
 
 
-SCHEMA = "name string, method string, n bigint, d int, r int, tables int, n_collisions bigint, n_candidates bigint, found bigint, true_pairs bigint, recall double, precision double, seconds double"
+COUNTS = "name string, method string, n bigint, d int, r int, tables int, n_collisions bigint, n_candidates bigint, found bigint, true_pairs bigint, recall double, precision double"
+COSTS = "name string, method string, n bigint, d int, r int, tables int, queries bigint, runs int, hash_ms double, search_ms double, cpu_ms_per_query double, n_collisions bigint, n_candidates bigint"
+SAMPLED = (0.1, 0.01)
 
 
-def methods(d: int, n: int, r: int, cover: dict, multi: dict | None = None, random_masks: bool = True) -> list[tuple[str, str, object]]:
-    """The compared methods. Sampling gets as many tables as the covering family has."""
-    plan = plan_cover(d, n, r, **cover)
-    found = [("transform_cover", "transform_cover", plan)]
-    if random_masks:
-        found.append(("masked_cover random", "masked_cover", plan_cover(d, n, r, construction="general", **cover)))
-    found += [(f"bit_sampling {delta}", "bit_sampling", plan_bit_sampling(d, n, r, delta, tables=plan.total_tables)) for delta in (0.1, 0.01)]
-    if multi is not None:
-        found.append(("multi_index", "multi_index", plan_multi_index(d, n, r, **multi)))
-    return found
+@dataclass(frozen=True)
+class Row:
+    """A method of an experiment at one radius."""
+
+    label: str
+    method: str
+    r: int
+    cover: tuple[tuple[str, object], ...] = ()
+    delta: float = 0.0
+    T: int | None = None
+
+    def plan(self, d: int, n: int):
+        cover = plan_cover(d, n, self.r, **dict(self.cover)) if self.method != "multi_index" else None
+        if self.method == "bit_sampling":  # as many tables as the covering family has
+            return plan_bit_sampling(d, n, self.r, self.delta, tables=cover.total_tables)
+        return cover or plan_multi_index(d, n, self.r, T=self.T)
+
+    def masks(self, k: int, d: int) -> str:
+        if self.method == "multi_index":
+            return fx.sql_substring_masks(k, d, self.r, self.T)
+        plan = self.plan(d, 1000)  # the size sets primes only
+        return fx.sql_sample_masks(k, plan) if self.method == "bit_sampling" else fx.sql_cover_masks(k, plan)
+
+
+def methods(r: int, cover: dict, T: int | None = None, substrings: bool = True, deltas: tuple[float, ...] = SAMPLED, masked: str | None = "general") -> list[Row]:
+    """The compared methods at a radius. The plain covering baseline has labels drawn at random, or (`masked='same'`) the same labels and so the same buckets."""
+    options = tuple(cover.items())
+    found = [Row("transform_cover", "transform_cover", r, options)]
+    if masked == "general":
+        found.append(Row("masked_cover random", "masked_cover", r, (*options, ("construction", "general"))))
+    elif masked:
+        found.append(Row("masked_cover", "masked_cover", r, options))
+    found += [Row(f"bit_sampling {delta}", "bit_sampling", r, options, delta) for delta in deltas]
+    return found + [Row("multi_index", "multi_index", r, T=T)] * substrings
+
+
+def sql_counts(name: str, ctes: str, d: int, rows: list[Row]) -> str:
+    return fx.sql_counts(name, ctes, d, [(x.label, x.r, None if x.method == "multi_index" else tables_of(x.plan(d, 1000)), x.masks(k, d)) for k, x in enumerate(rows)])
 
 
 def kept(points: DataFrame) -> DataFrame:
@@ -54,68 +86,97 @@ def tables_of(plan) -> int:
     return plan.total_tables if isinstance(plan, CoverPlan) else plan.tables
 
 
-def compared(name: str, points: DataFrame, asked: DataFrame, n: int, d: int, r: int, truth: DataFrame, listed: list, timed: bool = False) -> list[tuple]:
-    """Counts of each method in one job; with `timed`, the seconds of a whole search in another."""
-    near = truth.where(F.col("distance") <= r).select("qid", "id", F.lit(1).alias("hit"))
-    total = near.count()
-    rows = []
-    for label, method, plan in listed:
-        if isinstance(plan, SubstringPlan) and sum(map(plan.probes, range(plan.tables))) > 200_000:
-            continue  # as many lookups of empty buckets as that aren't worth making
-        pairs = search.hits_of(points, asked, method, plan).groupBy("qid", "id").agg(F.count("*").alias("n"))
+def compared(name: str, points: DataFrame, asked: DataFrame, d: int, rows: list[Row]) -> list[tuple]:
+    """Counts of each method, one job each, against the pairs that a scan finds. Keys are of the larger prime, so that they count masked codes and no accidents."""
+    n, out = points.count(), []
+    truth = written(search.linear_scan(points, asked, max(x.r for x in rows), d), "truth")
+    for x in rows:
+        plan = x.plan(d, n)
+        plan = plan if isinstance(plan, SubstringPlan) else replace(plan, prime=P61)
+        near = truth.where(F.col("distance") <= x.r).select("qid", "id", F.lit(1).alias("hit"))
+        total = near.count()
+        pairs = search.hits_of(points, asked, x.method, plan).groupBy("qid", "id").agg(F.count("*").alias("n"))
         c, k, f = pairs.join(near, ["qid", "id"], "left").agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*"), F.count("hit")).first()
-        seconds = measures.timed(search.report_near(points, asked, r, d, method, plan=plan)) if timed else None
-        rows.append((name, label, n, d, r, tables_of(plan), c, k, f, total, round(f / total, 6) if total else None, round(f / k, 6) if k else None, seconds))
-    return rows
+        out.append((name, x.label, n, d, x.r, tables_of(plan), c, k, f, total, round(f / total, 6) if total else None, round(f / k, 6) if k else None))
+    return out
+
+
+def counted(spark: SparkSession, rows: list[tuple]) -> DataFrame:
+    return spark.createDataFrame(rows, COUNTS)
+
 
+#: Runs of each timing, and codes that are hashed for the time of one.
+RUNS, HASHED_CODES = 5, 512
 
-def result(spark: SparkSession, rows: list[tuple]) -> DataFrame:
-    return spark.createDataFrame(rows, SCHEMA)
 
+def costs(name: str, points: DataFrame, asked: DataFrame, d: int, rows: list[Row]) -> list[tuple]:
+    """CPU milliseconds of a query, mean of `RUNS` runs: hashing it, and finding and verifying its candidates in a stored index.
 
-def _uniform(spark, sf_dir, below, radii, copies=2):
+    Of the index only the buckets that a query meets are stored: what a reader of files clustered by bucket reads of it.
+    Methods with the same buckets share them. Lookups run as many queries at a time; hashing is timed in one thread."""
+    n, queries, out, told = points.count(), asked.count(), [], {}
+    for x in rows:
+        plan = x.plan(d, n)
+        key = ("cover", plan) if isinstance(plan, CoverPlan) else plan
+        if key not in told:
+            method = "transform_cover" if isinstance(plan, CoverPlan) else x.method
+            told[key] = measures.search_cost(points, asked, method, plan, x.r, d, RUNS)
+        search_ms, collisions, candidates = told[key]
+        hash_ms = measures.hash_cost_ms(points, x.method, plan, RUNS, HASHED_CODES)
+        out.append((name, x.label, n, d, x.r, tables_of(plan), queries, RUNS, hash_ms, search_ms / queries, hash_ms + search_ms / queries, collisions, candidates))
+    return out
+
+
+def _uniform(spark, sf_dir, below, radii, copies=1):
     points, asked = encoders.hold_out(fx.uniform(spark, sf_dir, below=below), fx.QUERIES)
     points = kept(fx.with_planted(points, asked, radii, copies, 128))
-    return points, written(asked, "queries"), points.count()
+    return points, written(asked, "queries")
+
+
+def _uniform_ctes(below: int | str | None, radii: list[int], copies: int = 1, where: str = "true") -> str:
+    return f"""points AS (SELECT * FROM ({fx.sql_uniform128(below)}) WHERE {where}),{fx.sql_hold_out('points', fx.QUERIES)},{fx.sql_planted(radii, copies, 128)},
+all_ AS MATERIALIZED (SELECT id, w0, w1 FROM pts UNION ALL SELECT id, w0, w1 FROM planted)"""
+
+
+#: Planted neighbours of each query: balls of all radii.
+BALLS = list(range(1, 129))
+RAW_SIZES = (10_000, 20_000, 30_000, 40_000, 50_000)
+RAW = methods(6, {"mode": "none"})
+_HAVE = "(SELECT count(*) FROM orders)"
 
 
-@query("w_uniform_raw")
+@query(
+    "w_uniform_raw",
+    "\nUNION ALL ".join(
+        [sql_counts("uniform raw", _uniform_ctes(below, BALLS, where=f"{below} < {_HAVE}"), 128, RAW) for below in RAW_SIZES]
+        + [sql_counts("uniform raw", _uniform_ctes(_HAVE, BALLS, where=f"{_HAVE} <= {RAW_SIZES[0]}"), 128, RAW)]
+    ),
+)
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Uniform 128-bit codes, radius 6, no pre-processing: growing sizes."""
     rows = []
     have = load(spark, sf_dir, "orders").count()
-    for below in [x for x in (10_000, 20_000, 30_000, 40_000, 50_000) if x < have] or [have]:
-        points, asked, n = _uniform(spark, sf_dir, below, list(range(1, 10)))
-        truth = written(search.linear_scan(points, asked, 6, 128), "truth")
-        rows += compared("uniform raw", points, asked, n, 128, 6, truth, methods(128, n, 6, {"mode": "none"}, {}))
-    return result(spark, rows)
+    for below in [x for x in RAW_SIZES if x < have] or [have]:
+        points, asked = _uniform(spark, sf_dir, below, BALLS)
+        rows += compared("uniform raw", points, asked, 128, RAW)
+    return counted(spark, rows)
 
 
-@query("w_uniform_replicate")
-def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Small radii, replicated."""
-    points, asked, n = _uniform(spark, sf_dir, 65_536, list(range(1, 8)))
-    truth = written(search.linear_scan(points, asked, 5, 128), "truth")
-    rows = []
-    for r, t in ((2, 4), (3, 3), (4, 2), (5, 2)):
-        rows += compared("uniform replicated", points, asked, n, 128, r, truth, methods(128, n, r, {"mode": "replicate", "t": t}, {"T": 8}, random_masks=r < 5))
-    return result(spark, rows)
+REPLICATED = [x for r, t in ((2, 4), (3, 3), (4, 2), (5, 2)) for x in methods(r, {"mode": "replicate", "t": t}, 8)]
+PARTED = [x for r in (10, 12, 14, 16) for x in methods(r, {"mode": "partition", "t": 2}, 8)]
 
+for name, label, listed in (("w_uniform_replicate", "uniform replicated", REPLICATED), ("w_uniform_partition", "uniform parts", PARTED)):
 
-@query("w_uniform_partition")
-def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Large radii, in two parts."""
-    points, asked, n = _uniform(spark, sf_dir, 65_536, list(range(2, 20, 2)))
-    truth = written(search.linear_scan(points, asked, 16, 128), "truth")
-    rows = []
-    for r in (10, 12, 14, 16):
-        rows += compared("uniform parts", points, asked, n, 128, r, truth, methods(128, n, r, {"mode": "partition", "t": 2}, {"T": 8}, random_masks=r < 14))
-    return result(spark, rows)
+    @query(name, sql_counts(label, _uniform_ctes(65_536, BALLS), 128, listed))
+    def _(spark: SparkSession, sf_dir: str, label=label, listed=listed) -> DataFrame:
+        """Small radii, replicated; large radii, in two parts."""
+        points, asked = _uniform(spark, sf_dir, 65_536, BALLS)
+        return counted(spark, compared(label, points, asked, 128, listed))
 
 
 @query("w_hash_time")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds to hash all points, keys kept as arrays: by radius at 128 bits, and by width at radius 5."""
+    """Seconds to hash all points, keys kept as arrays, and CPU milliseconds of one: by radius at 128 bits, and by width at radius 5."""
     rows, ready = [], {}
     for d, r in [(128, r) for r in (3, 4, 5, 6, 7)] + [(d, 5) for d in (32, 64, 256, 512)]:
         if d not in ready:
@@ -123,16 +184,21 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
             n = ready[d].count()
         plan = plan_cover(d, n, r, mode="none", prime=(1 << 31) - 1)
         for method in ("transform_cover", "masked_cover"):
-            seconds = min(measures.time_hash(ready[d], method, plan) for _ in range(2))
-            rows.append(("hash time", method, n, d, r, plan.total_tables, None, None, None, None, None, None, seconds))
-    return result(spark, rows)
+            rows.append((method, n, d, r, plan.total_tables, RUNS, measures.time_hash(ready[d], method, plan, RUNS), measures.hash_cost_ms(ready[d], method, plan, RUNS, HASHED_CODES)))
+    return spark.createDataFrame(rows, "method string, n bigint, d int, r int, tables int, runs int, seconds double, cpu_ms_per_query double")
 
 
 def _hist(name: str, points: DataFrame, asked: DataFrame, d: int) -> DataFrame:
     return measures.distance_histogram(points, asked, d).select(F.lit(name).alias("name"), "distance", "pairs")
 
 
-@query("w_distance_histogram")
+def _histogram_sql(name: str, bits: int, source: str | None = None) -> str:
+    codes = fx.sql_text_codes(bits, *([source] if source else []))
+    far = fx.sql_distance(bits // 64)
+    return f"SELECT * FROM (WITH points AS MATERIALIZED ({codes}),{fx.sql_hold_out('points', fx.QUERIES)} SELECT '{name}' AS name, {far} AS distance, count(*) AS pairs FROM pts p, queries q GROUP BY ALL)"
+
+
+@query("w_distance_histogram", "\nUNION ALL ".join([_histogram_sql("documents 64", 64), _histogram_sql("documents 256", 256), _histogram_sql("pages 256", 256, f"SELECT page_id AS id, {PAGE_TEXT} AS text FROM pages")]))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pairs by distance: documents at 64 and 256 bits, pages at 256."""
     parts = [_hist(f"documents {b}", *encoders.hold_out(fx.docs(spark, sf_dir, b), fx.QUERIES), b) for b in (64, 256)]
@@ -140,11 +206,19 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
-@query("w_filter_rates")
+RATES = ((64, 1.5), (64, 3.0), (256, 1.5), (256, 3.0))
+
+
+def _rate_sql(bits: int, c: float) -> str:
+    share = lambda cond: f"round(sum(CASE WHEN {cond} THEN pairs ELSE 0 END) / sum(pairs), 6)"
+    return f"SELECT CAST({bits} AS INT) AS bits, CAST({c} AS DOUBLE) AS c, {share('distance <= 10')} AS near_share, {share(f'distance > 10 AND distance <= {10 * c}')} AS c_near_share, {share(f'distance > {10 * c}')} AS far_share FROM ({_histogram_sql('', bits)})"
+
+
+@query("w_filter_rates", "\nUNION ALL ".join(_rate_sql(*x) for x in RATES))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of pairs that a perfect filter spares at radius 10."""
     parts = None
-    for bits, c in ((64, 1.5), (64, 3.0), (256, 1.5), (256, 3.0)):
+    for bits, c in RATES:
         rate = measures.filter_rate(measures.distance_histogram(*encoders.hold_out(fx.docs(spark, sf_dir, bits), fx.QUERIES), bits), 10, c)
         rate = rate.select(F.lit(bits).alias("bits"), F.lit(c).alias("c"), "near_share", "c_near_share", "far_share")
         parts = rate if parts is None else parts.unionByName(rate)
@@ -157,76 +231,164 @@ def _images(spark, sf_dir, bits, radii, copies=2):
     return kept(fx.with_planted(points, asked, radii, copies, bits)), written(asked, "queries")
 
 
-@query("w_recall_images")
+def _image_ctes(bits: int, radii: list[int], copies: int = 2) -> str:
+    source, words = (fx.sql_image64(), "id, w0") if bits == 64 else (fx.sql_image_projected(bits), "id, w0, w1")
+    return f"points AS MATERIALIZED ({source}),{fx.sql_hold_out('points', fx.QUERIES)},{fx.sql_planted(radii, copies, bits)},\nall_ AS MATERIALIZED (SELECT {words} FROM pts UNION ALL SELECT {words} FROM planted)"
+
+
+RECALL_RADII = (5, 6, 7, 8, 9)
+RECALLED = [x for r in RECALL_RADII for x in methods(r, {"mode": "none"}, 4, deltas=(0.1,), masked=None)]
+RECALL_IMAGES_SQL = sql_counts("recall images", _image_ctes(64, list(range(1, 11))), 64, RECALLED)
+
+
+@query("w_recall_images", RECALL_IMAGES_SQL)
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall on 64-bit image codes, radii 5 to 9."""
     points, asked = _images(spark, sf_dir, 64, list(range(1, 11)))
-    truth = written(search.linear_scan(points, asked, 9, 64), "truth")
-    n, rows = points.count(), []
-    for r in range(5, 10):
-        rows += compared("recall images", points, asked, n, 64, r, truth, methods(64, n, r, {"mode": "none"}, {"T": 4}, random_masks=False))
-    return result(spark, rows)
+    return counted(spark, compared("recall images", points, asked, 64, RECALLED))
+
+
+def recall_table(counts: DataFrame, columns: dict[str, str]) -> DataFrame:
+    """Radii, with the recall of each method in a column."""
+    return counts.groupBy("r").agg(*(F.max(F.when(F.col("method") == method, F.col("recall"))).alias(name) for name, method in columns.items()))
 
 
-def _counts(name, timed):
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = []
-        for bits, T in ((64, 4), (128, 8)):
-            points, asked = _images(spark, sf_dir, bits, list(range(1, 12)))
-            truth = written(search.linear_scan(points, asked, 10, bits), "truth")
-            n = points.count()
-            for r in (5, 7, 8, 10):
-                rows += compared(f"{name} {bits}", points, asked, n, bits, r, truth, methods(bits, n, r, {"policy": "low"}, {"T": T}, random_masks=bits == 128 and r < 9), timed)
-        return result(spark, rows)
+def sql_recall_table(counts: str, columns: dict[str, str]) -> str:
+    return f"SELECT r, {', '.join(f"max(CASE WHEN method = '{method}' THEN recall END) AS {name}" for name, method in columns.items())} FROM ({counts}) GROUP BY r"
 
-    return run
 
+IMAGE_RECALLS = {"cover": "transform_cover", "substrings": "multi_index", "sampling": "bit_sampling 0.1"}
 
-query("w_counts_images")(_counts("images", False))
-query("w_cpu_images")(_counts("images", True))
 
+@query("recall_table_images", sql_recall_table(RECALL_IMAGES_SQL, IMAGE_RECALLS))
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return recall_table(QUERIES["w_recall_images"](spark, sf_dir), IMAGE_RECALLS)
 
-def _text(name, timed):
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = []
-        for bits, radii in ((256, (3, 6, 8)), (512, (10, 13, 15))):
-            points, asked = encoders.hold_out(fx.docs(spark, sf_dir, bits), fx.QUERIES)
-            points, asked = kept(points), written(asked, "queries")
-            truth = written(search.linear_scan(points, asked, max(radii), bits), "truth")
-            n = points.count()
-            for r in radii:
-                rows += compared(f"{name} {bits}", points, asked, n, bits, r, truth, methods(bits, n, r, {"policy": "low"}, {"T": 16 if bits == 512 else 8}, random_masks=False), timed)
-        return result(spark, rows)
 
-    return run
+IMAGE_RADII = (5, 6, 7, 8, 9, 10)
+IMAGE_COUNTS = [x for r in IMAGE_RADII for x in methods(r, {"policy": "low"}, deltas=(0.1,))]
+_PLANTED_IMAGES = list(range(1, 12))
 
 
-query("w_counts_text")(_text("text", False))
-query("w_cpu_text")(_text("text", True))
+@query("w_counts_images", "\nUNION ALL ".join(sql_counts(f"images {bits}", _image_ctes(bits, _PLANTED_IMAGES), bits, IMAGE_COUNTS) for bits in (64, 128)))
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Collisions and candidates on image codes; substrings in their standard number."""
+    rows = []
+    for bits in (64, 128):
+        points, asked = _images(spark, sf_dir, bits, _PLANTED_IMAGES)
+        rows += compared(f"images {bits}", points, asked, bits, IMAGE_COUNTS)
+    return counted(spark, rows)
+
+
+def timed_points(spark: SparkSession, sf_dir: str, codes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Codes grown to seven times the orders: about a million at sf0.1."""
+    points, asked = encoders.hold_out(fx.grown(written(codes, "codes"), 7 * load(spark, sf_dir, "orders").count()), fx.QUERIES)
+    return kept(points), written(asked, "queries")
+
+
+def cpu_images(spark: SparkSession, sf_dir: str, radii: tuple[int, ...] = IMAGE_RADII) -> DataFrame:
+    """CPU of a query; substrings in the number that is best for them."""
+    rows = []
+    for bits, T in ((64, 4), (128, 8)):
+        points, asked = timed_points(spark, sf_dir, fx.images(spark, sf_dir, bits, projected=bits == 128))
+        rows += costs(f"images {bits}", points, asked, bits, [x for r in radii for x in methods(r, {"policy": "low"}, T, deltas=(0.1,), masked="same")])
+    return spark.createDataFrame(rows, COSTS)
 
 
-def _sets(name, codes, width, radii, policy, timed, planted=()):
+query("w_cpu_images")(cpu_images)
+
+TEXT_RADII = {256: (3, 4, 5, 6, 7, 8), 512: (10, 11, 12, 13, 14, 15)}
+TEXT_COUNTS = {bits: [x for r in radii for x in methods(r, {"policy": "low"}, deltas=(0.1,))] for bits, radii in TEXT_RADII.items()}
+
+
+def _text_ctes(bits: int) -> str:
+    return f"points AS MATERIALIZED ({fx.sql_text_codes(bits)}),{fx.sql_hold_out('points', fx.QUERIES)},\nall_ AS MATERIALIZED (SELECT * FROM pts)"
+
+
+@query("w_counts_text", "\nUNION ALL ".join(sql_counts(f"text {bits}", _text_ctes(bits), bits, TEXT_COUNTS[bits]) for bits in TEXT_RADII))
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = []
+    for bits in TEXT_RADII:
+        points, asked = encoders.hold_out(fx.docs(spark, sf_dir, bits), fx.QUERIES)
+        rows += compared(f"text {bits}", kept(points), written(asked, "queries"), bits, TEXT_COUNTS[bits])
+    return counted(spark, rows)
+
+
+def cpu_text(spark: SparkSession, sf_dir: str, radii: dict[int, tuple[int, ...]] | None = None) -> DataFrame:
+    rows = []
+    for bits, own in (radii or TEXT_RADII).items():
+        points, asked = timed_points(spark, sf_dir, fx.docs(spark, sf_dir, bits))
+        rows += costs(f"text {bits}", points, asked, bits, [x for r in own for x in methods(r, {"policy": "low"}, {256: 4, 512: 8}[bits], deltas=(0.1,), masked="same")])
+    return spark.createDataFrame(rows, COSTS)
+
+
+query("w_cpu_text")(cpu_text)
+
+
+def _sets(spark, sf_dir, codes, width, planted=()):
     """`planted`: radii at which the data has hardly any neighbours get some, made of the queries by toggling positions."""
+    points, asked = encoders.hold_out(written(codes(spark, sf_dir), "sets"), fx.SET_QUERIES)
+    d = width(spark, sf_dir)
+    if planted:
+        points = points.select("id", "ones").unionByName(encoders.plant_sets(asked, list(planted), 2, d).select("id", "ones"))
+    return kept(points), written(asked, "queries"), d
+
 
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        points, asked = encoders.hold_out(written(codes(spark, sf_dir), "sets"), fx.SET_QUERIES)
-        if planted:
-            points = points.select("id", "ones").unionByName(encoders.plant_sets(asked, list(planted), 2, width(spark, sf_dir)).select("id", "ones"))
-        points, asked = kept(points), written(asked, "queries")
-        truth = written(search.linear_scan(points, asked, max(radii)), "truth")
-        n, d, rows = points.count(), width(spark, sf_dir), []
-        for r in radii:
-            rows += compared(name, points, asked, n, d, r, truth, methods(d, n, r, {"policy": policy}, None, random_masks=False), timed)
-        return result(spark, rows)
+def set_methods(radii: tuple[int, ...], policy: str, masked: str | None) -> list[Row]:
+    return [x for r in radii for x in methods(r, {"policy": policy, "construction": "general"}, substrings=False, deltas=(0.1,), masked=masked)]
 
-    return run
 
+RATING_RECALL_RADII, PLANTED_RATINGS = (3, 4, 5, 6, 7), (2, 3, 4, 5, 6, 7)
+RATING_RADII = tuple(range(2, 14))
+WORD_RADII = (5, 7, 9, 10, 13, 16, 19, 20, 23, 26, 29)
+RATING_RECALLS = {"cover": "transform_cover", "sampling": "bit_sampling 0.1"}
+RECALL_RATINGS_SQL = fx.sql_set_counts("recall ratings", fx.sql_rating_sets(), fx.SET_QUERIES, [(x.label, x.method, x.r, x.plan(10**6, 1000), x.delta) for x in set_methods(RATING_RECALL_RADII, "ratings", None)], PLANTED_RATINGS)
 
-query("w_recall_ratings")(_sets("ratings", fx.ratings, fx.items, (3, 4, 5, 6, 7), "ratings", False, planted=(2, 3, 4, 5, 6, 7)))
-query("w_counts_ratings")(_sets("ratings", fx.ratings, fx.items, (7, 8, 10, 13), "ratings", False))
-query("w_cpu_ratings")(_sets("ratings", fx.ratings, fx.items, (7, 10), "ratings", True))
-query("w_counts_words")(_sets("words", fx.words, fx.vocabulary_size, (5, 10, 15, 20), "words", False))
-query("w_cpu_words")(_sets("words", fx.words, fx.vocabulary_size, (10, 20), "words", True))
+
+@query("w_recall_ratings", RECALL_RATINGS_SQL)
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, asked, d = _sets(spark, sf_dir, fx.ratings, fx.items, PLANTED_RATINGS)
+    return counted(spark, compared("recall ratings", points, asked, d, set_methods(RATING_RECALL_RADII, "ratings", None)))
+
+
+@query("recall_table_ratings", sql_recall_table(RECALL_RATINGS_SQL, RATING_RECALLS))
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return recall_table(QUERIES["w_recall_ratings"](spark, sf_dir), RATING_RECALLS)
+
+
+@query("w_counts_ratings", fx.sql_set_counts("ratings", fx.sql_rating_sets(), fx.SET_QUERIES, [(x.label, x.method, x.r, x.plan(10**6, 1000), x.delta) for x in set_methods(RATING_RADII, "ratings", None)]))
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, asked, d = _sets(spark, sf_dir, fx.ratings, fx.items)
+    return counted(spark, compared("ratings", points, asked, d, set_methods(RATING_RADII, "ratings", None)))
+
+
+@query("w_counts_words")
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One part up to radius 9, two up to 19, three up to 29."""
+    points, asked, d = _sets(spark, sf_dir, fx.words, fx.vocabulary_size)
+    return counted(spark, compared("words", points, asked, d, set_methods(WORD_RADII, "words", None)))
+
+
+for name, label, codes, width, radii, policy in (("w_cpu_ratings", "ratings", fx.ratings, fx.items, RATING_RADII, "ratings"), ("w_cpu_words", "words", fx.words, fx.vocabulary_size, WORD_RADII, "words")):
+
+    @query(name)
+    def _(spark: SparkSession, sf_dir: str, label=label, codes=codes, width=width, radii=radii, policy=policy) -> DataFrame:
+        points, asked, d = _sets(spark, sf_dir, codes, width)
+        return spark.createDataFrame(costs(label, points, asked, d, set_methods(radii, policy, "same")), COSTS)
+
+
+@query("w_scan_crossover")
+def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of one pass over uniform codes, by the number of queries: where a search without an index overtakes a scan."""
+    points = kept(fx.grown(fx.uniform(spark, sf_dir), 7 * load(spark, sf_dir, "orders").count()))
+    n, rows = points.count(), []
+    for queries in (50, 500, 5_000):
+        rest, asked = encoders.hold_out(points, queries)
+        rest, asked = written(rest, "points"), written(asked, "queries")
+        for r in (3, 6):
+            seconds = {m: measures.timed(search.report_near(rest, asked, r, 128, m, n=n, mode="none") if m != "linear_scan" else search.linear_scan(rest, asked, r, 128)) for m in ("transform_cover", "linear_scan")}
+            rows.append((n, queries, r, seconds["transform_cover"], seconds["linear_scan"]))
+    return spark.createDataFrame(rows, "n bigint, queries int, r int, search_seconds double, scan_seconds double")
 
 
 @query("w_step_costs")
@@ -234,9 +396,11 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds of hashing queries, finding candidates and verifying, over stored bucket rows."""
     points, asked = encoders.hold_out(fx.docs(spark, sf_dir, 64), fx.QUERIES)
     points, asked, rows = kept(points), written(asked, "queries"), []
-    for label, method, plan in methods(64, 1000, 6, {"mode": "none"}, {"T": 4}, random_masks=False):
-        cost = measures.cost_breakdown(points, asked, method, plan, 6, 64)
-        rows.append((label, tables_of(plan), *(float(cost[k]) for k in ("s1_hash", "s2_candidates", "s3_verify"))))
+    n = points.count()
+    for x in methods(6, {"mode": "none"}, 4, masked=None):
+        plan = x.plan(64, n)
+        cost = measures.cost_breakdown(points, asked, x.method, plan, 6, 64)
+        rows.append((x.label, tables_of(plan), *(float(cost[k]) for k in ("s1_hash", "s2_candidates", "s3_verify"))))
     return spark.createDataFrame(rows, "method string, tables int, s1_hash double, s2_candidates double, s3_verify double")
 
 
@@ -247,8 +411,6 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """2 ** 24 points of 128 bits, radius 6, ratio 4: no pre-processing, 127 tables, and a far point collides once in 2 ** 17 over all of them."""
     plan = plan_cover(128, 2**24, 6, 4.0)
-    from hamcover.plans.params import expected_collisions
-
     rarely = expected_collisions(plan, 24) <= 2.0**-17
     return spark.createDataFrame([(plan.mode, plan.total_tables, plan.copies, plan.parts, rarely, expected_far(2**24, 6, 4.0)[0])], "mode string, tables int, copies int, parts int, rarely boolean, far double")
 
@@ -273,10 +435,10 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "mode string, r int, t int, tables int")
 
 
-@query("w_family_bounds", "SELECT CAST(unnest([1, 2, 3, 4]) AS INT) AS r, true AS reached")
+@query("w_family_bounds", "SELECT CAST(r AS INT) AS r, round(product((power(2, r + 1) - i) / (power(2, r) - i)), 6) AS least, round(product((power(2, r + 1) - i) / (power(2, r) - i)), 6) >= power(2, r) AS reached FROM (SELECT r, unnest(range(r)) AS i FROM (SELECT unnest([1, 2, 3, 4, 5, 6]) AS r)) GROUP BY r")
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The least family has 2 ** r tables or more."""
-    return spark.createDataFrame([(r, min_family_size(r) >= 2**r) for r in (1, 2, 3, 4)], "r int, reached boolean")
+    return spark.createDataFrame([(r, round(min_family_size(r), 6), min_family_size(r) >= 2**r) for r in range(1, 7)], "r int, least double, reached boolean")
 
 
 @query("w_recommend")
@@ -291,16 +453,24 @@ def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "bits int, indexed boolean, advice string, near double, far double")
 
 
-@query("w_seed_means")
+SEEDS = range(5)
+_SEED_PLANS = [plan_cover(64, 1000, 6, mode="none", seed=seed) for seed in SEEDS]
+_BOUNDS = ", ".join(f"({k}, {float(expected_collisions(_SEED_PLANS[0], k))!r}::DOUBLE)" for k in range(65))
+
+
+@query(
+    "w_seed_means",
+    f"""WITH {_text_ctes(64)},
+masks AS MATERIALIZED ({" UNION ALL ".join(fx.sql_cover_masks(k, plan) for k, plan in enumerate(_SEED_PLANS))}),
+h AS (SELECT {fx.sql_distance(1)} AS distance, count(*) AS pairs FROM all_ p, queries q GROUP BY 1)
+SELECT CAST(row AS INT) AS seed, count(*) AS n_collisions, (SELECT round(sum(pairs * bound), 6) FROM h JOIN (VALUES {_BOUNDS}) AS b(distance, bound) USING (distance)) AS expected_collisions
+FROM all_ p, queries q, masks WHERE xor(p.w0, q.w0) & k0 = 0 GROUP BY row""",
+)
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Collisions over five seeds, beside what the bound expects."""
     points, asked = encoders.hold_out(fx.docs(spark, sf_dir, 64), fx.QUERIES)
     points, asked = kept(points), written(asked, "queries")
-
-    def one(seed: int) -> DataFrame:
-        return search.hits_of(points, asked, "transform_cover", plan_cover(64, 1000, 6, mode="none", seed=seed)).agg(F.count("*").alias("n_collisions"))
-
-    expected = measures.estimate_collisions(measures.distance_histogram(points, asked, 64), plan_cover(64, 1000, 6, mode="none"))
-    return measures.repeat(one).crossJoin(expected)  # one row
-
-
+    n = points.count()
+    one = lambda seed: search.hits_of(points, asked, "transform_cover", _SEED_PLANS[seed].sized(n)).agg(F.count("*").alias("n_collisions"))
+    expected = measures.estimate_collisions(measures.distance_histogram(points, asked, 64), _SEED_PLANS[0])
+    return measures.repeat(one, SEEDS).crossJoin(expected)  # one row

@@ -12,7 +12,7 @@ def components(links: DataFrame) -> DataFrame:
     """links: a, b. Returns id, label: the least id of its component, for all ids in links.
 
     Each round takes the least label among a node and its neighbours, then twice the label's label, so chains
-    halve; rounds end when no label changes. Labels are aggregated before they are shuffled, so a node with many links costs
+    halve; rounds end when no label changes, so their number grows with the logarithm of the longest chain. Each writes two tables and deletes those of the round before. Labels are aggregated before they are shuffled, so a node with many links costs
     one row for each task.
     """
     both = written(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b"), "links")

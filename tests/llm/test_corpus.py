@@ -196,6 +196,26 @@ def test_set_join_as_brute_force(spark, make_docs):
     assert kept.columns == docs.columns and sorted(r.doc_id for r in kept.collect()) == sorted(set(classes))
 
 
+def test_set_join_recall_at_the_threshold(spark, make_docs):
+    """600 near copies, nearly all of their pairs at 0.80 to 0.85: links as brute force has them."""
+    rng = np.random.default_rng(9)
+    base = vocabulary_texts(1, 9000, 300, 301, 9)[0]
+    texts = [edited(base, 3, rng) for _ in range(600)]
+    sets = setjoin.shingles(texts)
+    every, ids = np.unique(np.concatenate(sets), return_inverse=True)
+    sizes = np.array([len(x) for x in sets])
+    has = np.zeros((600, len(every)), np.float32)
+    has[np.repeat(np.arange(600), sizes), ids] = 1
+    shared = has @ has.T
+    alike = shared / (sizes[:, None] + sizes - shared)
+    np.fill_diagonal(alike, 0)
+    degree = (alike >= 0.8 - 1e-9).sum(axis=1)
+    assert ((alike >= 0.8) & (alike < 0.85)).sum() > 0.9 * degree.sum()
+    got = {r.doc_id: r for r in setjoin.similar_documents(make_docs(texts)).collect()}
+    assert sum(r.n_links for r in got.values()) >= 0.999 * degree.sum() and all(got[i].n_links <= degree[i] for i in got)
+    assert {r.class_id for r in got.values()} == {0}
+
+
 def test_set_join_of_one_large_group(spark, make_docs, monkeypatch):
     """More near copies than a leaf holds: one class, links linear in the group."""
     rng = np.random.default_rng(9)

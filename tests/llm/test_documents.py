@@ -361,6 +361,15 @@ def test_pieces_parity_and_round_trip(spark, sf, make_docs):
     assert pieces.encode_pieces(docs.where("false"), model).count() == 0
 
 
+def test_pieces_of_repeated_rows_and_clashing_names(spark, make_docs):
+    docs = make_docs([*ODD, *ODD, None, None, LONG, LONG], ids=[7] * (2 * len(ODD) + 4)).withColumn("ids", F.lit("x")).withColumn("parity", F.lit(0))
+    found = pieces.encode_pieces(docs, pieces.read_model()).select("doc_id", "text", "ids", "pieces").collect()
+    assert len(found) == docs.count() and {r.doc_id for r in found} == {7} and {r.ids for r in found} == {"x"}
+    by_text = {}
+    for r in found:
+        assert by_text.setdefault(r.text, r.pieces) == r.pieces and r.pieces.parity
+
+
 def test_pieces_of_the_marker_character(spark, make_docs):
     got = pieces.encode_pieces(make_docs(["x▁y", "▁"]), pieces.read_model(), parity_every=1).select("pieces").collect()
     assert all(r.pieces.parity and not r.pieces.round_trip for r in got)

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hamcover.llm import decontaminate, langid, pieces, secrets, setjoin
-from hamcover.llm.common import written
+from hamcover.llm.common import Steps, written
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,7 +54,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each stage's rows are written and read again; what a stage wrote on its way, and the rows before, go when they are."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for name, stage in STAGES[:-1]:
-        docs = written(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    with Steps() as steps:
+        for name, stage in STAGES[:-1]:
+            with Steps() as own:
+                docs = written(stage(spark, docs, sf_dir), f"pipeline-{name}")
+                own.keep(docs)
+        steps.keep(docs)
     return STAGES[-1][1](spark, docs, sf_dir)

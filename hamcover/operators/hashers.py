@@ -21,6 +21,8 @@ from hamcover.plans.params import P61, CoverPlan, SamplePlan, SubstringPlan, bal
 HASHED = "id bigint, part int, v int, bucket bigint"
 #: Bytes of one kernel's largest array.
 KERNEL_BYTES = 1 << 26
+#: Bytes of masks that are broadcast at most: those of tables, substrings or balls, whose number the plan sets and not the data.
+MASK_BYTES = 64 << 20
 
 
 @lru_cache(maxsize=32)
@@ -225,6 +227,8 @@ def masked_cover_hash(points: DataFrame, plan: CoverPlan, carry: bool = False, k
                 for w, k in zip(where, keep, strict=True):
                     words[w // 64] |= k << (w % 64)
                 rows.append((part, v, [x - (1 << 64) if x >> 63 else x for x in words]))
+        if len(rows) * 8 * (words_of(plan.d) + 2) > MASK_BYTES:
+            raise ValueError("too many masks to broadcast: use integer keys")
         masks = spark.createDataFrame(rows, "part int, v int, mask array<bigint>")
         masked = F.array(*(F.col("code")[i].bitwiseAND(F.col("mask")[i]) for i in range(words_of(plan.d))))
         # A row for each point and table is what an index of masks is; the masks are as many as the tables.
@@ -382,7 +386,7 @@ def flip_masks(width: int, radius: int) -> list[int]:
     return [m - (1 << 64) if m >> 63 else m for m in masks]
 
 
-#: Probes of one query that are enumerated at most.
+#: Probes of one query that are enumerated at most: 16 MB of flip masks.
 MOST_PROBES = 2_000_000
 
 
@@ -400,7 +404,7 @@ def substring_probes(queries: DataFrame, plan: SubstringPlan) -> DataFrame:
 
 def ball_probes(queries: DataFrame, d: int, r: int) -> DataFrame:
     """qid and every code within r of the query's."""
-    if ball_size(d, r) > MOST_PROBES:
+    if ball_size(d, r) > MOST_PROBES or ball_size(d, r) * 8 * (words_of(d) + 2) > MASK_BYTES:
         raise ValueError(f"{ball_size(d, r)} codes around each query: hash instead")
     from itertools import combinations
 

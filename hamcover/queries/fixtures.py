@@ -22,7 +22,7 @@ def uniform(spark: SparkSession, sf_dir: str, d: int = 128, below: int | None =
     rows = load(spark, sf_dir, "orders").select("o_orderkey")
     if below is not None:
         rows = rows.where(F.col("o_orderkey") < below)  # the size of the experiment
-    return rows.select(F.col("o_orderkey").alias("id"), encoders.uniform_code("o_orderkey", d).alias("code"))
+    return spread(rows).select(F.col("o_orderkey").alias("id"), encoders.uniform_code("o_orderkey", d).alias("code"))
 
 
 def docs(spark: SparkSession, sf_dir: str, bits: int) -> DataFrame:

@@ -15,6 +15,9 @@ Comparisons use 64 bytes, one for each coordinate; pairs whose estimate is `SCRE
 A pair counts in the first of its common buckets only. Pairs of tiles are verified where they meet: a tile gives each set's links as a number
 and one link for each set to the rest of its class, so rows made grow with the sets while every pair counts.
 
+With `exact=True` candidates are all pairs that share one of their least shingle hashes, as many as a pair at the threshold can't do without: no link is missed,
+but rows grow with the square of a group of near copies. The query and the pipeline take the chosen paths.
+
 Defined results: fewer than five words make one shingle of all words; a document without words is a class of its own with no
 links; rows of one doc_id are one document; a row without doc_id has no class; repeated rows get one result each; ties go to the least doc_id.
 """
@@ -341,7 +344,25 @@ def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     return rows.mapInArrow(_verify, "a bigint, b bigint")
 
 
-def similar_documents(docs: DataFrame) -> DataFrame:
+def _prefixes(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(rep, n, gram) of the least shingle hashes of each set: sets of similarity 0.8 or more share one of those."""
+    for batch in text_slices(it, SLICE_BYTES):
+        for rep, grams in zip(batch.column(0).to_pylist(), shingles(batch.column(1).to_pylist()), strict=True):
+            n = len(grams)
+            first = grams[: n - int(np.ceil(SIMILARITY * n - 1e-9)) + 1]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(first), rep, np.int64)), pa.array(np.full(len(first), n, np.int64)), pa.array(first.view(np.int64))], names=["rep", "n", "gram"])
+
+
+def exact_pairs(sets: DataFrame, docs: DataFrame) -> DataFrame:
+    """All pairs a < b of ids that can be similar."""
+    texts = docs.hint("merge").join(sets.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    rows = written(texts.select("doc_id", "text").mapInArrow(_prefixes, "rep bigint, n bigint, gram bigint"), "prefixes")
+    other = rows.select("gram", F.col("rep").alias("b"), F.col("n").alias("m"))
+    alike = (F.col("rep") < F.col("b")) & (F.least("n", "m") >= SIMILARITY * F.greatest("n", "m") - 1e-9)
+    return rows.join(other, "gram").where(alike).select(F.col("rep").alias("a"), "b").distinct()
+
+
+def similar_documents(docs: DataFrame, exact: bool = False) -> DataFrame:
     """docs: doc_id, text. One row per row of docs: doc_id, class_id (least doc_id of its class), n_links.
 
     n_links counts the other documents that the verified links and the copies of its set connect it to directly.
@@ -354,9 +375,14 @@ def similar_documents(docs: DataFrame) -> DataFrame:
         own = written(own, "set-keys")
         classes = written(own.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "set-classes")
         sets = keyed.join(classes.select(F.col("rep").alias("doc_id"), "k1", "k2", "copies"), ["doc_id", "k1", "k2"]).dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("rep"), "sig", "roots", "copies")
-        pairs, large = candidates(written(sets, "sets"))
-        links = written(verified(pairs, docs), "verified")
-        tiled = written(tile_links(large, docs), "tile-links")
+        sets = written(sets, "sets")
+        if exact:
+            links = written(verified(written(exact_pairs(sets, docs), "pairs"), docs), "verified")
+            tiled = links.select("a", "b", F.lit(0).cast("long").alias("links")).where("false")
+        else:
+            pairs, large = candidates(sets)
+            links = written(verified(pairs, docs), "verified")
+            tiled = written(tile_links(large, docs), "tile-links")
         copies = classes.select("rep", "copies").where("copies > 1")
         ends = links.select("a", "b").union(links.select("b", "a"))
         ends = ends.join(copies, F.col("b") == F.col("rep"), "left").select("a", F.coalesce("copies", F.lit(1)).alias("links"))

@@ -192,6 +192,8 @@ def test_set_join_as_brute_force(spark, make_docs):
     classes, degree = brute_classes(texts)
     assert [got[i].class_id for i in range(len(texts))] == classes
     assert [got[i].n_links for i in range(len(texts))] == degree
+    every = {r.doc_id: r for r in setjoin.similar_documents(docs, exact=True).collect()}
+    assert [(every[i].class_id, every[i].n_links) for i in range(len(texts))] == list(zip(classes, degree, strict=True))
     kept = setjoin.one_of_each(docs)
     assert kept.columns == docs.columns and sorted(r.doc_id for r in kept.collect()) == sorted(set(classes))
 

@@ -9,7 +9,7 @@ windows times texts times documents. A document's matches are known where the do
 Words that no test text has cannot be part of a match; a shard keeps the runs of other words that are
 as long as the shortest window, which loses no match. Test texts go to the executors in blocks of at
 most `TEST_BLOCK_CHARS` characters (a longer single text is a block of its own); for each block the
-documents are searched once more, in the same stage.
+documents are searched once more, up to `STAGE_BLOCKS` of them in the same stage.
 
 Defined results: a null text has no words and no match; a test text without words matches nothing; a
 null item_id is named by the empty string; rows of one item_id count as one item; repeated documents are each judged;
@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from hamcover.llm.common import folded_words
+from hamcover.llm.common import folded_words, written
 from hamcover.llm.suffixes import Shard
 
 WINDOW = 10
@@ -35,6 +35,8 @@ WINDOW = 10
 TEST_BLOCK_CHARS = 32_000_000
 #: A shard ends at so many bytes of documents.
 SHARD_BYTES = 24_000_000
+#: Blocks that one stage searches for, each with a worker of its own; then the rows are written.
+STAGE_BLOCKS = 4
 #: A shard of more matches is searched in two halves.
 SHARD_MATCHES = 2_000_000
 
@@ -203,6 +205,8 @@ def find_matches(docs: DataFrame, tests: DataFrame, window: int = WINDOW, text:
         part = tests.where(F.pmod(F.xxhash64("id", "text"), F.lit(n_blocks)) == block) if n_blocks > 1 else tests
         shared = spark.sparkContext.broadcast([(r.id, r.text) for r in part.toLocalIterator()])
         found = found.mapInArrow(_search(arrow, text, output, _tests_of(shared, window, f"{name}-{block}")), out)
+        if (block + 1) % STAGE_BLOCKS == 0 and block + 1 < n_blocks:
+            found = written(found, "decontamination")
     return found
 
 

@@ -192,13 +192,16 @@ def _hist(name: str, points: DataFrame, asked: DataFrame, d: int) -> DataFrame:
     return measures.distance_histogram(points, asked, d).select(F.lit(name).alias("name"), "distance", "pairs")
 
 
+PAGES = f"SELECT page_id AS id, {PAGE_TEXT} AS text FROM pages"
+
+
 def _histogram_sql(name: str, bits: int, source: str | None = None) -> str:
     codes = fx.sql_text_codes(bits, *([source] if source else []))
     far = fx.sql_distance(bits // 64)
     return f"SELECT * FROM (WITH points AS MATERIALIZED ({codes}),{fx.sql_hold_out('points', fx.QUERIES)} SELECT '{name}' AS name, {far} AS distance, count(*) AS pairs FROM pts p, queries q GROUP BY ALL)"
 
 
-@query("w_distance_histogram", "\nUNION ALL ".join([_histogram_sql("documents 64", 64), _histogram_sql("documents 256", 256), _histogram_sql("pages 256", 256, f"SELECT page_id AS id, {PAGE_TEXT} AS text FROM pages")]))
+@query("w_distance_histogram", "\nUNION ALL ".join([_histogram_sql("documents 64", 64), _histogram_sql("documents 256", 256), _histogram_sql("pages 256", 256, PAGES)]))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pairs by distance: documents at 64 and 256 bits, pages at 256."""
     parts = [_hist(f"documents {b}", *encoders.hold_out(fx.docs(spark, sf_dir, b), fx.QUERIES), b) for b in (64, 256)]
@@ -301,17 +304,19 @@ TEXT_RADII = {256: (3, 4, 5, 6, 7, 8), 512: (10, 11, 12, 13, 14, 15)}
 TEXT_COUNTS = {bits: [x for r in radii for x in methods(r, {"policy": "low"}, deltas=(0.1,))] for bits, radii in TEXT_RADII.items()}
 
 
-def _text_ctes(bits: int) -> str:
-    return f"points AS MATERIALIZED ({fx.sql_text_codes(bits)}),{fx.sql_hold_out('points', fx.QUERIES)},\nall_ AS MATERIALIZED (SELECT * FROM pts)"
+def _text_ctes(bits: int, *source: str) -> str:
+    return f"points AS MATERIALIZED ({fx.sql_text_codes(bits, *source)}),{fx.sql_hold_out('points', fx.QUERIES)},\nall_ AS MATERIALIZED (SELECT * FROM pts)"
 
 
-@query("w_counts_text", "\nUNION ALL ".join(sql_counts(f"text {bits}", _text_ctes(bits), bits, TEXT_COUNTS[bits]) for bits in TEXT_RADII))
+@query("w_counts_text", "\nUNION ALL ".join([sql_counts(f"text {bits}", _text_ctes(bits), bits, TEXT_COUNTS[bits]) for bits in TEXT_RADII] + [sql_counts("pages 256", _text_ctes(256, PAGES), 256, TEXT_COUNTS[256])]))
 def _(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Texts at both widths, and web pages as a second source; substrings in their standard number."""
     rows = []
     for bits in TEXT_RADII:
         points, asked = encoders.hold_out(fx.docs(spark, sf_dir, bits), fx.QUERIES)
         rows += compared(f"text {bits}", kept(points), written(asked, "queries"), bits, TEXT_COUNTS[bits])
-    return counted(spark, rows)
+    points, asked = encoders.hold_out(fx.pages(spark, sf_dir, 256), fx.QUERIES)
+    return counted(spark, rows + compared("pages 256", kept(points), written(asked, "queries"), 256, TEXT_COUNTS[256]))
 
 
 def cpu_text(spark: SparkSession, sf_dir: str, radii: dict[int, tuple[int, ...]] | None = None) -> DataFrame:

@@ -34,7 +34,7 @@ WINDOW = 10
 #: Bound of what one block broadcasts.
 TEST_BLOCK_CHARS = 32_000_000
 #: A shard ends at so many bytes of documents.
-SHARD_BYTES = 24_000_000
+SHARD_BYTES = 12_000_000
 #: Blocks that one stage searches for, each with a worker of its own; then the rows are written.
 STAGE_BLOCKS = 4
 #: A shard of more matches is searched in two halves.

@@ -128,10 +128,11 @@ def test_sampled_variants_search(spark):
     rows = [(i, [int(base[i % 20]) ^ sum(1 << int(b) for b in rng.choice(62, 3, replace=False))]) for i in range(400)]
     points, asked = encoders.hold_out(spark.createDataFrame(rows, "id bigint, code array<bigint>"), 20)
     truth = {tuple(r) for r in search.linear_scan(points, asked, 6, 64).collect()}
-    for options in ({"mode": "theory", "c": 2.0}, {"k_rounding": "floor"}, {"replace": False}):
+    # The rule for k takes the draws as independent; without repetition all of a table's positions agree less often.
+    for options, least in (({"mode": "theory", "c": 2.0}, 0.3), ({"k_rounding": "floor"}, 0.9), ({"replace": False}, 0.5)):
         plan = plan_bit_sampling(64, 400, 6, 0.01, **options)
         got = {tuple(r) for r in search.report_near(points, asked, 6, 64, "bit_sampling", plan=plan).collect()}
-        assert got <= truth and len(got) >= (0.3 if "mode" in options else 0.9) * len(truth)
+        assert got <= truth and len(got) >= least * len(truth)
 
 
 def test_collision_counts_of_many_codes():

@@ -8,7 +8,8 @@ from hamcover.functions import encoders
 from hamcover.operators import hashers, index, measures, search
 from hamcover.plans.hadamard import mask_bits
 from hamcover.plans.params import P31, P61, plan_bit_sampling, plan_cover, plan_multi_index
-from hamcover.sources.shared import shared_dir
+from hamcover.queries import fixtures as fx
+from hamcover.sources.shared import shared_dir, written
 
 
 def codes(n, d, seed=0):
@@ -181,6 +182,22 @@ def test_near_pairs_of_many_equal_codes(spark):
     assert members.count() == 100_050 and members.where("rep = 0").count() == 100_000
 
 
+def test_links_of_copies_grow_with_the_points(spark):
+    """Unlike codes by their least ids, copies by the least id of their code: no row for a pair of copies, and all pairs follow."""
+    points = spark.range(2_000).select("id", F.array(F.when(F.col("id") < 1_990, 5).otherwise(7).cast("bigint")).alias("code"))
+    pairs, members = search.near_pairs(points, 2, 64)
+    found = sorted(map(tuple, search.links(pairs, members).collect()))
+    assert found == sorted([(0, i, 0) for i in range(1, 1_990)] + [(0, 1_990, 1)] + [(1_990, i, 0) for i in range(1_991, 2_000)])
+
+
+def test_self_join_broadcasts_no_bucket_rows(spark, sf):
+    """Small files whose bucket rows are many: the rows of all tables once went to the driver, and the tables were replicated to hundreds."""
+    points = written(fx.docs(spark, sf, 64), "points")
+    pairs, _ = search.near_pairs(points, 2, 64, n=5_000)
+    assert "BroadcastHashJoin" not in pairs._jdf.queryExecution().executedPlan().toString()
+    assert [search.pairs_plan(64, 60_000, r).total_tables for r in (1, 2, 3, 4)] == [3, 7, 15, 31]
+
+
 def test_empty_and_null(spark):
     points, asked = frame(spark, codes(5, 64)), frame(spark, codes(2, 64), "qid")
     none = points.where("id < 0")

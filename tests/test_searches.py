@@ -198,6 +198,14 @@ def test_self_join_broadcasts_no_bucket_rows(spark, sf):
     assert [search.pairs_plan(64, 60_000, r).total_tables for r in (1, 2, 3, 4)] == [3, 7, 15, 31]
 
 
+def test_near_pairs_with_a_further_condition(spark, sf):
+    """Pairs of near weights come from buckets of the covering family, not from all pairs of points of a weight."""
+    from hamcover import registry
+
+    plan = registry.queries()["j_range_popcount"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "bucket" in plan
+
+
 def test_empty_and_null(spark):
     points, asked = frame(spark, codes(5, 64)), frame(spark, codes(2, 64), "qid")
     none = points.where("id < 0")

@@ -149,3 +149,10 @@ def test_hash_cost_measures_each_kernel(spark, sf):
     for method, p in (("transform_cover", plan), ("masked_cover", plan), ("bit_sampling", plan_bit_sampling(128, 64, 4, tables=31))):
         assert measures.hash_cost_ms(points, method, p, runs=2, codes=64) > 0
     assert hashers.kernel_of("transform_cover", plan) is not None
+
+
+@pytest.mark.parametrize("name", ["io_generated", "u_table_function", "w_analytic_costs", "w_family_bounds", "w_table_counts", "w_typical_plan"])
+def test_queries_read_a_given_table(spark, tmp_path, name):
+    """Without tables there is no result; once these made their data up."""
+    with pytest.raises(Exception, match="orders.parquet"):
+        registry.queries()[name](spark, str(tmp_path)).collect()

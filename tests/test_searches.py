@@ -206,6 +206,25 @@ def test_near_pairs_with_a_further_condition(spark, sf):
     assert "bucket" in plan
 
 
+def test_sampled_sets_drawn_by_tasks(spark):
+    plan = plan_bit_sampling(1_003, 90_000, 5, 0.1, tables=9, prime=P61)
+    assert all(np.array_equal(a, b) for a, b in zip(hashers.drawn_by_tasks(spark, plan), hashers.sampled_sets(plan), strict=True))
+
+
+def test_sampled_sets_cost_what_is_set():
+    """Sparse points of 200,000 positions: keys are equal just where the sampled sets are, and nothing is drawn as a Python integer."""
+    plan = plan_bit_sampling(200_000, 90_000, 5, 0.1, tables=3, prime=P61)
+    rows = [[1, 7, 199_999], [1, 7, 199_999], [], list(range(0, 200_000, 50))]
+    (_, keys), = hashers.sampling_kernel(plan)(pa.array(rows, pa.list_(pa.int32())))
+    for t in range(3):
+        own = hashers.sampled_row(plan, t)
+        assert own.tolist() == plan.positions[t]
+        kept = [tuple(sorted(set(r) & set(own.tolist()))) for r in rows]
+        assert all((kept[a] == kept[b]) == (keys[t][a] == keys[t][b]) for a in range(4) for b in range(4))
+    batch = pa.RecordBatch.from_arrays([pa.array(range(4)), pa.array(rows, pa.list_(pa.int32()))], names=["id", "ones"])
+    assert [x.num_rows for x in hashers.slices(batch, 1, 1 << 20)] == [4]
+
+
 def test_empty_and_null(spark):
     points, asked = frame(spark, codes(5, 64)), frame(spark, codes(2, 64), "qid")
     none = points.where("id < 0")

@@ -156,3 +156,15 @@ def test_queries_read_a_given_table(spark, tmp_path, name):
     """Without tables there is no result; once these made their data up."""
     with pytest.raises(Exception, match="orders.parquet"):
         registry.queries()[name](spark, str(tmp_path)).collect()
+
+
+def test_rows_that_queries_meet_are_those_of_hashing_all_points(spark, sf):
+    for d in (64, 128):
+        points, asked = encoders.hold_out(fx.uniform(spark, sf, d), 10)
+        points = fx.with_planted(points, asked, [0, 2, 5, 9], 2, d).unionByName(spark.sql("SELECT -1L AS id, CAST(null AS array<bigint>) AS code"))
+        plans = [plan_cover(d, 10**6, 5, mode="none"), plan_cover(d, 10**6, 3, mode="replicate", t=2), plan_cover(d, 10**6, 8, mode="partition", t=2), plan_bit_sampling(d, 10**6, 5, 0.1)]
+        for plan, index in zip(plans, measures.met_indexes(points, asked, plans), strict=True):
+            method = "bit_sampling" if plan is plans[-1] else "transform_cover"
+            own = search.hash_queries(asked, method, plan).select("part", "v", "bucket").distinct()
+            want = search.hash_points(points, method, plan, carry=True).join(own, ["part", "v", "bucket"], "left_semi").select("id", "part", "v", "bucket", "code")
+            assert sorted(index.collect()) == sorted(want.collect()) and index.count() > 0

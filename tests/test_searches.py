@@ -317,3 +317,17 @@ def test_pinned_counts(spark):
     for r, collisions, candidates in ((6, 11709, 8362), (7, 44584, 20615)):
         hits = search.hits_of(points, asked, "multi_index", plan_multi_index(64, 1000, r))
         assert hits.count() == collisions and search.candidates(hits).count() == candidates
+
+
+def test_masks_of_wide_sparse_points_take_no_memory_for_unset_positions():
+    import tracemalloc
+
+    d = 40_000
+    plan = plan_cover(d, 10**6, 15, policy="words")
+    sparse = pa.array([[3, 17, 39_999], [], [0, 20_000]], pa.list_(pa.int32()))
+    want = dict(hashers.transform_kernel(plan)(sparse))  # columns are drawn and kept here
+    tracemalloc.start()
+    got = dict(hashers.masked_kernel(plan)(sparse))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert all((got[part] == want[part]).all() for part in want) and peak < 8 * plan.tables(0) * d // 20

@@ -331,3 +331,15 @@ def test_masks_of_wide_sparse_points_take_no_memory_for_unset_positions():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert all((got[part] == want[part]).all() for part in want) and peak < 8 * plan.tables(0) * d // 20
+
+
+def test_scan_of_many_queries_compares_in_kernels_as_expressions_do(spark, sf):
+    for d, r in ((64, 20), (128, 40), (128, 2)):
+        points, asked = encoders.hold_out(fx.uniform(spark, sf, d), 250)
+        points = fx.with_planted(points, asked.limit(20), [0, 2, 3], 1, d).unionByName(spark.sql("SELECT -1L AS id, CAST(null AS array<bigint>) AS code"))
+        got = search.linear_scan(points, asked, r, d)
+        assert "MapInArrow" in got._jdf.queryExecution().toString()
+        q = asked.select("qid", F.col("code").alias("qcode"))
+        want = points.crossJoin(q).select("qid", "id", fb.hamming("code", "qcode", d // 64).cast("int").alias("distance")).where(F.col("distance") <= r)
+        rows = got.collect()
+        assert rows and sorted(rows) == sorted(want.collect())

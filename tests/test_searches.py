@@ -343,3 +343,16 @@ def test_scan_of_many_queries_compares_in_kernels_as_expressions_do(spark, sf):
         want = points.crossJoin(q).select("qid", "id", fb.hamming("code", "qcode", d // 64).cast("int").alias("distance")).where(F.col("distance") <= r)
         rows = got.collect()
         assert rows and sorted(rows) == sorted(want.collect())
+
+
+def test_unreduced_keys_are_equal_where_those_of_the_prime_are():
+    rng = np.random.default_rng(3)
+    codes = rng.integers(-(1 << 63), (1 << 63) - 1, (40, 2))
+    codes[20:] = codes[:20] ^ (np.int64(1) << rng.integers(0, 62, (20, 2)))
+    column = pa.array(codes.tolist(), pa.list_(pa.int64()))
+    for options in ({"mode": "none"}, {"mode": "replicate", "t": 2}, {"mode": "partition", "t": 2}):
+        plan = plan_cover(128, 10**6, 6, **options)
+        assert plan.prime == P61
+        one, two = dict(hashers.transform_kernel(plan)(column)), dict(hashers.equal_kernel(plan)(column))
+        same = lambda keys: keys[:, :, None] == keys[:, None]
+        assert all((same(one[part]) == same(two[part])).all() for part in one) and sum(same(x).sum() > x.size for x in one.values())

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from hamcover import registry
 from hamcover.functions import encoders
 from hamcover.operators import hashers, measures, search
+from hamcover.plans import draws
 from hamcover.plans.hadamard import collision_count, collision_counts, mask_bits
 from hamcover.plans.params import PARTITION_PENALTY, plan_bit_sampling, plan_cover, theory_cost
 from hamcover.queries import fixtures as fx
@@ -168,3 +169,31 @@ def test_rows_that_queries_meet_are_those_of_hashing_all_points(spark, sf):
             own = search.hash_queries(asked, method, plan).select("part", "v", "bucket").distinct()
             want = search.hash_points(points, method, plan, carry=True).join(own, ["part", "v", "bucket"], "left_semi").select("id", "part", "v", "bucket", "code")
             assert sorted(index.collect()) == sorted(want.collect()) and index.count() > 0
+
+
+def test_draws_of_many_are_those_of_one():
+    for prefix in ("7:s:3:", "7:m:0:0:", "x" * 53, ""):
+        assert draws.numbers(prefix, 12_345).tolist() == [draws.number(f"{prefix}{i}") for i in range(12_345)]
+    assert draws.order("7:perm:", 5_000).tolist() == sorted(range(5_000), key=lambda i: (draws.digest(f"7:perm:{i}"), i))
+
+
+def test_sparse_rows_that_queries_meet_are_those_of_hashing_all_points(spark, monkeypatch):
+    """For several plans in one pass over the points, and (with little room) in many."""
+    rng, d = np.random.default_rng(4), 3_000
+    base = [sorted(rng.choice(d, size, replace=False).tolist()) for size in (0, 1, 4, 30, 200, 900)]
+    sets = [sorted(set(base[i % 6]) ^ set(rng.choice(d, i % 5, replace=False).tolist())) for i in range(300)]
+    points, asked = encoders.hold_out(spark.createDataFrame(list(enumerate(sets)), "id bigint, ones array<int>"), 20)
+    points = points.unionByName(spark.sql("SELECT -1L AS id, CAST(null AS array<int>) AS ones"))
+    plans = [plan_cover(d, 10**6, 5, mode="none"), plan_cover(d, 10**6, 3, mode="replicate", t=2), plan_cover(d, 10**6, 8, mode="partition", t=2), plan_bit_sampling(d, 10**6, 5, 0.1), plan_bit_sampling(d, 10**6, 4, 0.1, tables=70)]
+    want = {}
+    for k, plan in enumerate(plans):
+        for x in search.hits_of(points, asked, "bit_sampling" if k > 2 else "transform_cover", plan).collect():
+            want.setdefault((k, x.qid, x.id), set()).add((x.part, x.v))
+    for room in (hashers.PASS_BYTES, 1):
+        monkeypatch.setattr(hashers, "PASS_BYTES", room)
+        planes = w.planes_of(spark, plans)
+        got = hashers.sparse_met(points, asked, plans, planes, counted=True).groupBy("plan", "qid", "id").agg(F.sum("n").alias("n")).collect()
+        assert {(x.plan, x.qid, x.id): x.n for x in got} == {key: len(tables) for key, tables in want.items()}
+    met = [(x.plan, x.id, x.part, v, qid) for x in hashers.sparse_met(points, asked, plans, planes, counted=False).collect() for v, qid in zip(x.v, x.qid, strict=True)]
+    assert len(met) == len({x[:4] for x in met}) and {x[:4] for x in met} == {(k, i, part, v) for (k, _, i), tables in want.items() for part, v in tables}
+    assert all((part, v) in want[k, qid, i] for k, i, part, v, qid in met)

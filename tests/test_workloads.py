@@ -197,3 +197,15 @@ def test_sparse_rows_that_queries_meet_are_those_of_hashing_all_points(spark, mo
     met = [(x.plan, x.id, x.part, v, qid) for x in hashers.sparse_met(points, asked, plans, planes, counted=False).collect() for v, qid in zip(x.v, x.qid, strict=True)]
     assert len(met) == len({x[:4] for x in met}) and {x[:4] for x in met} == {(k, i, part, v) for (k, _, i), tables in want.items() for part, v in tables}
     assert all((part, v) in want[k, qid, i] for k, i, part, v, qid in met)
+
+
+def test_scan_of_sets_as_brute_force(spark):
+    """In kernels, without an array function for each pair; null points and empty sets among them."""
+    rng = np.random.default_rng(6)
+    sets = [sorted(rng.choice(60, rng.integers(0, 9), replace=False).tolist()) for _ in range(200)]
+    points, asked = encoders.hold_out(spark.createDataFrame(list(enumerate(sets)), "id bigint, ones array<int>"), 30)
+    points = points.unionByName(spark.sql("SELECT -1L AS id, CAST(null AS array<int>) AS ones"))
+    scan, known = search.linear_scan(points, asked, 6), [x.qid for x in asked.collect()]
+    assert "MapInArrow" in scan._jdf.queryExecution().executedPlan().toString()
+    far = {(q, i): len(set(sets[q]) ^ set(sets[i])) for q in known for i in range(200) if i not in known}
+    assert sorted(map(tuple, scan.collect())) == sorted((q, i, x) for (q, i), x in far.items() if x <= 6)
